@@ -6,12 +6,17 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import mixing
+from . import chat, mixing, sharding, simhash
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op10_mix_sources": mixing.query}
+    return {
+        "op3_chat_format": chat.query,
+        "op4_shard": sharding.query,
+        "op7_simhash_near_dedup": simhash.query,
+        "op10_mix_sources": mixing.query,
+    }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op10_mix_sources": mixing.SQL}
+    return {"op3_chat_format": chat.SQL, "op10_mix_sources": mixing.SQL}
