@@ -6,13 +6,15 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import chat, mixing, sharding, simhash
+from . import chat, mixing, sharding, simhash, substring, suffixes
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
+        "op1_substring_dedup": substring.query,
         "op3_chat_format": chat.query,
         "op4_shard": sharding.query,
+        "op5_suffix_dedup": suffixes.query,
         "op7_simhash_near_dedup": simhash.query,
         "op10_mix_sources": mixing.query,
     }
