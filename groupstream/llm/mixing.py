@@ -38,8 +38,8 @@ def source_targets(sizes: DataFrame, weights: tuple[int, ...] = WEIGHTS, most: i
     """(key, size) per row -> (key, source_size, weight, target), one row per source.
 
     A target is at most `most` times the source's size. With sources ordered by that bound over their weight, the sources
-    that stop at the bound are a prefix, so the shared level has a closed form: the first prefix at which the level of the
-    rest does not reach the next bound.
+    that stop at the bound are a prefix, so the shared level has a closed form: that of the first prefix at which the level
+    of the rest does not exceed the next bound. Longer prefixes only lower it, so it is the largest such level.
     """
     per = sizes.groupBy("key").agg(F.sum("size").alias("source_size"))
     place = F.row_number().over(Window.orderBy("key")) - 1
@@ -60,7 +60,7 @@ def source_targets(sizes: DataFrame, weights: tuple[int, ...] = WEIGHTS, most: i
     )
     level = (F.col("all_size") - F.col("held")).cast("double") / (F.col("all_weight") - F.col("passed"))
     per = per.withColumn("own", F.when(level <= F.col("bound"), level))
-    per = per.withColumn("level", F.min("own").over(everything))
+    per = per.withColumn("level", F.max("own").over(everything))
     target = F.least(F.col("weight") * F.col("level"), (F.lit(most) * F.col("source_size")).cast("double"))
     return per.select("key", "source_size", "weight", F.coalesce(target, F.lit(0.0)).alias("target"))
 
@@ -163,7 +163,7 @@ s3 AS (SELECT *, 3 * coalesce(sum(s) OVER o, 0)::BIGINT AS held, coalesce(sum(w)
               (sum(s) OVER ())::BIGINT AS ts, (sum(w) OVER ())::BIGINT AS tw
        FROM s2 WINDOW o AS (ORDER BY bound, k ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING)),
 s4 AS (SELECT *, (ts - held)::DOUBLE / (tw - passed)::DOUBLE AS lv FROM s3),
-s5 AS (SELECT *, min(CASE WHEN lv <= bound THEN lv END) OVER () AS level FROM s4),
+s5 AS (SELECT *, max(CASE WHEN lv <= bound THEN lv END) OVER () AS level FROM s4),
 s6 AS (SELECT k, s, coalesce(least(w::DOUBLE * level, (3 * s)::DOUBLE), 0.0::DOUBLE) AS target FROM s5),
 s7 AS (SELECT *, CASE WHEN s > 0 THEN target / s::DOUBLE ELSE 0.0::DOUBLE END AS r FROM s6),
 s8 AS (SELECT *, least(floor(r), 3)::BIGINT AS c FROM s7),
