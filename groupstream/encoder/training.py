@@ -126,7 +126,7 @@ def train(sharded: DataFrame, weights: dict[str, np.ndarray], layers: int = 2, r
     for epoch in range(epochs):
         now = dict(weights)
 
-        def run(rows, now=now):
+        def run(rows):
             parts = {k: p for k, p in rows.groupby("kind")}
             if "triple" not in parts:
                 return pd.DataFrame(columns=["name", "value", "n"])

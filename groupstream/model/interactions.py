@@ -52,7 +52,7 @@ def item_attributes(sliced: DataFrame) -> DataFrame:
     per = sliced.where("slice is not null").groupBy("v", "slice").agg(F.count("*").alias("bought"), F.sum(F.col("price").cast("decimal(18,2)")).alias("paid"))
     so_far = Window.partitionBy("v").orderBy("slice").rowsBetween(Window.unboundedPreceding, Window.currentRow)
     popularity = F.sum("bought").over(so_far)
-    return per.select("v", "slice", "bought", popularity.alias("popularity"), F.round((F.sum("paid").over(so_far).cast("double") / popularity), 4).alias("avg_price"))
+    return per.select("v", "slice", "bought", popularity.alias("popularity"), F.round((F.sum("paid").over(so_far).cast("double") / popularity), 8).alias("avg_price"))
 
 
 def slice_counts(sliced: DataFrame) -> DataFrame:
