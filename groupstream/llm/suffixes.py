@@ -14,6 +14,8 @@ table gives an empty result; other columns are ignored.
 
 from __future__ import annotations
 
+import zlib
+
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
@@ -116,6 +118,11 @@ def _long(packed: bytes) -> np.ndarray:
     return out.view(np.uint64).ravel()
 
 
+def _tag(key: np.ndarray) -> np.ndarray:
+    """32 bits of each key, which stand beside the 64 bits of a content's hash."""
+    return ((key * np.uint64(DEAL)) >> np.uint64(32)).astype(np.uint32)
+
+
 def _groups(*sorted_columns: np.ndarray) -> np.ndarray:
     """True where a new group starts in sorted rows."""
     n = len(sorted_columns[0])
@@ -213,13 +220,14 @@ def deduplicate(docs: DataFrame, depth: int = DEPTH, text: str = "text", id_colu
         block, out = int(rows["block"].iloc[0]), []
         for b, s in parts:
             o = order[s]
-            out.append((b, block, count[o].astype(np.uint16).tobytes(), least[o].tobytes(), most[o].tobytes(), key[o].tobytes(), content[o].tobytes(), b"".join(texts[i] for i in one[o].tolist())))
+            out.append((b, block, count[o].astype(np.uint16).tobytes(), least[o].tobytes(), most[o].tobytes(), _tag(key[o]).tobytes(), content[o].tobytes(), zlib.compress(b"".join(texts[i] for i in one[o].tolist()), 1)))
         return pd.DataFrame(out, columns=["bucket", "block", "counts", "least", "most", "keys", "contents", "texts"])
 
     def settle_strings(rows):
         count, least, most = joined(rows, "counts", np.uint16).astype(np.int64), joined(rows, "least", np.int64), joined(rows, "most", np.int64)
-        key, content, text = joined(rows, "keys", np.uint64), joined(rows, "contents", np.uint64), joined(rows, "texts", np.uint8)
-        block = np.repeat(rows["block"].to_numpy(np.int64), [len(x) // 8 for x in rows["keys"]])
+        key, content = joined(rows, "keys", np.uint32), joined(rows, "contents", np.uint64)
+        text = np.frombuffer(b"".join(map(zlib.decompress, rows["texts"])), np.uint8)
+        block = np.repeat(rows["block"].to_numpy(np.int64), [len(x) // 4 for x in rows["keys"]])
         place = np.cumsum(count + depth - 1) - (count + depth - 1)
         order = np.lexsort((content, key))
         new = _groups(key[order], content[order])
@@ -262,14 +270,14 @@ def deduplicate(docs: DataFrame, depth: int = DEPTH, text: str = "text", id_colu
             return pd.DataFrame(columns=["id", "n_bytes", "kept", "spans"])
         ids, texts = rows["id"].to_numpy(np.int64), rows["text"].tolist()
         masks = [np.zeros(len(t), bool) for t in texts]
-        key, content, low, high, owner = (joined(answers, c, t) for c, t in (("keys", np.uint64), ("contents", np.uint64), ("lows", np.uint16), ("highs", np.uint16), ("ids", np.int64)))
+        key, content, low, high, owner = (joined(answers, c, t) for c, t in (("keys", np.uint32), ("contents", np.uint64), ("lows", np.uint16), ("highs", np.uint16), ("ids", np.int64)))
         order = np.argsort(content, kind="stable")
         key, content, low, high, owner = key[order], content[order], low[order].astype(np.int64), high[order].astype(np.int64), owner[order]
         for _, _, _, run_key, run_content, doc, at in each(rows) if len(key) else ():
             a, b = np.searchsorted(content, run_content, "left"), np.searchsorted(content, run_content, "right")
             run = np.repeat(np.arange(len(a)), b - a)
             seg = np.arange(len(run)) - np.repeat(np.cumsum(b - a) - (b - a), b - a) + a[run]
-            hit = (key[seg] == run_key[run]) & (owner[seg] < ids[doc[run]])
+            hit = (key[seg] == _tag(run_key[run])) & (owner[seg] < ids[doc[run]])
             run, seg = run[hit], seg[hit]
             for d, x, y in zip(doc[run].tolist(), (at[run] + low[seg]).tolist(), (at[run] + high[seg] + depth - 1).tolist()):
                 masks[d][x:y] = True
