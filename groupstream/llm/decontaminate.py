@@ -24,11 +24,12 @@ import re
 from collections import Counter
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import slices
+
 SHINGLE, SIMILARITY, RADIUS, ITEMS = 5, 0.8, 19, 5_000
 BASE, MIX = 0x9E3779B97F4A7C15, 0xBF58476D1CE4E5B9
 BACK = pow(BASE, -1, 1 << 64)
@@ -182,17 +183,18 @@ def matches(docs: DataFrame, benchmark: DataFrame, similarity: float = SIMILARIT
     spark = docs.sparkSession
     slim = docs.select(F.col(id_column).cast("long").alias("id"), F.coalesce(F.col(text).cast("string"), F.lit("")).alias("text"))
     layout = "id long, item_id long, similarity double, first_word long, n_words long"
+    columns = [("id", pa.int64()), ("item_id", pa.int64()), ("similarity", pa.float64()), ("first_word", pa.int64()), ("n_words", pa.int64())]
     out = spark.createDataFrame([], layout)
     for held in item_batches(benchmark):
         shared = spark.sparkContext.broadcast(held)
 
         def run(batches, shared=shared):
             items = Items(shared.value)
-            for b in batches:
-                rows = [(i, *m) for i, t in zip(b["id"].tolist(), b["text"]) for m in items.matches(t, similarity)]
-                yield pd.DataFrame(rows, columns=["id", "item_id", "similarity", "first_word", "n_words"]).astype({"id": "Int64"})
+            for b in slices(batches):
+                rows = [(i, *m) for i, t in zip(b.column("id").to_pylist(), b.column("text").to_pylist()) for m in items.matches(t, similarity)]
+                yield pa.RecordBatch.from_pydict({n: pa.array([r[k] for r in rows], kind) for k, (n, kind) in enumerate(columns)})
 
-        out = out.unionByName(slim.mapInPandas(run, layout))
+        out = out.unionByName(slim.mapInArrow(run, layout))
     return out
 
 
@@ -203,7 +205,7 @@ def clean(docs: DataFrame, benchmark: DataFrame, similarity: float = SIMILARITY,
 
         def run(batches, shared=shared):
             items = Items(shared.value)
-            for b in batches:
+            for b in slices(batches):
                 yield b.filter(pa.array([not items.matches(t or "", similarity) for t in b.column(text).to_pylist()], pa.bool_()))
 
         docs = docs.mapInArrow(run, docs.schema)

@@ -23,7 +23,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut
+from .common import cut, slices
 
 FEATURES, FOLDS, BINS, SEED = 256, 4, 2048, 7
 PENALTIES = (1e-4, 1e-3, 1e-2, 1e-1)
@@ -80,10 +80,11 @@ def measured(docs: DataFrame, text: str = "text", id_column: str = "doc_id") ->
     names = [f"f{i}" for i in range(len(NAMES))]
 
     def run(batches):
-        for b in batches:
-            yield pd.DataFrame(np.array([statistics(t) for t in b["text"]]).reshape(-1, len(names)), columns=names).assign(id=b["id"].astype("Int64").to_numpy())
+        for b in slices(batches):
+            x = np.array([statistics(t) for t in b.column("text").to_pylist()]).reshape(-1, len(names))
+            yield pa.RecordBatch.from_arrays([*[pa.array(c) for c in x.T], b.column("id")], [*names, "id"])
 
-    return docs.select(F.col(id_column).cast("long").alias("id"), F.col(text).cast("binary").alias("text")).mapInPandas(run, ", ".join(f"{c} double" for c in names) + ", id long")
+    return docs.select(F.col(id_column).cast("long").alias("id"), F.col(text).cast("binary").alias("text")).mapInArrow(run, ", ".join(f"{c} double" for c in names) + ", id long")
 
 
 class Model:
@@ -205,7 +206,7 @@ def keep_good(docs: DataFrame, labels: DataFrame, threshold: float = KEEP, text:
     model = train(measured(docs, text), training_labels(labels))
 
     def run(batches):
-        for b in batches:
+        for b in slices(batches):
             texts = b.column(text).to_pylist()
             x = np.array([statistics(t.encode("utf-8", "surrogatepass") if t else b"") for t in texts]).reshape(-1, len(NAMES))
             yield b.filter(pa.array(model.score(x) >= threshold, pa.bool_()))

@@ -17,11 +17,12 @@ from __future__ import annotations
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut
+from .common import cut, slices
 from .components import connected_components
 
 TILE, TILES, BLOCK = 4096, 128, 256
@@ -56,10 +57,10 @@ def fingerprints(docs: DataFrame, k: int = 4, bits: int = 64, text: str = "text"
     """(id, fingerprint) for every row; the fingerprint in lowercase hexadecimal digits."""
 
     def run(batches):
-        for b in batches:
-            yield pd.DataFrame({"id": b["id"], "fingerprint": [fingerprint(t, k, bits) for t in b["text"]]}).astype({"id": "Int64"})
+        for b in slices(batches):
+            yield pa.RecordBatch.from_arrays([b.column("id"), pa.array([fingerprint(t, k, bits) for t in b.column("text").to_pylist()], pa.string())], ["id", "fingerprint"])
 
-    return docs.select(F.col(id_column).cast("long").alias("id"), F.col(text).cast("binary").alias("text")).mapInPandas(run, "id long, fingerprint string")
+    return docs.select(F.col(id_column).cast("long").alias("id"), F.col(text).cast("binary").alias("text")).mapInArrow(run, "id long, fingerprint string")
 
 
 def _parts(bits: int) -> int:
