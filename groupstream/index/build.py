@@ -35,16 +35,20 @@ class GroupIndex:
         pivots = fastmap.choose_pivots(mapped, axes, wide)
         hashes = lsh.directions(n_hash, len(pivots), seed)
         points = fastmap.project(mapped, pivots, wide, variant)
-        keyed = lsh.keyed(points, *hashes, width, bits).select("z", "g").join(groups.select("g", "vec"), "g").select("z", "g", "vec")
+        keyed = settle(lsh.keyed(points, *hashes, width, bits).select("z", "g"), "keys").join(groups.select("g", "vec"), "g").select("z", "g", "vec")
         laid = settle(B.build_blocks(keyed, rows_per_block, distributed), "blocks")
         directory = settle(B.build_directory(laid, buckets), "directory")
         return GroupIndex(d, pivots, hashes, width, bits, rows_per_block, buckets, laid, directory, mode, variant)
 
     def keys(self, items: DataFrame) -> DataFrame:
-        """(v, vec, z): items under the stored pivots and hashes; vec stays the one that scores."""
+        """(v, vec, z): items under the stored pivots and hashes; vec stays the one that scores.
+
+        Keys are long expressions, so they are written out once rather than repeated in every branch of a search.
+        """
         _, mapped = fastmap.to_distance(items.select(F.col("v").alias("g"), "vec").limit(0), items, self.d, self.mode) if self.mode != "mips" else (None, items.select("v", F.concat("vec", F.array(F.lit(0.0))).alias("vec")))
         points = fastmap.project(mapped, self.pivots, self.d + (self.mode == "mips"), self.variant)
-        return lsh.keyed(points, *self.directions, self.width, self.bits).select("v", "z").join(items.select("v", "vec"), "v")
+        found = lsh.keyed(points, *self.directions, self.width, self.bits).select("v", "z")
+        return settle(found.join(items.select("v", "vec"), "v"), "asked")
 
     def top_k(self, items: DataFrame, k: int, budget: int, on_miss: str = "nearest") -> DataFrame:
         """Directory, then scan, then exact scores."""
