@@ -208,16 +208,17 @@ def _table(spark, rows: list[tuple], names: str) -> DataFrame:
 @query("ablation_components")
 def _(spark, d):
     variants = {"full": {}, "no sampler": {"sampler": False}, "no dynamic cascade": {"cascade": "none"}, "no index": {"index": False}}
-    rows = [(k, *Pipeline(spark, d, **kw).measures(items=40)) for k, kw in variants.items()]
+    base = Pipeline(spark, d)
+    rows = [(k, *Pipeline(spark, d, base=base, **kw).measures(items=40)) for k, kw in variants.items()]
     return _table(spark, rows, "variant string, hr double, ndcg double, sigma_inf double")
 
 
 @query("ablation_cascade")
 def _(spark, d):
-    rows = []
+    rows, base = [], Pipeline(spark, d)
     for name, drop in (("no similarity", "similarity"), ("no willingness", "willingness"), ("all factors", None)):
-        p = Pipeline(spark, d, sampler=False, drop=drop)
-        rows.append((name, float(p.influence(p.encoded(2)).agg(F.avg("influence")).first()[0] or 0.0)))
+        p = Pipeline(spark, d, sampler=False, drop=drop, base=base)
+        rows.append((name, float(p.spreads.agg(F.avg("influence")).first()[0] or 0.0)))
     return _table(spark, rows, "variant string, sigma_inf double")
 
 
@@ -233,13 +234,13 @@ def baseline_vectors(h: M.Home) -> dict[str, tuple[DataFrame, DataFrame]]:
 
 @query("effectiveness")
 def _(spark, d):
-    h = M.Home(spark, d)
+    h = Pipeline(spark, d)
     truth, rows = settle(_truth(h), "truth"), []
     for name, (groups, items) in baseline_vectors(h).items():
         recs = settle(search.batch_match(groups, items, 20, D), "recs")
         rows.append((name, ME.hit_ratio(recs, truth, 20).first()["hr"], ME.ndcg(recs, truth, 20).first()["ndcg"]))
     for name, kw in (("static predecessor", {"sampler": False, "cascade": "static", "index": False}), ("enhanced", {})):
-        rows.append((name, *Pipeline(spark, d, **kw).measures(items=100)[:2]))
+        rows.append((name, *Pipeline(spark, d, base=h, **kw).measures(items=100)[:2]))
     return _table(spark, rows, "method string, hr double, ndcg double")
 
 
@@ -268,7 +269,8 @@ def _(spark, d):
 
 def sweep(spark, d, name: str, values: list, items: int = 20) -> DataFrame:
     """HR, NDCG and influence for each value of a pipeline parameter."""
-    return _table(spark, [(float(v), *Pipeline(spark, d, index=False, sampler=False, cascade="static", **{name: v}).measures(items=items)) for v in values], "value double, hr double, ndcg double, sigma_inf double")
+    base = Pipeline(spark, d)
+    return _table(spark, [(float(v), *Pipeline(spark, d, index=False, sampler=False, cascade="static", base=base, **{name: v}).measures(items=items)) for v in values], "value double, hr double, ndcg double, sigma_inf double")
 
 
 for _name, _values in {"layers": [0, 1, 2], "alpha_v": [0.0, 0.5, 0.8, 1.0], "alpha_r": [1e-8, 1e-6, 1e-2, 1.0], "g1": [0.0, 0.1, 0.3], "g2": [0.0, 0.4, 0.7]}.items():

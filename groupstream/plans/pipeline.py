@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from functools import cached_property
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -25,8 +27,10 @@ SHIFT = 0.45  # weights of the small repeatable model are high; thresholds meet
 class Pipeline(Sampler, Spread):
     """One run over the home family. Options switch the sampler, the cascade and the index on or off."""
 
-    def __init__(self, spark, sf_dir, sampler: bool = True, cascade: str = "dynamic", index: bool = True, alpha_r: float = 1e-6, alpha_v: float = 0.8, layers: int = 2, g1: float = FA.GAMMA1, g2: float = FA.GAMMA2, drop: str | None = None):
+    def __init__(self, spark, sf_dir, sampler: bool = True, cascade: str = "dynamic", index: bool = True, alpha_r: float = 1e-6, alpha_v: float = 0.8, layers: int = 2, g1: float = FA.GAMMA1, g2: float = FA.GAMMA2, drop: str | None = None, base: "Pipeline | None" = None):
         super().__init__(spark, sf_dir)
+        if base is not None:  # what no option changes is worked out once for all variants
+            self.__dict__.update({k: getattr(base, k) for k in ("edges", "e0", "und", "quotas", "now", "first", "three", "counts", "sliced")})
         self.sampler, self.cascade, self.use_index = sampler, cascade, index
         self.alpha_r, self.alpha_v, self.n_layers, self.factors = alpha_r, alpha_v, layers, {"g1": g1, "g2": g2, "drop": drop}
 
@@ -38,10 +42,11 @@ class Pipeline(Sampler, Spread):
         both = last.select(F.col("a").alias("src"), F.col("b").alias("dst"), "lap")
         return settle(both.unionByName(both.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "lap")), "sampled")
 
+    @cached_property
     def vectors(self) -> DataFrame:
         return L.encode_groups(self.training_edges(), self.e0, self.layers[: self.n_layers], D)
 
-    def influence(self, groups: DataFrame, runs: int = 2) -> DataFrame:
+    def influence(self, groups: DataFrame, runs: int = 1) -> DataFrame:
         """(g, influence) of the first item of the window, per group as the only seed."""
         if self.cascade == "none":
             return groups.select("g", F.lit(0.0).alias("influence"))
@@ -57,13 +62,17 @@ class Pipeline(Sampler, Spread):
             active = CA.run_dynamic(graph, seeds, batches, runs, weights=self.factors)
         return CA.spread(active, n, runs).select(F.col("s").alias("g"), "influence")
 
+    @cached_property
+    def spreads(self) -> DataFrame:
+        return settle(self.influence(self.vectors), "spreads")
+
     def recommend(self, items: DataFrame | None = None, k: int = 20, budget: int = 60) -> DataFrame:
         """(v, rank, g, score) for a window of items."""
-        groups = settle(self.vectors(), "groups")
+        groups = self.vectors
         recent = self.group_lines.where(F.col("day") > self.group_lines.agg(F.max("day")).first()[0] - 30).select("g", "v").distinct()
         window = L.refresh_items(self.window if items is None else items, recent, groups, self.alpha_v, D)
         sides = R.group_side(groups, R.history_vectors(self.sliced.where("split = 'train'").select("g", "v").distinct(), self.e0_items, D), D)
-        g, v = R.augment(sides, window, self.influence(groups), self.alpha_r)
+        g, v = R.augment(sides, window, self.spreads, self.alpha_r)
         g, v = settle(g, "sides"), settle(v, "items")
         if not self.use_index:
             return search.batch_match(g, v, k, D + 1)
@@ -80,6 +89,5 @@ class Pipeline(Sampler, Spread):
         asked = settle(self.e0_items.join(F.broadcast(first), "v", "left_semi"), "asked")
         recs = settle(self.recommend(asked, k), "recs")
         truth = settle(self.truth().join(F.broadcast(first), "v", "left_semi"), "truth")
-        spread = self.influence(settle(self.vectors(), "groups"))
-        reach = recs.where("rank <= 5").join(spread, "g").agg(F.avg("influence")).first()[0]
+        reach = recs.where("rank <= 5").join(self.spreads, "g").agg(F.avg("influence")).first()[0]
         return ME.hit_ratio(recs, truth, k).first()["hr"], ME.ndcg(recs, truth, k).first()["ndcg"], reach or 0.0

@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from .plans import catalog_evaluation, catalog_index, catalog_influence, catalog_model, catalog_sampling
+from .plans import catalog_evaluation, catalog_index, catalog_influence, catalog_model, catalog_operators, catalog_sampling
 
-CATALOGS = [catalog_model, catalog_sampling, catalog_influence, catalog_index, catalog_evaluation]
+CATALOGS = [catalog_model, catalog_sampling, catalog_influence, catalog_index, catalog_evaluation, catalog_operators]
 
 
 def queries() -> dict:
