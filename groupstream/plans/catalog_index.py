@@ -132,13 +132,13 @@ def _(spark, d):
     return spark.createDataFrame([(i, p["x"]["g"], p["y"]["g"], round(p["gap"], 6)) for i, p in enumerate(Indexed(spark, d).pivots)], "axis int, x long, y long, gap double")
 
 
-@query("fastmap_coords", "SELECT g, round(x0, 6) AS x0, round(x1, 6) AS x1, round(x2, 6) AS x2 FROM co3")
+@query("fastmap_coords", "SELECT g, round(x0, 6) + 0.0e0 AS x0, round(x1, 6) + 0.0e0 AS x1, round(x2, 6) + 0.0e0 AS x2 FROM co3")
 def _(spark, d):
     s = Indexed(spark, d)
     return fastmap.project(s.mapped, s.pivots, D + 1).select("g", *M.spread("xs", AXES))
 
 
-@query("fastmap_coords_printed", "SELECT g, round(x0, 6) AS x0 FROM printed0")
+@query("fastmap_coords_printed", "SELECT g, round(x0, 6) + 0.0e0 AS x0 FROM printed0")
 def _(spark, d):
     s = Indexed(spark, d)
     return fastmap.project(s.mapped, s.pivots[:1], D + 1, "printed").select("g", *M.spread("xs", 1))

@@ -162,7 +162,7 @@ def _(spark, d):
 
 
 def _sequence(s: Sampler, slices: int = 2) -> DataFrame:
-    return O.snapshot_sequence(s.und, s.counts, slices, SHARE, OVERLAP)
+    return O.snapshot_sequence(s.und, s.counts, slices, SHARE, OVERLAP, quotas=s.quotas)
 
 
 @query("snapshot_sequence", "SELECT 0 AS slice, 'fresh' AS origin, a, b FROM sample0 UNION ALL SELECT 1, 'overlap', a, b FROM reused1 UNION ALL SELECT 1, 'fresh', a, b FROM fresh1")

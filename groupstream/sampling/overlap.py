@@ -54,18 +54,21 @@ def sample_fresh(previous: DataFrame, current: DataFrame, reused: DataFrame, quo
     return sample_fixed(drawn, salt, "missing").select(*current.columns, F.lit("fresh").alias("origin"))
 
 
-def snapshot_sequence(edges: DataFrame, counts: DataFrame, slices: int, share: float = 0.3, overlap: float = 0.5, kind: str = "laplacian", salt: str = "slice") -> DataFrame:
-    """(slice, origin, a, b, ...): the sampled subgraph of every slice. edges hold their set (ci, cj), degrees and lap."""
+def snapshot_sequence(edges: DataFrame, counts: DataFrame, slices: int, share: float = 0.3, overlap: float = 0.5, kind: str = "laplacian", salt: str = "slice", quotas: DataFrame | None = None) -> DataFrame:
+    """(slice, origin, a, b, ...): the sampled subgraph of every slice. edges hold their set (ci, cj), degrees and lap.
+
+    Quotas are the same share of each slice's graph, unless given for all slices.
+    """
     previous, out = None, None
     for t in range(slices):
         current = slice_graph(edges, counts, t)
-        quotas = settle(allocate(current, share), "quotas")
+        num = settle(allocate(current, share), "quotas") if quotas is None else quotas
         if previous is None:
-            drawn = draw_probability(current, kind).join(quotas.select(*_SET, "num"), _SET)
+            drawn = draw_probability(current, kind).join(num.select(*_SET, "num"), _SET)
             now = sample_fixed(drawn, f"{salt}{t}").select(*current.columns, F.lit("fresh").alias("origin"))
         else:
-            reused = sample_overlap(previous, current, drifting(counts, t), quotas, overlap)
-            now = reused.unionByName(sample_fresh(previous, current, reused, quotas, kind, f"{salt}{t}"))
+            reused = sample_overlap(previous, current, drifting(counts, t), num, overlap)
+            now = reused.unionByName(sample_fresh(previous, current, reused, num, kind, f"{salt}{t}"))
         previous = settle(now, "slice")
         labelled = previous.select(F.lit(t).alias("slice"), "origin", *edges.columns)
         out = labelled if out is None else out.unionByName(labelled)
