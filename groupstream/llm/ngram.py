@@ -289,7 +289,7 @@ class Model:
         token, previous = _short(token), _short(previous)
         words, of = np.unique(token, return_inverse=True)
         uses, distinct = self._lookup("words", words, 3).T
-        base = self.uniform + (np.maximum(distinct - self.word_discounts[np.minimum(distinct, 3)], 0) / self.sums["pairs"] if self.sums["pairs"] else 0.0)
+        base = self.uniform + np.maximum(distinct - self.word_discounts[np.minimum(distinct, 3)], 0) / max(1, self.sums["pairs"])
         contexts, where = np.unique(previous, return_inverse=True)
         total, n1, n2, n3 = self._lookup("contexts", contexts, 5).T
         left = np.where(total > 0, (np.stack([n1, n2, n3], 1) @ self.pair_discounts[1:]) / np.maximum(total, 1), 1.0)
