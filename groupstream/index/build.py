@@ -7,6 +7,7 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..functions.linalg import norm
 from ..sources.storage import settle
 from . import blocks as B
 from . import fastmap, lsh, search
@@ -25,6 +26,7 @@ class GroupIndex:
     directory: DataFrame
     mode: str
     variant: str
+    longest: float
 
     @staticmethod
     def build(groups: DataFrame, d: int, axes: int = 4, n_hash: int = 4, bits: int = 8, width: float = 0.25, rows_per_block: int = 256, buckets: int = 1024, seed: int = 3, mode: str = "mips", variant: str = "standard", distributed: bool = True) -> "GroupIndex":
@@ -38,14 +40,15 @@ class GroupIndex:
         keyed = settle(lsh.keyed(points, *hashes, width, bits).select("z", "g"), "keys").join(groups.select("g", "vec"), "g").select("z", "g", "vec")
         laid = settle(B.build_blocks(keyed, rows_per_block, distributed), "blocks")
         directory = settle(B.build_directory(laid, buckets), "directory")
-        return GroupIndex(d, pivots, hashes, width, bits, rows_per_block, buckets, laid, directory, mode, variant)
+        longest = groups.agg(F.max(norm(F.col("vec"), d))).first()[0] or 0.0
+        return GroupIndex(d, pivots, hashes, width, bits, rows_per_block, buckets, laid, directory, mode, variant, longest)
 
     def keys(self, items: DataFrame) -> DataFrame:
         """(v, vec, z): items under the stored pivots and hashes; vec stays the one that scores.
 
         Keys are long expressions, so they are written out once rather than repeated in every branch of a search.
         """
-        _, mapped = fastmap.to_distance(items.select(F.col("v").alias("g"), "vec").limit(0), items, self.d, self.mode) if self.mode != "mips" else (None, items.select("v", F.concat("vec", F.array(F.lit(0.0))).alias("vec")))
+        mapped = items.select("v", fastmap.scaled(F.lit(self.longest), self.d)) if self.mode == "mips" else items.select("v", "vec")
         points = fastmap.project(mapped, self.pivots, self.d + (self.mode == "mips"), self.variant)
         found = lsh.keyed(points, *self.directions, self.width, self.bits).select("v", "z")
         return settle(found.join(items.select("v", "vec"), "v"), "asked")

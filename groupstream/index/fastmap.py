@@ -11,14 +11,20 @@ from ..functions.linalg import dot, norm
 def to_distance(groups: DataFrame, items: DataFrame, d: int, mode: str = "mips") -> tuple[DataFrame, DataFrame]:
     """Vectors whose Euclidean distance stands for relevance.
 
-    mips: groups get the component that brings all of them to the longest one's length, items get a zero; then a higher
-    inner product is a smaller distance. euclid: the vectors as they are.
+    mips: groups get the component that brings all of them to the longest one's length, items get a zero and are scaled to
+    that length, which changes no order; then a higher inner product is a smaller distance. euclid: the vectors as they are.
     """
     if mode == "euclid":
         return groups.select("g", "vec"), items.select("v", "vec")
     longest = F.broadcast(groups.agg(F.max(norm(F.col("vec"), d)).alias("longest")))
     rest = F.sqrt(F.greatest(F.col("longest") * F.col("longest") - dot(F.col("vec"), F.col("vec"), d), F.lit(0.0)))
-    return groups.join(longest).select("g", F.concat("vec", F.array(rest)).alias("vec")), items.select("v", F.concat("vec", F.array(F.lit(0.0))).alias("vec"))
+    return groups.join(longest).select("g", F.concat("vec", F.array(rest)).alias("vec")), items.join(longest).select("v", scaled(F.col("longest"), d))
+
+
+def scaled(length: Column, d: int) -> Column:
+    """An item's vector at the given length (zero stays zero), with the zero that completes it."""
+    own = norm(F.col("vec"), d)
+    return F.when(own > 0, F.concat(F.transform("vec", lambda x: x * (length / own)), F.array(F.lit(0.0)))).otherwise(F.concat("vec", F.array(F.lit(0.0)))).alias("vec")
 
 
 def square(a: Column, b: Column, d: int) -> Column:

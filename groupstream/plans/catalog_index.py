@@ -21,7 +21,7 @@ from ..model import groups as G
 from ..operators.joins import positions
 from ..sources.storage import settle
 from . import catalog_model as M
-from .cte import D, compose, num, vdot
+from .cte import D, compose, num, vdot, vmap
 
 QUERIES: dict = {}
 SQL: dict[str, str] = {}
@@ -107,7 +107,7 @@ _HASH = f"(((key % {B.PRIME}) * {B.A} + {B.B}) % {B.PRIME}) % {BUCKETS}"
 INDEX = {
     "arriving": "SELECT * FROM iv WHERE v IN (SELECT p_partkey FROM part ORDER BY p_partkey LIMIT 100)",
     "co0": f"SELECT g, list_append(vec, sqrt(greatest(m * m - {vdot('vec', 'vec')}, 0.0e0))) AS vec FROM pg_market, (SELECT max(sqrt({vdot('vec', 'vec')})) AS m FROM pg_market)",
-    "cv0": "SELECT v, list_append(vec, 0.0e0) AS vec FROM arriving",
+    "cv0": f"SELECT v, CASE WHEN own > 0 THEN list_append({vmap('vec', '{} * (m / own)')}, 0.0e0) ELSE list_append(vec, 0.0e0) END AS vec FROM (SELECT v, vec, sqrt({vdot('vec', 'vec')}) AS own FROM arriving), (SELECT max(sqrt({vdot('vec', 'vec')})) AS m FROM pg_market)",
     **_axis(0),
     **_axis(1),
     **_axis(2),
