@@ -1,7 +1,7 @@
 """A corpus pipeline: five stages, each a written table that the next one reads.
 
-quality: documents that the classifier rejects go. near_duplicates: of each group of near copies (five-word shingles) the
-document with the smallest id stays. decontamination: documents that repeat a benchmark item go. mixing: sources are
+quality: documents that the classifier rejects go. near_duplicates: of each group of near copies (five-word shingles,
+similarity 0.8 or more) the document with the smallest id stays. decontamination: documents that repeat a benchmark item go. mixing: sources are
 sampled and repeated to their target weights. sharding: what is left is laid out in shards of near equal bytes.
 """
 
@@ -19,7 +19,7 @@ def keep_good(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return simhash.keep_one_of_each(docs, k=5, bits=128, radius=28)
+    return simhash.keep_one_of_each(docs, k=5, bits=128, radius=28, similarity=0.8)
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -10,7 +10,8 @@ Only the histogram of bit counts reaches the driver (at most 17**4 cells for 64
 
 Cases: null and empty texts have the fingerprint zero and are linked like others; texts shorter than a shingle count as
 one shingle; rows without an id get a fingerprint but name no component; repeated rows and ties share one fingerprint;
-an empty table gives an empty result; other columns are ignored by the query and kept by `keep_one_of_each`.
+an empty table gives an empty result; other columns are ignored by the query and kept by `keep_one_of_each`, which lets
+only documents go whose exact similarity to the group's original is high enough.
 """
 
 from __future__ import annotations
@@ -25,7 +26,7 @@ from pyspark.sql import functions as F
 from .common import cut, slices
 from .components import connected_components
 
-TILE, TILES, BLOCK = 4096, 128, 256
+TILE, TILES, BLOCK = 16_384, 128, 256
 SEED = 42
 
 
@@ -205,11 +206,67 @@ def near_duplicates(docs: DataFrame, k: int = 4, bits: int = 64, radius: int = 4
     return each.join(named, F.col("fingerprint") == F.col("f")).select("id", "fingerprint", "component_id")
 
 
-def keep_one_of_each(docs: DataFrame, **kw) -> DataFrame:
-    """The documents of docs that have the smallest id of their group, each once."""
-    found = near_duplicates(docs, **kw)
-    kept = found.where("id = component_id").select(F.col("id").alias("kept_id")).distinct()
-    return docs.join(kept, F.col(kw.get("id_column", "doc_id")) == F.col("kept_id"), "left_semi").dropDuplicates([kw.get("id_column", "doc_id")])
+def shingle_sets(docs: DataFrame, k: int, text: str = "text", id_column: str = "doc_id") -> DataFrame:
+    """(id, shingles): the distinct hashes of each text's word shingles."""
+
+    def one(value: bytes | None) -> list[int]:
+        words = (value or b"").lower().split()
+        if not words:
+            return []
+        joined, starts, ends = _spans(words, k)
+        return np.unique(np.array([xxhash.xxh64_intdigest(joined[a:b], SEED) for a, b in zip(starts, ends)], np.uint64)).view(np.int64).tolist()
+
+    def run(batches):
+        for b in slices(batches):
+            yield pa.RecordBatch.from_arrays([b.column("id"), pa.array([one(t) for t in b.column("text").to_pylist()], pa.list_(pa.int64()))], ["id", "shingles"])
+
+    return docs.select(F.col(id_column).cast("long").alias("id"), F.col(text).cast("binary").alias("text")).mapInArrow(run, "id long, shingles array<long>")
+
+
+def _words(bits: int):
+    """The fingerprint as numbers of 32 bits."""
+    return [F.conv(F.substring("fingerprint", 1 + 8 * i, 8), 16, 10).cast("long") for i in range(bits // 32)]
+
+
+def verified_copies(docs: DataFrame, k: int = 5, bits: int = 128, radius: int = 28, similarity: float = 0.8, rounds: int = 3, text: str = "text", id_column: str = "doc_id") -> DataFrame:
+    """(id): documents that go, since one with a smaller id or the same stays that is a near copy of the same original.
+
+    Linked fingerprints make candidate groups. Of each, the member nearest to the majority of the group's bits, which is
+    the original where copies have edits of their own, is compared exactly with all others; those whose shingles have a
+    Jaccard similarity of at least `similarity` with it go, but for the smallest id. What did not pass is grouped again
+    without them, so many rounds, and stays after that.
+    """
+    found = near_duplicates(docs, k, bits, radius, text, id_column).where("id is not null")
+    groups = found.groupBy("component_id").agg(F.count("*").alias("n")).where("n > 1").select("component_id")
+    members = cut(found.join(groups, "component_id").select(F.col("component_id").alias("group"), "id", "fingerprint").distinct(), "members")
+    # Neither this list of ids nor that of documents that go has a bound, so texts meet them in a shuffle at every size.
+    mine = docs.join(members.select(F.col("id").alias("member")).hint("merge"), F.col(id_column) == F.col("member"), "left_semi")
+    left = cut(members.join(shingle_sets(mine, k, text, id_column).dropDuplicates(["id"]), "id"), "member-shingles")
+    gone = None
+    for _ in range(rounds):
+        bit = [F.sum(F.shiftright(w, j).bitwiseAND(F.lit(1).cast("long"))).alias(f"b{i}_{j}") for i, w in enumerate(_words(bits)) for j in range(32)]
+        sums = left.groupBy("group").agg(F.count("*").alias("n"), *bit).where("n > 1")
+        majority = [sum((F.shiftleft((2 * F.col(f"b{i}_{j}") > F.col("n")).cast("long"), j) for j in range(1, 32)), (2 * F.col(f"b{i}_0") > F.col("n")).cast("long")).alias(f"m{i}") for i in range(bits // 32)]
+        near = left.select("group", "id", *[w.alias(f"w{i}") for i, w in enumerate(_words(bits))]).join(sums.select("group", *majority), "group")
+        away = sum((F.bit_count(F.col(f"w{i}").bitwiseXOR(F.col(f"m{i}"))) for i in range(1, bits // 32)), F.bit_count(F.col("w0").bitwiseXOR(F.col("m0"))))
+        leaders = near.groupBy("group").agg(F.min(F.struct(away.alias("away"), "id")).alias("best")).select(F.col("best.id").alias("id"))
+        first = left.join(leaders, "id", "left_semi").select("group", F.col("shingles").alias("first"))
+        common = F.size(F.array_intersect("shingles", "first"))
+        close = common >= F.lit(similarity) * (F.size("shingles") + F.size("first") - common)
+        judged = cut(left.join(first, "group").select("group", "id", "fingerprint", "shingles", close.alias("close")), "judged")
+        stays = judged.where("close").groupBy("group").agg(F.min("id").alias("stays"))
+        out = judged.where("close").join(stays, "group").where("id <> stays").select("id")
+        gone = out if gone is None else gone.unionByName(out)
+        left = judged.where("not close").select("group", "id", "fingerprint", "shingles")
+        if left.isEmpty():
+            break
+    return cut(gone, "gone")
+
+
+def keep_one_of_each(docs: DataFrame, text: str = "text", id_column: str = "doc_id", **kw) -> DataFrame:
+    """The documents that stay, unchanged; of rows equal in id and text one. Rows without an id are no one's copies."""
+    gone = verified_copies(docs, text=text, id_column=id_column, **kw).select(F.col("id").alias("gone_id")).hint("merge")
+    return docs.join(gone, F.col(id_column) == F.col("gone_id"), "left_anti").dropDuplicates([id_column, text])
 
 
 def query(spark, sf_dir):
