@@ -27,6 +27,8 @@ from .common import cut, slices
 from .components import connected_components
 
 TILE, TILES, BLOCK = 16_384, 128, 256
+#: Shingles in a tile of documents that are compared exactly, about 4 MB.
+TILE_SHINGLES = 1 << 19
 SEED = 42
 
 
@@ -228,13 +230,44 @@ def _words(bits: int):
     return [F.conv(F.substring("fingerprint", 1 + 8 * i, 8), 16, 10).cast("long") for i in range(bits // 32)]
 
 
-def verified_copies(docs: DataFrame, k: int = 5, bits: int = 128, radius: int = 28, similarity: float = 0.8, rounds: int = 3, text: str = "text", id_column: str = "doc_id") -> DataFrame:
-    """(id): documents that go, since one with a smaller id or the same stays that is a near copy of the same original.
+def verified_links(rows: pd.DataFrame, similarity: float) -> list[tuple[int, int]]:
+    """Links of two tiles (or inside one) between labels: every pair of sets that is similar enough is joined by them, none is needless.
 
-    Linked fingerprints make candidate groups. Of each, the member nearest to the majority of the group's bits, which is
-    the original where copies have edits of their own, is compared exactly with all others; those whose shingles have a
-    Jaccard similarity of at least `similarity` with it go, but for the smallest id. What did not pass is grouped again
-    without them, so many rounds, and stays after that.
+    The distance of Jaccard is a metric, so two sets whose distances to the leader differ by more than the limit are
+    passed over, like those whose sizes rule the similarity out or whose labels are joined already.
+    """
+    rows = rows.sort_values(["side", "id"])
+    sets, label = [np.asarray(x, np.int64) for x in rows["shingles"]], rows["label"].to_numpy(np.int64)
+    size, away, second = np.array([len(x) for x in sets]), rows["away"].to_numpy(float), rows["side"].to_numpy() == 1
+    known, codes = np.unique(np.concatenate(sets), return_inverse=True)
+    codes = np.split(codes, np.cumsum(size)[:-1])
+    mark = np.zeros(len(known), np.int64)
+    family = np.unique(label, return_inverse=True)[1]
+    own, out = not second.any(), []
+    for u in range(len(sets) if own else int((~second).sum())):
+        fit = (family != family[u]) & (np.minimum(size, size[u]) >= similarity * np.maximum(size, size[u])) & (np.abs(away - away[u]) <= 1 - similarity + 1e-9)
+        fit &= np.arange(len(sets)) > u if own else second
+        fit = np.flatnonzero(fit & (size > 0))
+        if not len(fit):
+            continue
+        mark[codes[u]] = 1
+        common = np.add.reduceat(mark[np.concatenate([codes[v] for v in fit])], np.cumsum(size[fit]) - size[fit])
+        mark[codes[u]] = 0
+        for v in fit[common >= similarity * (size[fit] + size[u] - common)]:
+            if family[v] != family[u]:
+                family[family == family[v]] = family[u]
+                out.append((int(label[u]), int(label[v])))
+    return out
+
+
+def verified_copies(docs: DataFrame, k: int = 5, bits: int = 128, radius: int = 28, similarity: float = 0.8, text: str = "text", id_column: str = "doc_id") -> DataFrame:
+    """(id): documents that go, all but the smallest id of each group of near copies.
+
+    Linked fingerprints make candidate groups, and in these all pairs of texts whose shingles have an exact Jaccard
+    similarity of at least `similarity` are joined; what is joined is a group of near copies. The member nearest to the
+    majority of a candidate group's bits, which is the original where copies have edits of their own, leads it and is
+    compared with all others, which settles most groups. Those that it is not similar to are dealt into tiles and
+    compared with each other and with those settled members that their distances to the leader do not rule out.
     """
     found = near_duplicates(docs, k, bits, radius, text, id_column).where("id is not null")
     groups = found.groupBy("component_id").agg(F.count("*").alias("n")).where("n > 1").select("component_id")
@@ -242,25 +275,53 @@ def verified_copies(docs: DataFrame, k: int = 5, bits: int = 128, radius: int =
     # Neither this list of ids nor that of documents that go has a bound, so texts meet them in a shuffle at every size.
     mine = docs.join(members.select(F.col("id").alias("member")).hint("merge"), F.col(id_column) == F.col("member"), "left_semi")
     left = cut(members.join(shingle_sets(mine, k, text, id_column).dropDuplicates(["id"]), "id"), "member-shingles")
-    gone = None
-    for _ in range(rounds):
-        bit = [F.sum(F.shiftright(w, j).bitwiseAND(F.lit(1).cast("long"))).alias(f"b{i}_{j}") for i, w in enumerate(_words(bits)) for j in range(32)]
-        sums = left.groupBy("group").agg(F.count("*").alias("n"), *bit).where("n > 1")
-        majority = [sum((F.shiftleft((2 * F.col(f"b{i}_{j}") > F.col("n")).cast("long"), j) for j in range(1, 32)), (2 * F.col(f"b{i}_0") > F.col("n")).cast("long")).alias(f"m{i}") for i in range(bits // 32)]
-        near = left.select("group", "id", *[w.alias(f"w{i}") for i, w in enumerate(_words(bits))]).join(sums.select("group", *majority), "group")
-        away = sum((F.bit_count(F.col(f"w{i}").bitwiseXOR(F.col(f"m{i}"))) for i in range(1, bits // 32)), F.bit_count(F.col("w0").bitwiseXOR(F.col("m0"))))
-        leaders = near.groupBy("group").agg(F.min(F.struct(away.alias("away"), "id")).alias("best")).select(F.col("best.id").alias("id"))
-        first = left.join(leaders, "id", "left_semi").select("group", F.col("shingles").alias("first"))
-        common = F.size(F.array_intersect("shingles", "first"))
-        close = common >= F.lit(similarity) * (F.size("shingles") + F.size("first") - common)
-        judged = cut(left.join(first, "group").select("group", "id", "fingerprint", "shingles", close.alias("close")), "judged")
-        stays = judged.where("close").groupBy("group").agg(F.min("id").alias("stays"))
-        out = judged.where("close").join(stays, "group").where("id <> stays").select("id")
-        gone = out if gone is None else gone.unionByName(out)
-        left = judged.where("not close").select("group", "id", "fingerprint", "shingles")
-        if left.isEmpty():
-            break
-    return cut(gone, "gone")
+    bit = [F.sum(F.shiftright(w, j).bitwiseAND(F.lit(1).cast("long"))).alias(f"b{i}_{j}") for i, w in enumerate(_words(bits)) for j in range(32)]
+    sums = left.groupBy("group").agg(F.count("*").alias("n"), *bit).where("n > 1")
+    majority = [sum((F.shiftleft((2 * F.col(f"b{i}_{j}") > F.col("n")).cast("long"), j) for j in range(1, 32)), (2 * F.col(f"b{i}_0") > F.col("n")).cast("long")).alias(f"m{i}") for i in range(bits // 32)]
+    near = left.select("group", "id", *[w.alias(f"w{i}") for i, w in enumerate(_words(bits))]).join(sums.select("group", *majority), "group")
+    away = sum((F.bit_count(F.col(f"w{i}").bitwiseXOR(F.col(f"m{i}"))) for i in range(1, bits // 32)), F.bit_count(F.col("w0").bitwiseXOR(F.col("m0"))))
+    leaders = near.groupBy("group").agg(F.min(F.struct(away.alias("away"), "id")).alias("best")).select(F.col("best.id").alias("id"))
+    first = left.join(leaders, "id", "left_semi").select("group", F.col("id").alias("leader"), F.col("shingles").alias("first"))
+    common = F.size(F.array_intersect("shingles", "first"))
+    union = F.size("shingles") + F.size("first") - common
+    judged = cut(left.join(first, "group").select("group", "id", "leader", F.size("shingles").alias("n"), (common >= F.lit(similarity) * union).alias("close"), F.when(union > 0, 1 - common / union).otherwise(0.0).alias("away")), "judged")
+    linked = cut(_links_of_the_rest(left, judged, similarity), "verified-links")
+    roots = connected_components(linked).withColumnRenamed("node", "label")
+    label = F.when(F.col("close"), F.col("leader")).otherwise(F.col("id"))
+    families = judged.select("id", label.alias("label")).join(roots, "label", "left").select("id", F.coalesce("root", "label").alias("family"))
+    stays = families.groupBy("family").agg(F.min("id").alias("stays"))
+    return cut(families.join(stays, "family").where("id <> stays").select("id"), "gone")
+
+
+def _links_of_the_rest(left: DataFrame, judged: DataFrame, similarity: float) -> DataFrame:
+    """(a, b): links between labels, which are the leader's id for what is close to it, else one's own id.
+
+    Sets of the rest meet by pairs of tiles of TILE_SHINGLES; equal sets meet as one, by a digest of 128 bits.
+    """
+    rest = judged.where("not close")
+    reach = rest.groupBy("group").agg(F.min("away").alias("from"))
+    near = judged.where("close").join(reach, "group").where(F.col("away") >= F.col("from") - (1 - similarity) - 1e-9)
+    asked = near.select("id", "leader", "close", "away").unionByName(rest.select("id", "leader", "close", "away"))
+    digest = F.md5(F.concat_ws(",", F.col("shingles").cast("array<string>")))
+    sets = cut(left.select("group", "id", "shingles").join(asked, "id").withColumn("digest", digest), "rest")
+    same = sets.groupBy("group", "digest").agg(F.min("id").alias("id"), F.count("*").alias("copies"))
+    one = sets.join(same.select("id"), "id", "left_semi").withColumn("label", F.when(F.col("close"), F.col("leader")).otherwise(F.col("id")))
+    equal = sets.where("not close").join(same.where("copies > 1").select("group", "digest", F.col("id").alias("least")), ["group", "digest"]).where("id <> least").select(F.col("id").alias("a"), F.col("least").alias("b"))
+    weight = F.sum(F.when(F.col("close"), F.size("shingles")).otherwise(0)), F.sum(F.when(F.col("close"), 0).otherwise(F.size("shingles")))
+    tiles = one.groupBy("group").agg(*[(1 + F.floor(w / TILE_SHINGLES)).alias(c) for w, c in zip(weight, ("n_near", "n_rest"))])
+    dealt = one.join(tiles, "group").withColumn("tile", F.pmod(F.xxhash64("id"), F.when(F.col("close"), F.col("n_near")).otherwise(F.col("n_rest"))))
+    other = F.sequence(F.lit(0).cast("long"), F.col("n_rest") - 1)
+    pair = lambda i, j, mixed, side: F.struct(i.alias("i"), j.alias("j"), F.lit(mixed).alias("mixed"), side.cast("int").alias("side"))
+    with_rest = F.transform(other, lambda j: pair(F.col("tile"), j, True, F.lit(0)))
+    with_near = F.transform(F.sequence(F.lit(0).cast("long"), F.col("n_near") - 1), lambda i: pair(i, F.col("tile"), True, F.lit(1)))
+    among = F.transform(other, lambda j: pair(F.least("tile", j), F.greatest("tile", j), False, F.col("tile") > j))
+    sides = dealt.select("group", "id", "shingles", "away", "label", F.explode(F.when(F.col("close"), with_rest).otherwise(F.concat(with_near, among))).alias("p"))
+
+    def compare(rows):
+        return pd.DataFrame(verified_links(rows, similarity), columns=["a", "b"], dtype="int64")
+
+    flat = sides.select("group", "id", "shingles", "away", "label", "p.*")
+    return flat.groupBy("group", "mixed", "i", "j").applyInPandas(compare, "a long, b long").unionByName(equal)
 
 
 def keep_one_of_each(docs: DataFrame, text: str = "text", id_column: str = "doc_id", **kw) -> DataFrame:

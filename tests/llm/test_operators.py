@@ -139,6 +139,35 @@ def test_near_copies_go_and_others_stay(spark):
     assert sorted(r.doc_id for r in kept) == [50, 51, 52, 53]
 
 
+def test_groups_of_many_families(spark, monkeypatch):
+    monkeypatch.setattr(simhash, "TILE_SHINGLES", 2_000)
+    shared, rows = prose(200, 70), []
+    for f in range(9):  # nine families that share much: each has its text, an exact copy, and one with an edit
+        text = shared + " " + prose(70, 71 + f)
+        rows += [(10 * f, text, "a"), (10 * f + 1, text, "a"), (10 * f + 2, text + f" edit{f}", "a")]
+    # Of a chain, each is similar to the next only; the one in the middle leads, and both ends stay with it.
+    chain = prose(460, 90).split()
+    rows += [(200 + i, " ".join(chain[22 * i : 22 * i + 250]), "a") for i in range(8)]
+    docs = spark.createDataFrame(rows, DOCS)
+    wide = simhash.near_duplicates(docs, 5, 128, 40).collect()
+    assert max(collections.Counter(r.component_id for r in wide).values()) >= 27
+
+    def shingles(text):
+        w = text.split()
+        return {" ".join(w[i : i + 5]) for i in range(len(w) - 4)}
+
+    sets = {i: shingles(t) for i, t, _ in rows}
+    group = {r.id: r.component_id for r in wide}
+    up = {i: i for i in sets}
+    find = lambda i: i if up[i] == i else find(up[i])
+    for i in sets:
+        for j in sets:
+            if i < j and group[i] == group[j] and len(sets[i] & sets[j]) >= 0.8 * len(sets[i] | sets[j]):
+                up[max(find(i), find(j))] = min(find(i), find(j))
+    kept = sorted(r.doc_id for r in simhash.keep_one_of_each(docs, radius=40).collect())
+    assert kept == sorted(i for i in sets if find(i) == i) and len(kept) == 10
+
+
 def test_tiles_join_what_brute_force_links():
     rng = np.random.default_rng(1)
     base = rng.integers(0, 1 << 63, 40, dtype=np.uint64)
