@@ -1,9 +1,11 @@
 """Substring deduplication by content-defined chunking.
 
-A gear rolling hash over the last 16 bytes ends a chunk wherever five of its bits are zero, so chunks follow the content
-(32 bytes on average) and an insertion moves no boundary but those next to it. A chunk is a duplicate if its digest
-occurs earlier, in a document with a smaller id or before it in the same one. A run of duplicate chunks is removed if it
-spans at least MIN_BYTES; shorter ones are common phrases and stay.
+A gear rolling hash over the last 16 bytes ends a chunk wherever four of its bits are zero, so chunks follow the content
+(16 bytes on average) and an insertion moves no boundary but those next to it. A chunk of more than LONG bytes, as
+repeated words make, is cut on where fewer of the bits are zero. A chunk is a duplicate if its digest occurs earlier, in
+a document with a smaller id or before it in the same one. A run of duplicate chunks is removed if it spans at least
+MIN_BYTES; shorter ones are common phrases and stay, but for a document that is shorter as a whole: it goes if its whole
+text is that of a document with a smaller id.
 
 Cases: null and empty texts have no chunks; texts of any length are chunked whole, with chunks of 1024 bytes at most;
 rows that share an id keep what they share; null ids sort last and come back null; an empty table gives an empty result;
@@ -20,8 +22,11 @@ from pyspark.sql import functions as F
 
 from .blocks import CUT_LAYOUT, cut_out, dealt, finish, into_blocks, joined, round_trip, runs_of
 
-REACH, SHIFT, MASK, MOST = 16, 11, 31, 1024
+REACH, SHIFT, MASK, MOST = 16, 12, 15, 1024
+LONG = 64
 MIN_BYTES = 128
+#: The seed of whole texts' digests, which keeps them apart from those of chunks.
+WHOLE = 1
 
 
 def gear_table() -> np.ndarray:
@@ -36,17 +41,25 @@ def chunk_ends(text: bytes, gear: np.ndarray) -> np.ndarray:
     while reach < REACH:
         h[reach:] = h[reach:] + (h[:-reach] << np.uint32(reach))
         reach *= 2
-    ends = np.flatnonzero((h >> np.uint32(SHIFT)) & np.uint32(MASK) == 0) + 1
+    h >>= np.uint32(SHIFT)
+    ends = np.flatnonzero(h & np.uint32(MASK) == 0) + 1
     if not len(ends) or ends[-1] != len(text):
         ends = np.append(ends, len(text))
-    sizes = np.diff(ends, prepend=0)
+    sizes, mask = np.diff(ends, prepend=0), MASK >> 1
+    while mask and (sizes > LONG).any():
+        more = np.flatnonzero(h & np.uint32(mask) == 0) + 1
+        ends = np.union1d(ends, more[sizes[np.searchsorted(ends, more)] > LONG])
+        sizes, mask = np.diff(ends, prepend=0), mask >> 1
     if (sizes > MOST).any():
         ends = np.concatenate([[*range(int(e - s) + MOST, int(e), MOST), int(e)] for e, s in zip(ends, sizes)])
     return ends
 
 
-def chunk_rows(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray, list[np.ndarray]]:
-    """For all chunks in order: digest (two words), document number; and each document's chunk ends."""
+def chunk_rows(texts: list[bytes], min_bytes: int) -> tuple[np.ndarray, np.ndarray, list[np.ndarray]]:
+    """For all chunks in order: digest (two words), document number; and each document's chunk ends.
+
+    A text of fewer than `min_bytes` has one more digest after those of its chunks, of the whole.
+    """
     gear, digests, owner, ends_of = gear_table(), [], [], []
     for n, text in enumerate(texts):
         ends = chunk_ends(text, gear) if text else np.zeros(0, np.int64)
@@ -54,7 +67,9 @@ def chunk_rows(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray, list[np.ndar
         for end in ends.tolist():
             digests.append(xxhash.xxh3_128_digest(text[at:end]))
             at = end
-        owner.append(np.full(len(ends), n))
+        if 0 < len(text) < min_bytes:
+            digests.append(xxhash.xxh3_128_digest(text, WHOLE))
+        owner.append(np.full(len(ends) + (0 < len(text) < min_bytes), n))
         ends_of.append(ends)
     return np.frombuffer(b"".join(digests), np.uint64).reshape(-1, 2), np.concatenate(owner or [np.zeros(0, np.int64)]), ends_of
 
@@ -75,7 +90,7 @@ def deduplicate(docs: DataFrame, min_bytes: int = MIN_BYTES, text: str = "text",
 
     def send(rows):
         ids = rows["id"].to_numpy(np.int64)
-        words, owner, _ = chunk_rows(rows["text"].tolist())
+        words, owner, _ = chunk_rows(rows["text"].tolist(), min_bytes)
         distinct, first, _ = _first(words, ids[owner])
         order, parts = dealt((distinct[:, 0] % np.uint64(buckets)).astype(np.int64), buckets)
         distinct, first, block = distinct[order], first[order], int(rows["block"].iloc[0])
@@ -95,16 +110,16 @@ def deduplicate(docs: DataFrame, min_bytes: int = MIN_BYTES, text: str = "text",
         if rows.empty:
             return pd.DataFrame(columns=["id", "n_bytes", "kept", "spans", "n_chunks", "n_duplicate_chunks"])
         ids, texts = rows["id"].to_numpy(np.int64), rows["text"].tolist()
-        words, owner, ends_of = chunk_rows(texts)
+        words, owner, ends_of = chunk_rows(texts, min_bytes)
         told, told_ids = joined(answers, "digests", np.uint64).reshape(-1, 2), joined(answers, "ids", np.int64)
         _, first, at = _first(np.concatenate([words, told]), np.concatenate([ids[owner], told_ids]))
         at = at[: len(words)]
-        place = np.concatenate([np.arange(len(e)) for e in ends_of] or [np.zeros(0, np.int64)])
+        place = np.concatenate([np.arange(len(e) + (0 < len(t) < min_bytes)) for t, e in zip(texts, ends_of)] or [np.zeros(0, np.int64)])
         own = ids[owner]
         home = first[at] == own
         least = np.full(len(first), np.iinfo(np.int64).max)
         np.minimum.at(least, at[home], place[home])
-        again = ~home | (place > least[at])
+        again = ~home | (place > least[at])  # rows with one id have a whole text at one place and keep it
         masks, made, start = [], [], 0
         for n, (text, ends) in enumerate(zip(texts, ends_of)):
             dup = again[start : start + len(ends)]
@@ -117,6 +132,9 @@ def deduplicate(docs: DataFrame, min_bytes: int = MIN_BYTES, text: str = "text",
             masks.append(mask)
             made.append((len(ends), int(dup.sum())))
             start += len(ends)
+            if 0 < len(text) < min_bytes:
+                mask |= again[start]
+                start += 1
         out = cut_out(ids.tolist(), texts, masks)
         out["n_chunks"], out["n_duplicate_chunks"] = [m[0] for m in made], [m[1] for m in made]
         return out

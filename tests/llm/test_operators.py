@@ -74,6 +74,21 @@ def test_substring_dedup(spark, docs, none):
     assert substring.deduplicate(none).collect() == []
 
 
+def test_repeated_passages_and_short_copies_go(spark):
+    rows, short = [], [prose(4, 900), "one line", "x"]
+    for seed in range(400):  # 51 words, every tenth passage of two words repeated, in contexts of their own
+        passage = prose(51, 2_000 + seed) if seed % 10 else " ".join([WORDS[seed % 300]] * 30 + [WORDS[(seed + 7) % 300]] * 21)
+        rows += [(1_000 * at + seed, " ".join([prose(40, 10_000 * at + seed), passage, prose(40, 20_000 * at + seed)]), "a") for at in (1, 2)]
+    rows += [(10 * n + i, text, "a") for n, text in enumerate(short) for i in range(3)] + [(80, "one line more", "a"), (81, "one", "a"), (82, "y", "a"), (82, "y", "a"), (None, "x", "a")]
+    found = substring.deduplicate(spark.createDataFrame(rows, DOCS)).collect()
+    got = by_id(found)
+    assert sum(len(got[2_000 + seed].kept) == got[2_000 + seed].n_bytes for seed in range(400)) == 0
+    for n, text in enumerate(short):
+        assert [bytes(got[10 * n + i].kept) for i in range(3)] == [text.encode(), b"", b""]
+    assert bytes(got[80].kept) == b"one line more" and bytes(got[81].kept) == b"one" and got[None].kept == b""
+    assert [bytes(r.kept) for r in found if r.id == 82] == [b"y", b"y"]
+
+
 def brute_strings(rows, depth=50):
     first, out = {}, {}
     texts = [((1 << 63) - 1 if i is None else i, (t or "").encode()) for i, t, _ in rows]
