@@ -15,6 +15,7 @@ from ..index.build import GroupIndex
 from ..influence import cascade as CA
 from ..influence import factors as FA
 from ..influence import prop_graph as PG
+from ..model.interactions import SLICES
 from ..sampling import overlap as O
 from ..sources.storage import settle
 from .catalog_influence import Spread
@@ -38,7 +39,7 @@ class Pipeline(Sampler, Spread):
         """The relation graph that the encoder propagates over: the last sampled slice, or all of it."""
         if not self.sampler:
             return self.lap
-        last = O.snapshot_sequence(self.und, self.counts, 2, SHARE, OVERLAP).where("slice = 1").select("a", "b", "lap")
+        last = O.snapshot_sequence(self.und, self.counts, SLICES, SHARE, OVERLAP).where(F.col("slice") == SLICES - 1).select("a", "b", "lap")
         both = last.select(F.col("a").alias("src"), F.col("b").alias("dst"), "lap")
         return settle(both.unionByName(both.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "lap")), "sampled")
 

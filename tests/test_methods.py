@@ -15,6 +15,8 @@ from groupstream.index.build import GroupIndex
 from groupstream.influence import cascade, factors, prop_graph
 from groupstream.model import relation_graph
 from groupstream.operators.joins import asof, positions
+from groupstream.plans.catalog_sampling import SHARE
+from groupstream.plans.pipeline import Pipeline
 from groupstream.sampling import clusters, draw, estimators, overlap
 
 
@@ -117,6 +119,16 @@ def test_snapshot_sampler_invariants(spark):
     assert {r.origin for r in alone.collect()} == {"fresh"}
 
 
+def test_pipeline_trains_on_the_last_slice(spark):
+    edges, _ = random_graph(spark)
+    late = frame(spark, [(g, 0 if g < 2 else 3, 1) for g in range(20)], "g long, slice int, n long")
+    run = object.__new__(Pipeline)
+    run.__dict__.update(sampler=True, und=edges, counts=late)
+    got = run.training_edges().collect()
+    assert len(got) == 2 * clusters.allocate(edges, SHARE).first().num
+    assert {r.src for r in got} - {0, 1}
+
+
 EDGES = "v long, src long, dst long, a_src double, w_src double, w_dst double, sim double, p double"
 
 
