@@ -14,7 +14,7 @@ Words are runs of letters, digits and underscores, in lower case. Items are held
 benchmark takes more passes.
 
 Cases: null and empty texts and items have no words and match nothing; texts shorter than a shingle count as one
-shingle; repeated items count once each; an item may match a document at several places, of which the most similar
+shingle, and items shorter than a shingle are sought in runs of as many words; repeated items count once each; an item may match a document at several places, of which the most similar
 counts (the first of these, on ties); empty tables give empty results; other columns are kept by `clean`.
 """
 
@@ -37,14 +37,14 @@ PART = 1 << 20
 SIEVE = 20
 
 
-def shingle_hashes(words: list[str]) -> np.ndarray:
-    """A 64-bit hash of each run of SHINGLE words (of the whole, if there are fewer)."""
+def shingle_hashes(words: list[str], most: int = SHINGLE) -> np.ndarray:
+    """A 64-bit hash of each run of `most` words (of the whole, if there are fewer)."""
     if not words:
         return np.zeros(0, np.uint64)
     raw = np.frombuffer(" ".join(words).encode("utf-8", "surrogatepass"), np.uint8)
     gaps = np.flatnonzero(raw == 32)
     starts, ends = np.concatenate(([0], gaps + 1)), np.append(gaps, len(raw))
-    k = min(SHINGLE, len(words))
+    k = min(most, len(words))
     starts, ends = starts[: len(words) - k + 1], ends[k - 1 :]
     out = np.empty(len(starts), np.uint64)
     # Sums start anew for each part, so that memory has a bound whatever the text's length.
@@ -98,6 +98,11 @@ class Items:
         self.ids = [i for i, _, _ in kept]
         self.words = np.array([n for _, _, n in kept], np.int64)
         self.sizes = np.array([len(h) for _, h, _ in kept], np.int64)
+        # Items shorter than a shingle, by their words and their only hash: documents are read in runs of as many words for them.
+        self.short: dict[int, dict[int, list[int]]] = {}
+        for at, (_, h, n) in enumerate(kept):
+            if n < SHINGLE:
+                self.short.setdefault(n, {}).setdefault(int(h[0]), []).append(at)
         self.counts = [Counter(h.tolist()) for _, h, _ in kept]
         all_h = np.concatenate([h for _, h, _ in kept]) if kept else np.zeros(0, np.uint64)
         self.known, of = np.unique(all_h, return_inverse=True)
@@ -131,15 +136,30 @@ class Items:
     def matches(self, text: str, similarity: float) -> list[tuple[int, float, int, int]]:
         """(item id, similarity, first word, words) of each item that a window of the text repeats."""
         words = words_of(text)
+        best = self._short_matches(words)
+        best.update({i: m for i, m in self._matches(words, similarity).items() if i not in best})
+        return [(self.ids[i], v, s, n) for i, (v, s, n) in best.items()]
+
+    def _short_matches(self, words: list[str]) -> dict[int, tuple[float, int, int]]:
+        best = {}
+        for n, known in self.short.items():
+            if len(words) >= n:
+                h = shingle_hashes(words, n)
+                found, first = np.unique(h, return_index=True)
+                for x, s in zip(found.tolist(), first.tolist()):
+                    best.update({i: (1.0, s, n) for i in known.get(x, ())})
+        return best
+
+    def _matches(self, words: list[str], similarity: float) -> dict[int, tuple[float, int, int]]:
         h = shingle_hashes(words)
         maybe = np.flatnonzero(self.sieve[(h & np.uint64((1 << SIEVE) - 1)).astype(np.int64)]) if len(h) else h
         if not len(maybe) or not len(self.known):
-            return []
+            return {}
         at = np.minimum(np.searchsorted(self.known, h[maybe]), len(self.known) - 1)
         true = self.known[at] == h[maybe]
         at, hits = at[true], maybe[true]
         if not len(hits):
-            return []
+            return {}
         many = self.edge[at + 1] - self.edge[at]
         place = np.repeat(hits, many)
         size_at = self.size_of[np.arange(many.sum()) + np.repeat(self.edge[at] - (np.cumsum(many) - many), many)]
@@ -163,7 +183,7 @@ class Items:
                         value = common / (wide + size - common)
                         if value >= similarity and (i not in best or value > best[i][0]):
                             best[i] = (value, s, min(int(self.words[i]), len(words)))
-        return [(self.ids[i], v, s, n) for i, (v, s, n) in best.items()]
+        return best
 
 
 def item_batches(benchmark: DataFrame, id_column: str = "item_id", text: str = "text"):

@@ -383,6 +383,15 @@ def test_decontamination(spark, docs, none):
     assert decontaminate.matches(none, bench).collect() == [] and decontaminate.matches(both, bench.limit(0)).collect() == []
 
 
+def test_items_shorter_than_a_shingle_are_found_inside_documents():
+    items = decontaminate.Items([(1, "tiny"), (2, "Four words of it"), (3, "two words"), (4, "two words"), (5, prose(20, 3))])
+    got = lambda text: sorted(items.matches(text, 0.8))
+    assert got(prose(30, 1) + " four words, of it " + prose(9, 2)) == [(2, 1.0, 30, 4)]
+    assert got("a tiny b Two words c tiny") == [(1, 1.0, 1, 1), (3, 1.0, 3, 2), (4, 1.0, 3, 2)]
+    assert got("tiny") == [(1, 1.0, 0, 1)] and got("two wordsmiths") == got("") == got("words of it four") == []
+    assert got(prose(20, 3)) == [(5, 1.0, 0, 20)]
+
+
 def test_hamming_blocks_find_all_within_the_radius():
     rng = np.random.default_rng(0)
     items = decontaminate.Items([(i, prose(30, 1000 + i)) for i in range(50)])
