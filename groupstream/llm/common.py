@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import contextlib
 import ctypes
 import tempfile
 import uuid
@@ -10,6 +11,7 @@ from collections.abc import Iterator
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 #: A word: a run of bytes that are not ASCII white space.
 WORD = r"[^\x20\x09-\x0D]+"
@@ -35,8 +37,30 @@ def shared_dir(spark: SparkSession) -> str:
     return context.getCheckpointDir().rstrip("/")
 
 
+_scratch: list[list[str]] = []
+
+
 def new_folder(spark: SparkSession, tag: str) -> str:
-    return f"{shared_dir(spark)}/groupstream-{tag}-{uuid.uuid4().hex}"
+    path = f"{shared_dir(spark)}/groupstream-{tag}-{uuid.uuid4().hex}"
+    if _scratch:
+        _scratch[-1].append(path)
+    return path
+
+
+@contextlib.contextmanager
+def scratch(spark: SparkSession):
+    """Removes at its end what was written to new folders inside: for work whose result is stored by then."""
+    _scratch.append([])
+    try:
+        yield
+    finally:
+        for path in _scratch.pop():
+            remove(spark, path)
+
+
+def remove(spark: SparkSession, path: str) -> None:
+    path = spark._jvm.org.apache.hadoop.fs.Path(path)
+    path.getFileSystem(spark._jsparkSession.sessionState().newHadoopConf()).delete(path, True)
 
 
 def cut(df: DataFrame, tag: str) -> DataFrame:
@@ -52,10 +76,8 @@ def cut(df: DataFrame, tag: str) -> DataFrame:
 
 def drop_cut(df: DataFrame) -> None:
     """Remove the files of a table made by cut() that nothing will read again."""
-    spark = df.sparkSession
     for name in {f.rsplit("/", 1)[0] for f in df.inputFiles()}:
-        path = spark._jvm.org.apache.hadoop.fs.Path(name)
-        path.getFileSystem(spark._jsparkSession.sessionState().newHadoopConf()).delete(path, True)
+        remove(df.sparkSession, name)
 
 
 def partitions(spark: SparkSession) -> int:
@@ -67,6 +89,14 @@ def md5_bits(column: Column, digits: int = 15) -> Column:
     return F.conv(F.substring(F.md5(column), 1, digits), 16, 10).cast("long")
 
 
+def long_id(df: DataFrame, id_column: str) -> Column:
+    """The id as a long. Ids of other types than whole numbers are refused, since a cast would lose or stop at some."""
+    kind = df.schema[id_column].dataType
+    if not isinstance(kind, T.IntegralType):
+        raise TypeError(f"{id_column} is {kind.simpleString()}; ids have to be whole numbers")
+    return F.col(id_column).cast("long")
+
+
 def n_words(text: Column) -> Column:
     return F.regexp_count(F.coalesce(text, F.lit("")), F.lit(WORD)).cast("long")
 

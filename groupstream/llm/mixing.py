@@ -2,18 +2,20 @@
 
 A source's target divided by its size is the expected number of copies of each of its documents. The whole part of it is
 certain: every document is taken that often. The fraction is an inclusion probability. Documents are ranked by random
-odds over inclusion odds, q = (u / (1 - u)) / (p / (1 - p)), with u a hash of the document's id, and the first ones that
-together hold the missing words are taken once more. Further rounds go on down the same order with the documents that
-still fit into what is left.
+odds over inclusion odds, q = (u / (1 - u)) / (p / (1 - p)), with u a hash of the document's id and text, and the first ones
+that together hold the missing words are taken once more. Then, on down the same order, every document that still fits into
+what is left is taken too, in rounds, until none fits. Rows of one source that are equal in q and size are a class of
+interchangeable rows; a class that does not fit as a whole gives as many of its rows as fit.
 
 No source is ever sorted as a whole. q is cut into BINS ranges; sums of words per source and range find the range in
-which the target falls, and only the documents of that range are ordered. A hot source is thus pre-aggregated, and its
-share of the work grows with its rows in map tasks alone.
+which the target falls, and only the classes of that range are ordered. A hot source or a row that occurs very often is
+thus pre-aggregated, and its share of the work grows with its rows in map tasks alone. The table of sources, one row each,
+is put in order by one task.
 
 Cases: null and empty texts have size 0 and are never short of words, hence they get the certain copies only or rank like
-others with size 0; a null source is a source of its own, last in order; rows with the same id share one rank and are
-taken or left together; an empty table gives an empty result; other columns are kept, and columns named like the results
-are replaced.
+others with size 0; a null source is a source of its own, last in order; rows equal in id and text rank alike and are
+dealt one by one, whatever their other columns; an empty table gives an empty result; other columns are kept, and columns
+named like the results are replaced.
 """
 
 from __future__ import annotations
@@ -24,7 +26,6 @@ from pyspark.sql import functions as F
 from .common import cut, md5_bits, n_words
 
 BINS = 4096
-ROUNDS = 3
 WEIGHTS = (5, 2, 1)
 MOST = 3
 
@@ -74,67 +75,109 @@ def _bin(q: Column) -> Column:
 
 
 def _prefix(rows: DataFrame, room: DataFrame) -> DataFrame:
-    """rows (key, size, q), room (key, room) -> (key, upto, got): the longest prefix of each key's order within its room."""
+    """rows (key, size, q), room (key, room) -> (key, got, upto, upto_size, part): the longest prefix of each key's order
+    within its room. It takes all rows up to (upto, upto_size) and, where `part` is set, of the class (q, size) in it `many`.
+    """
     rows = rows.withColumn("bin", _bin(F.col("q")))
-    bins = rows.groupBy("key", "bin").agg(F.sum("size").alias("words"), F.max("q").alias("last"))
+    bins = rows.groupBy("key", "bin").agg(F.sum("size").alias("words"), F.max(F.struct("q", "size")).alias("last"))
     up = Window.partitionBy("key").orderBy("bin").rowsBetween(Window.unboundedPreceding, Window.currentRow)
     bins = bins.join(room, "key").withColumn("sum", F.sum("words").over(up))
-    whole = bins.where(F.col("sum") <= F.col("room")).groupBy("key").agg(F.max("last").alias("w_upto"), F.max("sum").alias("w_got"), F.max("bin").alias("w_bin"))
-    split = bins.where(F.col("sum") > F.col("room")).groupBy("key").agg(F.min("bin").alias("bin"))
+    fits = F.col("sum") <= F.col("room")
+    whole = bins.where(fits).groupBy("key").agg(F.max("last").alias("w_last"), F.max("sum").alias("w_got"))
+    split = bins.where(~fits).groupBy("key").agg(F.min("bin").alias("bin"))
     start = split.join(whole, "key", "left").join(room, "key").select("key", "bin", "room", F.coalesce("w_got", F.lit(0)).alias("start"))
-    inside = Window.partitionBy("key").orderBy("q").rangeBetween(Window.unboundedPreceding, Window.currentRow)
-    part = (
-        rows.join(start, ["key", "bin"])
-        .withColumn("sum", F.col("start") + F.sum("size").over(inside))
-        .where(F.col("sum") <= F.col("room"))
-        .groupBy("key")
-        .agg(F.max("q").alias("p_upto"), F.max("sum").alias("p_got"))
-    )
-    joined = room.join(whole, "key", "left").join(part, "key", "left")
-    return joined.select("key", F.greatest(F.coalesce("p_upto", F.lit(-1.0)), F.coalesce("w_upto", F.lit(-1.0))).alias("upto"), F.greatest(F.coalesce("p_got", F.lit(0)), F.coalesce("w_got", F.lit(0))).alias("got"))
+    classes = rows.join(start, ["key", "bin"]).groupBy("key", "room", "start", "q", "size").agg(F.count(F.lit(1)).alias("n"))
+    inside = Window.partitionBy("key").orderBy("q", "size").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    classes = classes.withColumn("sum", F.col("start") + F.sum(F.col("n") * F.col("size")).over(inside))
+    before = F.col("sum") - F.col("n") * F.col("size")
+    many = F.floor((F.col("room") - before) / F.nullif("size", F.lit(0)))
+    part = classes.where(fits).groupBy("key").agg(F.max(F.struct("q", "size")).alias("p_last"), F.max("sum").alias("p_got"))
+    edge = classes.where(~fits & (before <= F.col("room"))).select("key", F.struct("q", "size", many.alias("many")).alias("part"), (before + many * F.col("size")).alias("e_got"))
+    joined = room.join(whole, "key", "left").join(part, "key", "left").join(edge.where("part.many > 0"), "key", "left")
+    last = F.coalesce(F.greatest("p_last", "w_last"), F.struct(F.lit(-1.0).alias("q"), F.lit(0).cast("long").alias("size")))
+    got = F.greatest(F.coalesce("e_got", F.lit(0)), F.coalesce("p_got", F.lit(0)), F.coalesce("w_got", F.lit(0)))
+    return joined.select("key", got.cast("long").alias("got"), last["q"].alias("upto"), last["size"].alias("upto_size"), "part")
+
+
+_BOUND = "room:bigint,upto:double,upto_size:bigint,part:struct<q:double,size:bigint,many:bigint>"
 
 
-def plan(rows: DataFrame, weights: tuple[int, ...] = WEIGHTS, most: int = MOST, rounds: int = ROUNDS) -> DataFrame:
+def plan(rows: DataFrame, weights: tuple[int, ...] = WEIGHTS, most: int = MOST) -> DataFrame:
     """(key, size, u) per document -> one row per source: target, certain copies, probability and the bounds of each round.
 
-    rounds_done is an array of (room, upto): a document that no earlier round took, of at most `room` words and with
-    q <= upto, is taken in that round.
+    bounds is an array of (room, upto, upto_size, part): a document that no earlier round took, of at most `room` words and
+    with (q, size) up to (upto, upto_size), is taken in that round, and so are `part.many` of the class (part.q, part.size).
+    What did not fit has more words than are left, so a round ends with fewer candidates for the next, and all end.
     """
     goals = source_targets(rows, weights, most)
     ratio = F.coalesce(F.try_divide(F.col("target"), F.col("source_size")), F.lit(0.0))
     goals = goals.withColumn("certain", F.least(F.floor(ratio), F.lit(most)).cast("long"))
     goals = goals.withColumn("p", F.when(F.col("certain") >= most, 0.0).otherwise(F.greatest(ratio - F.col("certain"), F.lit(0.0))))
     goals = goals.withColumn("room", F.when(F.col("p") > 0, F.round(F.col("target") - F.col("certain") * F.col("source_size")).cast("long")).otherwise(F.lit(0).cast("long")))
-    goals = cut(goals.withColumn("bounds", F.expr("cast(array() as array<struct<room:bigint,upto:double>>)")), "mix-goals")
-    for _ in range(rounds):
-        left = rows.join(goals, "key").withColumn("q", _rank(F.col("u"), F.col("p")))
-        left = left.where((F.col("size") <= F.col("room")) & F.col("q").isNotNull() & ~_taken()).select("key", "size", "q")
+    goals = cut(goals.withColumn("bounds", F.expr(f"cast(array() as array<struct<{_BOUND}>>)")), "mix-goals")
+    first = True
+    while True:
+        left = rows.join(goals.where("p > 0 AND room > 0"), "key").withColumn("q", _rank(F.col("u"), F.col("p")))
+        left = left.where((F.col("size") <= F.col("room")) & F.col("q").isNotNull() & ~_taken("bounds", "size", "q")).select("key", "size", "q")
+        left = left if first else cut(left, "mix-left")  # less than the room of the round before in each row
+        if left.where("size > 0").isEmpty():
+            return goals.drop("room")
         found = _prefix(left, goals.where("p > 0").select("key", "room"))
+        bound = F.struct("room", "upto", "upto_size", "part").cast(f"struct<{_BOUND}>")
         goals = cut(
             goals.join(found, "key", "left")
-            .withColumn("bounds", F.when(F.col("upto").isNull(), F.col("bounds")).otherwise(F.concat("bounds", F.array(F.struct("room", "upto")))))
+            .withColumn("bounds", F.when(F.col("upto").isNull(), F.col("bounds")).otherwise(F.concat("bounds", F.array(bound))))
             .withColumn("room", F.col("room") - F.coalesce("got", F.lit(0)))
-            .drop("upto", "got"),
+            .drop("got", "upto", "upto_size", "part"),
             "mix-round",
         )
-    return goals.drop("room")
+        first = False
+
+
+def _taken(bounds: str, size: str, q: str, part: bool = True) -> Column:
+    """Whether some round took the row; with `part`, rows of classes that a round took in part count as well."""
+    size, q = F.col(size), F.col(q)
+
+    def by(b: Column) -> Column:
+        whole = (size <= b["room"]) & ((q < b["upto"]) | ((q == b["upto"]) & (size <= b["upto_size"])))
+        return whole | (b["part"].isNotNull() & (q == b["part"]["q"]) & (size == b["part"]["size"])) if part else whole
+
+    return F.exists(bounds, by)
 
 
-def _taken() -> Column:
-    return F.exists("bounds", lambda b: (F.col("size") <= b["room"]) & (F.col("q") <= b["upto"]))
+def _numbered(rows: DataFrame) -> DataFrame:
+    """rows of classes taken in part, with __n, their number inside the class, from 1. They are written out once, so the
+    parts of the table that they stand in stay; each part numbers its own, and sums over parts say where it starts."""
+    held = cut(rows.withColumn("__p", F.spark_partition_id()), "mix-parts")
+    cls = ["__key", "__q", "__size"]
+    per = held.groupBy(*cls, "__p").agg(F.count(F.lit(1)).alias("__m"))
+    before = Window.partitionBy(*cls).orderBy("__p").rowsBetween(Window.unboundedPreceding, -1)
+    per = per.select(*[F.col(c).alias(f"{c}2") for c in [*cls, "__p"]], F.coalesce(F.sum("__m").over(before), F.lit(0)).alias("__from"))
+    own = F.row_number().over(Window.partitionBy(*cls, "__p").orderBy(F.xxhash64(*held.columns)))
+    numbered = held.withColumn("__own", own)
+    same = [F.col(c) == F.col(f"{c}2") for c in [*cls, "__p"]]
+    return numbered.join(per, same).withColumn("__n", F.col("__own") + F.col("__from")).select(*rows.columns, "__n")
 
 
 def mix(docs: DataFrame, seed: str = "mix", id_column: str = "doc_id", text: str = "text", source: str = "source", **kw) -> DataFrame:
     """docs with size, source_size, target, copies and taken (copies * size) for each row."""
     made = ["size", "source_size", "target", "copies", "taken"]
     keep = [c for c in docs.columns if c not in made]
-    rows = docs.select(*keep, source_key(F.col(source)).alias("__key"), n_words(F.col(text)).alias("__size"), (md5_bits(F.concat_ws("|", F.lit(seed), F.col(id_column).cast("string")), 13) / F.lit(float(1 << 52))).alias("__u"))
+    u = md5_bits(F.concat_ws("|", F.lit(seed), F.col(id_column).cast("string"), F.col(text)), 13) / F.lit(float(1 << 52))
+    rows = docs.select(*keep, source_key(F.col(source)).alias("__key"), n_words(F.col(text)).alias("__size"), u.alias("__u"))
     slim = cut(rows.select(F.col("__key").alias("key"), F.col("__size").alias("size"), F.col("__u").alias("u")), "mix-sizes")
     goals = plan(slim, **kw)
     by_source = goals.select(F.col("key").alias("__key"), "source_size", "target", F.col("certain").alias("__certain"), F.col("p").alias("__p"), F.col("bounds").alias("__bounds"))
-    q = _rank(F.col("__u"), F.col("__p"))
-    once_more = F.exists("__bounds", lambda b: (F.col("__size") <= b["room"]) & (F.col("__q") <= b["upto"]))
-    out = rows.join(by_source, "__key").withColumn("__q", q).withColumn("copies", F.col("__certain") + F.coalesce(once_more, F.lit(False)).cast("long"))
+    ranked = rows.join(by_source, "__key").withColumn("__q", _rank(F.col("__u"), F.col("__p")))
+    whole = F.coalesce(_taken("__bounds", "__size", "__q", False), F.lit(False))
+    once_more = whole
+    if not goals.where(F.exists("bounds", lambda b: b["part"].isNotNull())).isEmpty():
+        own = F.filter("__bounds", lambda b: b["part"].isNotNull() & (F.col("__q") == b["part"]["q"]) & (F.col("__size") == b["part"]["size"]))
+        ranked = ranked.withColumn("__part", F.when(whole, F.lit(None)).otherwise(F.get(F.coalesce(own, F.array()), F.lit(0))["part"]["many"]))
+        others = ranked.where("__part is null").withColumn("__n", F.lit(None).cast("long"))
+        ranked = others.unionByName(_numbered(ranked.where("__part is not null")))
+        once_more = whole | F.coalesce(F.col("__n") <= F.col("__part"), F.lit(False))
+    out = ranked.withColumn("copies", F.col("__certain") + once_more.cast("long"))
     return out.select(*keep, F.col("__size").alias("size"), "source_size", "target", "copies", (F.col("copies") * F.col("__size")).alias("taken"))
 
 
@@ -154,7 +197,7 @@ SQL = r"""
 WITH RECURSIVE d AS (
   SELECT doc_id, CASE WHEN source IS NULL THEN 'b' ELSE 'a' || source END AS k,
          len(regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+'))::BIGINT AS size,
-         ('0x' || substr(md5('mix|' || doc_id::VARCHAR), 1, 13))::BIGINT::DOUBLE / 4503599627370496.0::DOUBLE AS u
+         ('0x' || substr(md5(concat_ws('|', 'mix', doc_id::VARCHAR, text)), 1, 13))::BIGINT::DOUBLE / 4503599627370496.0::DOUBLE AS u
   FROM documents),
 s0 AS (SELECT k, sum(size)::BIGINT AS s FROM d GROUP BY k),
 s1 AS (SELECT *, [5, 2, 1][((row_number() OVER (ORDER BY k) - 1) % 3) + 1]::BIGINT AS w FROM s0),
@@ -169,18 +212,18 @@ s7 AS (SELECT *, CASE WHEN s > 0 THEN target / s::DOUBLE ELSE 0.0::DOUBLE END AS
 s8 AS (SELECT *, least(floor(r), 3)::BIGINT AS c FROM s7),
 s9 AS (SELECT *, CASE WHEN c >= 3 THEN 0.0::DOUBLE ELSE greatest(r - c::DOUBLE, 0.0::DOUBLE) END AS p FROM s8),
 g AS (SELECT *, CASE WHEN p > 0 THEN round(target - (c * s)::DOUBLE)::BIGINT ELSE 0 END AS room FROM s9),
-e0 AS (SELECT d.*, g.s, g.target, g.c, g.room AS room1,
+e0 AS (SELECT d.*, g.s, g.target, g.c, g.room, row_number() OVER () AS i,
               CASE WHEN g.p > 0 THEN (u / (1.0::DOUBLE - u)) / (g.p / (1.0::DOUBLE - g.p)) END AS q
        FROM d JOIN g USING (k)),
-r1 AS (SELECT *, q IS NOT NULL AND size <= room1 AND
-              sum(CASE WHEN size <= room1 THEN size ELSE 0 END) OVER (PARTITION BY k ORDER BY q RANGE UNBOUNDED PRECEDING) <= room1 AS t1 FROM e0),
-e1 AS (SELECT *, room1 - coalesce(sum(CASE WHEN t1 THEN size END) OVER (PARTITION BY k), 0)::BIGINT AS room2 FROM r1),
-r2 AS (SELECT *, q IS NOT NULL AND NOT t1 AND size <= room2 AND
-              sum(CASE WHEN NOT t1 AND size <= room2 THEN size ELSE 0 END) OVER (PARTITION BY k ORDER BY q RANGE UNBOUNDED PRECEDING) <= room2 AS t2 FROM e1),
-e2 AS (SELECT *, room2 - coalesce(sum(CASE WHEN t2 THEN size END) OVER (PARTITION BY k), 0)::BIGINT AS room3 FROM r2),
-r3 AS (SELECT *, q IS NOT NULL AND NOT t1 AND NOT t2 AND size <= room3 AND
-              sum(CASE WHEN NOT t1 AND NOT t2 AND size <= room3 THEN size ELSE 0 END) OVER (PARTITION BY k ORDER BY q RANGE UNBOUNDED PRECEDING) <= room3 AS t3 FROM e2)
-SELECT doc_id, size, s AS source_size, target, (c + (t1 OR t2 OR t3)::BIGINT) * size AS taken,
-       c + (t1 OR t2 OR t3)::BIGINT AS copies
-FROM r3
+rounds AS (
+  SELECT 0 AS n, i, k, size, q, room, false AS t FROM e0
+  UNION ALL
+  SELECT n + 1, i, k, size, q, room - coalesce(sum(CASE WHEN now THEN size END) OVER (PARTITION BY k), 0)::BIGINT, t OR now
+  FROM (SELECT *, bool_or(may AND size > 0) OVER () AS more, coalesce(may, false) AND
+               sum(CASE WHEN may THEN size ELSE 0 END) OVER (PARTITION BY k ORDER BY q, size, i ROWS UNBOUNDED PRECEDING) <= room AS now
+        FROM (SELECT *, q IS NOT NULL AND NOT t AND size <= room AND room > 0 AS may FROM rounds))
+  WHERE more),
+done AS (SELECT i, t FROM rounds WHERE n = (SELECT max(n) FROM rounds))
+SELECT doc_id, size, s AS source_size, target, (c + t::BIGINT) * size AS taken, c + t::BIGINT AS copies
+FROM e0 JOIN done USING (i)
 """
