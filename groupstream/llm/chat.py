@@ -2,12 +2,13 @@ r"""Chat formatting of reply trees (DataFrame operators only).
 
 Messages point to the message they answer. Leaves are found by an anti join, and self-joins that double their reach
 enumerate each leaf's ancestors: after k rounds every ancestor less than 2**k replies away is known, so a thread of n
-messages takes log2(n) rounds. Branches are ranked inside their tree by the mean score of their messages, and each chosen
+messages takes log2(n) rounds. Jumps are doubled first, one row for each message, which finds the messages that never come
+to a root before any path is written. Branches are ranked inside their tree by the mean score of their messages, and each chosen
 path is formatted as one conversation with the character spans of the assistant's texts.
 
 Template: `<|im_start|>role`, newline, text, `<|im_end|>`, newline for each turn. A backslash in a role or text is
-doubled, and one is put after the first character of every control string, so no text can open or close a turn;
-removing the backslash before any character undoes both.
+doubled, and one is put after the first character of every control string, so no text can open or close a turn, and before
+every newline of a role, which would end it; removing the backslash before any character undoes all three.
 
 Cases: null roles and texts are empty; null scores count 0; a parent that does not exist makes its message a root; of
 several messages with one id the smallest (parent, role, text) counts; messages on a cycle of replies belong to no path
@@ -33,6 +34,10 @@ def escape(text: Column) -> Column:
     return reduce(lambda t, c: F.replace(t, F.lit(c), F.lit(f"{c[0]}\\{c[1:]}")), CONTROLS, text)
 
 
+def escape_role(role: Column) -> Column:
+    return F.replace(escape(role), F.lit("\n"), F.lit("\\\n"))
+
+
 def unescape(text: Column) -> Column:
     return F.regexp_replace(text, r"\\([\s\S])", "$1")
 
@@ -46,20 +51,24 @@ def paths(messages: DataFrame) -> DataFrame:
     known = messages.select(F.col("tree").alias("t2"), F.col("msg").alias("m2"))
     linked = messages.join(known, _same("tree", "t2") & (F.col("parent") == F.col("m2")), "left").select("tree", "msg", F.col("m2").alias("parent"))
     links = cut(linked, "chat-links")
-    most = links.count()
+    # jumps[k]: from each message to the one 2**k replies above it. A chain from a root has a message of just that height,
+    # whose jump is the last, so a round after which as many are left as before has messages on or behind a cycle only.
+    jumps = [links.where("parent is not null").select("tree", "msg", F.col("parent").alias("jump"))]
+    left, before = jumps[0].count(), -1
+    while left and left != before:
+        step = jumps[-1].select(F.col("tree").alias("t2"), F.col("msg").alias("m2"), F.col("jump").alias("j2"))
+        jumps.append(cut(jumps[-1].join(step, _same("tree", "t2") & (F.col("jump") == F.col("m2"))).select("tree", "msg", F.col("j2").alias("jump")), "chat-jumps"))
+        left, before = jumps[-1].count(), left
     parents = links.where("parent is not null").select(F.col("tree").alias("t2"), F.col("parent").alias("m2")).distinct()
-    leaves = links.join(parents, _same("tree", "t2") & (F.col("msg") == F.col("m2")), "left_anti")
+    leaves = links.join(parents, _same("tree", "t2") & (F.col("msg") == F.col("m2")), "left_anti").select("tree", "msg")
+    if left:
+        endless = jumps[-1].select(F.col("tree").alias("t2"), F.col("msg").alias("m2"))
+        leaves = leaves.join(endless, _same("tree", "t2") & (F.col("msg") == F.col("m2")), "left_anti")
     found = cut(leaves.select("tree", F.col("msg").alias("leaf"), F.col("msg").alias("node"), F.lit(0).cast("long").alias("up")), "chat-reach")
-    jumps, reach = links.where("parent is not null").select("tree", "msg", F.col("parent").alias("jump")), 1
-    while reach <= most and not jumps.isEmpty():
-        step = jumps.select(F.col("tree").alias("t2"), F.col("msg").alias("m2"), F.col("jump").alias("j2"))
-        above = found.join(step, _same("tree", "t2") & (F.col("node") == F.col("m2"))).select("tree", "leaf", F.col("j2").alias("node"), (F.col("up") + reach).alias("up"))
+    for k, jump in enumerate(jumps[:-1]):
+        step = jump.select(F.col("tree").alias("t2"), F.col("msg").alias("m2"), F.col("jump").alias("j2"))
+        above = found.join(step, _same("tree", "t2") & (F.col("node") == F.col("m2"))).select("tree", "leaf", F.col("j2").alias("node"), (F.col("up") + (1 << k)).alias("up"))
         found = found.unionByName(cut(above, "chat-reach"))
-        jumps = cut(jumps.join(step, _same("tree", "t2") & (F.col("jump") == F.col("m2"))).select("tree", "msg", F.col("j2").alias("jump")), "chat-jumps")
-        reach *= 2
-    if reach > most and not jumps.isEmpty():  # a cycle: these never come to a root
-        endless = jumps.select(F.col("tree").alias("t2"), F.col("msg").alias("m2"))
-        found = found.join(endless, _same("tree", "t2") & (F.col("leaf") == F.col("m2")), "left_anti")
     return found
 
 
@@ -79,7 +88,7 @@ def format_trees(messages: DataFrame, branches: int | None = None, loss_role: st
         means = turns.groupBy("tree", "leaf").agg(F.avg("score").alias("mean"))
         best = means.withColumn("n", F.row_number().over(Window.partitionBy("tree").orderBy(F.desc("mean"), "leaf"))).where(F.col("n") <= branches)
         turns = turns.join(best.select(F.col("tree").alias("t2"), F.col("leaf").alias("l2")), _same("tree", "t2") & (F.col("leaf") == F.col("l2")), "left_semi")
-    head, tail = F.concat(F.lit(START), escape(F.col("role")), F.lit("\n")), f"{END}\n"
+    head, tail = F.concat(F.lit(START), escape_role(F.col("role")), F.lit("\n")), f"{END}\n"
     turns = turns.withColumns({"head": head, "body": escape(F.col("text"))})
     turns = turns.withColumn("chars", F.char_length("head") + F.char_length("body") + len(tail))
     before = Window.partitionBy("tree", "leaf").orderBy(F.desc("up")).rowsBetween(Window.unboundedPreceding, Window.currentRow)
@@ -143,6 +152,6 @@ SELECT conv_id, count(*) AS n_turns,
        sha256(string_agg(role || chr(10) || text || chr(10), '' ORDER BY turn, role, text)) AS turns_sha256,
        coalesce(sum(length(text)) FILTER (role = 'assistant'), 0)::BIGINT AS loss_chars,
        sha256(coalesce(string_agg(text, '' ORDER BY turn, role, text) FILTER (role = 'assistant'), '')) AS loss_sha256,
-       sum({len(START) + len(END) + 2} + length({_sql_escape("role")}) + length({_sql_escape("text")}))::BIGINT AS formatted_chars
+       sum({len(START) + len(END) + 2} + length(replace({_sql_escape("role")}, chr(10), chr(92) || chr(10))) + length({_sql_escape("text")}))::BIGINT AS formatted_chars
 FROM c GROUP BY conv_id
 """
