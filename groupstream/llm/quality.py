@@ -3,7 +3,7 @@ calibration.
 
 Statistics of the whole text (no id, source or language) are standardised and mapped to FEATURES random cosines, whose
 inner products approximate a Gaussian kernel. Each partition sums its normal equations by fold; the sums of all labelled
-training rows, a matrix of fixed size, solve the ridge regression on the driver. The penalty with the least squared error
+training rows (at most MOST_LABELS documents), a matrix of fixed size, solve the ridge regression on the driver. The penalty with the least squared error
 on left-out folds wins, which follows from the same sums. The left-out scores of all training rows, counted in BINS
 ranges, give the isotonic curve that turns scores into probabilities.
 
@@ -23,9 +23,11 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut, slices
+from .common import cut, long_id, slices
 
 FEATURES, FOLDS, BINS, SEED = 256, 4, 2048, 7
+#: The most labelled documents that a model learns from (those with the least hash of the id), and the parts they are summed in.
+MOST_LABELS, PARTS = 1 << 18, 32
 PENALTIES = (1e-4, 1e-3, 1e-2, 1e-1)
 HELD_OUT, KEEP = 5, 0.3
 
@@ -84,7 +86,7 @@ def measured(docs: DataFrame, text: str = "text", id_column: str = "doc_id") ->
             x = np.array([statistics(t) for t in b.column("text").to_pylist()]).reshape(-1, len(names))
             yield pa.RecordBatch.from_arrays([*[pa.array(c) for c in x.T], b.column("id")], [*names, "id"])
 
-    return docs.select(F.col(id_column).cast("long").alias("id"), F.col(text).cast("binary").alias("text")).mapInArrow(run, ", ".join(f"{c} double" for c in names) + ", id long")
+    return docs.select(long_id(docs, id_column).alias("id"), F.col(text).cast("binary").alias("text")).mapInArrow(run, ", ".join(f"{c} double" for c in names) + ", id long")
 
 
 class Model:
@@ -143,10 +145,9 @@ def _bin(raw: np.ndarray) -> np.ndarray:
 
 
 def train(features: DataFrame, labels: DataFrame) -> Model:
-    """features: (id, f0, ...); labels: (id, label). All of these rows are used."""
+    """features: (id, f0, ...); labels: (id, label), of which `bounded` takes MOST_LABELS ids."""
     names = [f"f{i}" for i in range(len(NAMES))]
-    known = labels.where("id is not null and label is not null").groupBy("id").agg(F.avg("label").alias("label"))
-    rows = cut(features.join(known, "id").select(*names, "label", F.pmod(F.crc32(F.concat(F.col("id").cast("string"), F.lit("fold"))), F.lit(FOLDS)).cast("int").alias("fold")), "labelled")
+    rows = cut(features.join(F.broadcast(bounded(labels)), "id").repartition(PARTS, "id").select(*names, "label", F.pmod(F.crc32(F.concat(F.col("id").cast("string"), F.lit("fold"))), F.lit(FOLDS)).cast("int").alias("fold")), "labelled")
     first = rows.agg(F.count(F.lit(1)), *[F.avg(c) for c in names], *[F.stddev_pop(c) for c in names]).first()
     if not first[0]:
         return Model(np.zeros(len(names)), np.ones(len(names)))
@@ -197,13 +198,28 @@ def _held_out(id_column: str):
     return F.pmod(F.crc32(F.coalesce(F.col(id_column).cast("string"), F.lit(""))), F.lit(HELD_OUT)) == 0
 
 
+def bounded(labels: DataFrame, most: int = MOST_LABELS) -> DataFrame:
+    """(id, label), one row for each of at most `most` ids, with the mean of its labels."""
+    known = labels.where("id is not null and label is not null").groupBy("id").agg(F.avg("label").alias("label"))
+    n = known.count()
+    if n <= most:
+        return known
+    few = F.pmod(F.xxhash64("id"), F.lit(1 << 30)) < F.lit(int(min(1.0, 1.2 * most / n) * (1 << 30)))  # so that few rows are put in order
+    return known.where(few).orderBy(F.xxhash64("id", F.lit("label")), "id").limit(most)
+
+
 def training_labels(labels: DataFrame) -> DataFrame:
-    return labels.where(~_held_out("doc_id")).select(F.col("doc_id").cast("long").alias("id"), F.col("quality").cast("double").alias("label"))
+    return labels.where(~_held_out("doc_id")).select(long_id(labels, "doc_id").alias("id"), F.col("quality").cast("double").alias("label"))
 
 
 def keep_good(docs: DataFrame, labels: DataFrame, threshold: float = KEEP, text: str = "text") -> DataFrame:
-    """The documents whose score reaches the threshold, unchanged; the model learns from the labelled ones among them."""
-    model = train(measured(docs, text), training_labels(labels))
+    """The documents whose score reaches the threshold, unchanged; the model learns from the labelled ones among them.
+
+    Only documents with a label that counts are measured for training: their ids, a bounded number, go to every task.
+    """
+    known = cut(bounded(training_labels(labels)), "labels")
+    mine = docs.join(F.broadcast(known.select(F.col("id").alias("known_id"))), long_id(docs, "doc_id") == F.col("known_id"), "left_semi")
+    model = train(measured(mine, text), known)
 
     def run(batches):
         for b in slices(batches):
