@@ -28,12 +28,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import slices
+from .common import long_id, slices
 
-SHINGLE, SIMILARITY, RADIUS, ITEMS = 5, 0.8, 19, 5_000
+SHINGLE, SIMILARITY, RADIUS, ITEMS, ITEM_CHARS = 5, 0.8, 19, 5_000, 1 << 24
 BASE, MIX = 0x9E3779B97F4A7C15, 0xBF58476D1CE4E5B9
 BACK = pow(BASE, -1, 1 << 64)
-PART = 1 << 20
+PART, SPAN = 1 << 20, 1 << 15
 SIEVE = 20
 
 
@@ -90,6 +90,26 @@ def _near(bits: int) -> np.ndarray:
     return every[np.bitwise_count(every) <= bits]
 
 
+def _common(h: np.ndarray, starts: list[int], wide: int, counts: Counter):
+    """(start, shingles in common with `counts`) of windows in order; a window that overlaps the one before moves on from it,
+    so the work grows with the text that they cover, not with the windows' sizes added up."""
+    inside: Counter = Counter()
+    common, before = 0, None
+    for s in starts:
+        if before is None or s - before >= wide:
+            inside = Counter(h[s : s + wide].tolist())
+            common = sum(min(c, inside[x]) for x, c in counts.items())
+        else:
+            for x in h[before:s].tolist():
+                common -= inside[x] <= counts.get(x, 0)
+                inside[x] -= 1
+            for x in h[before + wide : s + wide].tolist():
+                inside[x] += 1
+                common += inside[x] <= counts.get(x, 0)
+        before = s
+        yield s, common
+
+
 class Items:
     """What a task needs of the benchmark: shingles, fingerprints, and their blocks by value."""
 
@@ -168,32 +188,36 @@ class Items:
             wide, hits = min(size, len(h)), place[size_at == size]
             if len(hits) < similarity / (1 + similarity) * (wide + size) - 1e-9:
                 continue
-            total = np.zeros(len(h) + 1, np.int64)
+            total = np.zeros(len(h) + 1, np.int32)
             total[hits + 1] = 1
-            total = np.cumsum(total)
-            begins = np.unique(np.clip((hits[:, None] - np.arange(wide)[None, :]).ravel(), 0, len(h) - wide))
-            begins = begins[total[begins + wide] - total[begins] >= similarity / (1 + similarity) * (wide + size) - 1e-9]
-            for a in range(0, len(begins), 4096):
-                part = begins[a : a + 4096]
-                for w, i in self.candidates(window_prints(h, part, wide)):
-                    if self.sizes[i] == size:
-                        s = int(part[w])
-                        inside = Counter(h[s : s + wide].tolist())
-                        common = sum(min(c, inside[x]) for x, c in self.counts[i].items())
-                        value = common / (wide + size - common)
-                        if value >= similarity and (i not in best or value > best[i][0]):
-                            best[i] = (value, s, min(int(self.words[i]), len(words)))
+            np.cumsum(total, out=total)
+            begins = np.flatnonzero(total[wide:] - total[: len(total) - wide] >= similarity / (1 + similarity) * (wide + size) - 1e-9)
+            asked: dict[int, list[int]] = {}
+            # A few thousand windows at a time, and no further apart than SPAN, so that memory has a bound.
+            edge = [0, *(np.flatnonzero(np.diff(begins // SPAN)) + 1).tolist(), len(begins)]
+            for lo, hi in zip(edge[:-1], edge[1:]):
+                for a in range(lo, hi, 4096):
+                    part = begins[a : min(a + 4096, hi)]
+                    for w, i in self.candidates(window_prints(h, part, wide)):
+                        if self.sizes[i] == size:
+                            asked.setdefault(i, []).append(int(part[w]))
+            for i, starts in asked.items():
+                for s, common in _common(h, sorted(starts), wide, self.counts[i]):
+                    value = common / (wide + size - common)
+                    if value >= similarity and (i not in best or value > best[i][0]):
+                        best[i] = (value, s, min(int(self.words[i]), len(words)))
         return best
 
 
 def item_batches(benchmark: DataFrame, id_column: str = "item_id", text: str = "text"):
-    """The items, ITEMS at a time; a benchmark is read once per pass and never held whole."""
-    held = []
-    for row in benchmark.select(F.col(id_column).cast("long").alias("id"), F.col(text).cast("string").alias("text")).toLocalIterator():
+    """The items, ITEMS or ITEM_CHARS at a time; a benchmark is read once per pass and never held whole."""
+    held, chars = [], 0
+    for row in benchmark.select(long_id(benchmark, id_column).alias("id"), F.col(text).cast("string").alias("text")).toLocalIterator():
         held.append((row["id"], row["text"]))
-        if len(held) == ITEMS:
+        chars += len(row["text"] or "")
+        if len(held) == ITEMS or chars >= ITEM_CHARS:
             yield held
-            held = []
+            held, chars = [], 0
     if held:
         yield held
 
@@ -201,7 +225,7 @@ def item_batches(benchmark: DataFrame, id_column: str = "item_id", text: str = "
 def matches(docs: DataFrame, benchmark: DataFrame, similarity: float = SIMILARITY, text: str = "text", id_column: str = "doc_id") -> DataFrame:
     """(id, item_id, similarity, first_word, n_words) of every item that a document repeats."""
     spark = docs.sparkSession
-    slim = docs.select(F.col(id_column).cast("long").alias("id"), F.coalesce(F.col(text).cast("string"), F.lit("")).alias("text"))
+    slim = docs.select(long_id(docs, id_column).alias("id"), F.coalesce(F.col(text).cast("string"), F.lit("")).alias("text"))
     layout = "id long, item_id long, similarity double, first_word long, n_words long"
     columns = [("id", pa.int64()), ("item_id", pa.int64()), ("similarity", pa.float64()), ("first_word", pa.int64()), ("n_words", pa.int64())]
     out = spark.createDataFrame([], layout)
