@@ -6,12 +6,15 @@ more than the radius are skipped, and inside a pair of tiles the same holds for
 pair by pair with numpy's exclusive or and bit counts. A pair of tiles returns a spanning forest of its links, never all
 pairs of a group of near copies, and components join the forests.
 
-Only the histogram of bit counts reaches the driver (at most 17**4 cells for 64 bits, whatever the data).
+Only the histogram of bit counts reaches the driver (at most 17**4 cells for 64 bits, whatever the data), and a box for each
+tile leaves it; which tiles meet is decided in Spark.
 
 Cases: null and empty texts have the fingerprint zero and are linked like others; texts shorter than a shingle count as
 one shingle; rows without an id get a fingerprint but name no component; repeated rows and ties share one fingerprint;
-an empty table gives an empty result; other columns are ignored by the query and kept by `keep_one_of_each`, which lets
-only documents go whose exact similarity to the group's original is high enough.
+ids have to be whole numbers; an empty table gives an empty result; other columns are ignored by the query and kept by
+`keep_one_of_each`, which lets only documents go whose exact similarity to one that stays, or to one that goes with it, is
+high enough. Of rows equal in id and text it keeps the one with the least hash of all columns. Rows without an id, and rows
+that share an id but not the text, can't be named by it: they stay, and are no one's copies.
 """
 
 from __future__ import annotations
@@ -20,10 +23,10 @@ import numpy as np
 import pandas as pd
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import cut, slices
+from .common import cut, long_id, slices
 from .components import connected_components
 
 TILE, TILES, BLOCK = 16_384, 128, 256
@@ -63,7 +66,7 @@ def fingerprints(docs: DataFrame, k: int = 4, bits: int = 64, text: str = "text"
         for b in slices(batches):
             yield pa.RecordBatch.from_arrays([b.column("id"), pa.array([fingerprint(t, k, bits) for t in b.column("text").to_pylist()], pa.string())], ["id", "fingerprint"])
 
-    return docs.select(F.col(id_column).cast("long").alias("id"), F.col(text).cast("binary").alias("text")).mapInArrow(run, "id long, fingerprint string")
+    return docs.select(long_id(docs, id_column).alias("id"), F.col(text).cast("binary").alias("text")).mapInArrow(run, "id long, fingerprint string")
 
 
 def _parts(bits: int) -> int:
@@ -178,8 +181,15 @@ def links(fps: DataFrame, bits: int, radius: int) -> DataFrame:
     start = np.cumsum(subs) - subs
     box = np.repeat(np.arange(n), subs)
     of_cell = spark.createDataFrame(pd.DataFrame(at, columns=names).assign(start=start[tile], subs=subs[tile]), ", ".join(f"{c} int" for c in names) + ", start long, subs long")
-    pairs = [(k, i, j) for k, (i, j) in enumerate((i, int(j)) for i in range(len(box)) for j in i + np.flatnonzero(_gap(low[box[i]], high[box[i]], low[box[i:]], high[box[i:]]) <= radius))]
-    sides = pd.DataFrame([(t, k) for k, i, j in pairs for t in {i, j}], columns=["tile", "pair"])
+    boxes = spark.createDataFrame(pd.DataFrame({"tile": np.arange(len(box)), "low": low[box].tolist(), "high": high[box].tolist()}), "tile long, low array<long>, high array<long>")
+    other = boxes.select(F.col("tile").alias("t2"), F.col("low").alias("low2"), F.col("high").alias("high2"))
+    gap = F.lit(0)
+    for i in range(len(names)):
+        a, b = (F.get(x, F.lit(i)) - F.get(y, F.lit(i)) for x, y in (("low", "high2"), ("low2", "high")))
+        gap = gap + F.greatest(F.lit(0), a, b)
+    # One row for each tile, and what is compared with it: the tiles' boxes decide, so this is a condition, not a key.
+    near = boxes.join(other, (F.col("tile") <= F.col("t2")) & (gap <= radius)).withColumn("pair", F.col("tile") * len(box) + F.col("t2"))
+    sides = cut(near.select("pair", F.explode(F.array_distinct(F.array("tile", "t2"))).alias("tile")), "tile-pairs")
     words = bits // 64
 
     def pack(key, rows):
@@ -195,8 +205,7 @@ def links(fps: DataFrame, bits: int, radius: int) -> DataFrame:
 
     dealt = counted.join(F.broadcast(of_cell), names).withColumn("tile", F.col("start") + F.pmod(F.xxhash64("id"), F.col("subs")))
     tiles = cut(dealt.groupBy("tile").applyInPandas(pack, "tile long, rows binary"), "tiles")
-    by_pair = tiles.join(F.broadcast(spark.createDataFrame(sides, "tile long, pair long")) if len(sides) < 1 << 20 else spark.createDataFrame(sides, "tile long, pair long"), "tile")
-    return by_pair.groupBy("pair").applyInPandas(compare, "a long, b long")
+    return tiles.join(sides, "tile").groupBy("pair").applyInPandas(compare, "a long, b long")
 
 
 def near_duplicates(docs: DataFrame, k: int = 4, bits: int = 64, radius: int = 4, text: str = "text", id_column: str = "doc_id") -> DataFrame:
@@ -222,7 +231,7 @@ def shingle_sets(docs: DataFrame, k: int, text: str = "text", id_column: str = "
         for b in slices(batches):
             yield pa.RecordBatch.from_arrays([b.column("id"), pa.array([one(t) for t in b.column("text").to_pylist()], pa.list_(pa.int64()))], ["id", "shingles"])
 
-    return docs.select(F.col(id_column).cast("long").alias("id"), F.col(text).cast("binary").alias("text")).mapInArrow(run, "id long, shingles array<long>")
+    return docs.select(long_id(docs, id_column).alias("id"), F.col(text).cast("binary").alias("text")).mapInArrow(run, "id long, shingles array<long>")
 
 
 def _words(bits: int):
@@ -270,11 +279,13 @@ def verified_copies(docs: DataFrame, k: int = 5, bits: int = 128, radius: int =
     compared with each other and with those settled members that their distances to the leader do not rule out.
     """
     found = near_duplicates(docs, k, bits, radius, text, id_column).where("id is not null")
+    unclear = found.groupBy("id").agg(F.min("fingerprint").alias("f1"), F.max("fingerprint").alias("f2")).where("f1 <> f2").select("id")
+    found = found.join(unclear, "id", "left_anti")
     groups = found.groupBy("component_id").agg(F.count("*").alias("n")).where("n > 1").select("component_id")
     members = cut(found.join(groups, "component_id").select(F.col("component_id").alias("group"), "id", "fingerprint").distinct(), "members")
     # Neither this list of ids nor that of documents that go has a bound, so texts meet them in a shuffle at every size.
     mine = docs.join(members.select(F.col("id").alias("member")).hint("merge"), F.col(id_column) == F.col("member"), "left_semi")
-    left = cut(members.join(shingle_sets(mine, k, text, id_column).dropDuplicates(["id"]), "id"), "member-shingles")
+    left = cut(members.join(shingle_sets(mine, k, text, id_column).groupBy("id").agg(F.min("shingles").alias("shingles")), "id"), "member-shingles")
     bit = [F.sum(F.shiftright(w, j).bitwiseAND(F.lit(1).cast("long"))).alias(f"b{i}_{j}") for i, w in enumerate(_words(bits)) for j in range(32)]
     sums = left.groupBy("group").agg(F.count("*").alias("n"), *bit).where("n > 1")
     majority = [sum((F.shiftleft((2 * F.col(f"b{i}_{j}") > F.col("n")).cast("long"), j) for j in range(1, 32)), (2 * F.col(f"b{i}_0") > F.col("n")).cast("long")).alias(f"m{i}") for i in range(bits // 32)]
@@ -325,9 +336,18 @@ def _links_of_the_rest(left: DataFrame, judged: DataFrame, similarity: float) ->
 
 
 def keep_one_of_each(docs: DataFrame, text: str = "text", id_column: str = "doc_id", **kw) -> DataFrame:
-    """The documents that stay, unchanged; of rows equal in id and text one. Rows without an id are no one's copies."""
+    """The documents that stay, unchanged: one of each group of near copies, and of rows equal in id and text one."""
     gone = verified_copies(docs, text=text, id_column=id_column, **kw).select(F.col("id").alias("gone_id")).hint("merge")
-    return docs.join(gone, F.col(id_column) == F.col("gone_id"), "left_anti").dropDuplicates([id_column, text])
+    left = docs.join(gone, F.col(id_column) == F.col("gone_id"), "left_anti")
+    # Ids that occur once have nothing to compare: only the few others are put in order.
+    again = docs.where(F.col(id_column).isNotNull()).groupBy(F.col(id_column).alias("again_id")).count().where("count > 1").select("again_id")
+    if again.isEmpty():
+        return left
+    again = cut(again, "repeated-ids")
+    same = F.col(id_column) == F.col("again_id")
+    first = Window.partitionBy(id_column, text).orderBy(F.xxhash64(*docs.columns))
+    one = left.join(again.hint("merge"), same, "left_semi").withColumn("__n", F.row_number().over(first)).where("__n = 1").drop("__n")
+    return left.join(again.hint("merge"), same, "left_anti").unionByName(one)
 
 
 def query(spark, sf_dir):
