@@ -16,20 +16,21 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import partitions
+from .common import long_id, partitions
 
 BLOCK_BYTES, BUCKET_BYTES = 4 << 20, 16 << 20
-#: Stands for a null id: larger than any other, so it takes nothing from other documents.
+#: Stands for a null id: as large as any, so it takes nothing from other documents; `named` tells whether it does.
 NO_ID = (1 << 63) - 1
 
 
 def into_blocks(docs: DataFrame, id_column: str, text: str) -> tuple[DataFrame, int]:
-    """(block, id, text as bytes) of every row, and the number of buckets that suits their size."""
-    slim = docs.select(F.coalesce(F.col(id_column).cast("long"), F.lit(NO_ID)).alias("id"), F.coalesce(F.col(text).cast("binary"), F.lit(b"")).alias("text"))
+    """(block, id, named, text as bytes) of every row, and the number of buckets that suits their size."""
+    own = long_id(docs, id_column)
+    slim = docs.select(F.coalesce(own, F.lit(NO_ID)).alias("id"), own.isNotNull().alias("named"), F.coalesce(F.col(text).cast("binary"), F.lit(b"")).alias("text"))
     total = slim.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     least = partitions(docs.sparkSession)
     blocks = max(2 * least, math.ceil(total / BLOCK_BYTES))
-    return slim.select(F.pmod(F.xxhash64("id"), F.lit(blocks)).cast("int").alias("block"), "id", "text"), max(least, math.ceil(total / BUCKET_BYTES))
+    return slim.select(F.pmod(F.xxhash64("id"), F.lit(blocks)).cast("int").alias("block"), "id", "named", "text"), max(least, math.ceil(total / BUCKET_BYTES))
 
 
 def round_trip(blocks: DataFrame, send: Callable, settle: Callable, layout: str, answers: str, extra: DataFrame | None = None) -> DataFrame:
@@ -63,7 +64,7 @@ def runs_of(mask: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return edge[::2], edge[1::2]
 
 
-def cut_out(ids: list[int], texts: list[bytes], masks: list[np.ndarray]) -> pd.DataFrame:
+def cut_out(ids: list[int], named: np.ndarray, texts: list[bytes], masks: list[np.ndarray]) -> pd.DataFrame:
     """What is left of each text where its mask is not set, with the spans that went."""
     rows = []
     for i, text, mask in zip(ids, texts, masks):
@@ -74,7 +75,7 @@ def cut_out(ids: list[int], texts: list[bytes], masks: list[np.ndarray]) -> pd.D
         else:
             rows.append((i, len(text), text, []))
     out = pd.DataFrame(rows, columns=["id", "n_bytes", "kept", "spans"])
-    out["id"] = out["id"].astype("Int64").mask(out["id"] == NO_ID)
+    out["id"] = out["id"].astype("Int64").mask(~named)
     return out
 
 

@@ -30,7 +30,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .blocks import dealt, joined
-from .common import new_folder, partitions
+from .common import long_id, new_folder, partitions
 
 PIECE, BUCKET_BYTES = 2 << 20, 16 << 20
 BASE, MIX, DEAL = 0x9E3779B97F4A7C15, 0xBF58476D1CE4E5B9, 0x94D049BB133111EB
@@ -323,7 +323,7 @@ def scores(docs: DataFrame, model: Model, text: str = "text", id_column: str = "
                     sums[i] += np.bincount(doc, x, minlength=n)
             yield pd.DataFrame({"id": b["id"].astype("Int64"), "n_tokens": sums[0].astype(np.int64), "n_known": sums[1].astype(np.int64), "base_score": sums[2], "score": sums[3]})
 
-    slim = docs.select(F.col(id_column).cast("long").alias("id"), F.coalesce(F.col(text).cast("binary"), F.lit(b"")).alias("text"))
+    slim = docs.select(long_id(docs, id_column).alias("id"), F.coalesce(F.col(text).cast("binary"), F.lit(b"")).alias("text"))
     return slim.mapInPandas(run, "id long, n_tokens long, n_known long, base_score double, score double")
 
 

@@ -4,10 +4,9 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-import corpus_pipeline
 from pyspark.sql import DataFrame, SparkSession
 
-from . import chat, decontaminate, mixing, ngram, quality, sharding, simhash, substring, suffixes, topk
+from . import chat, decontaminate, mixing, ngram, pipeline, quality, sharding, simhash, substring, suffixes, topk
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -22,7 +21,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op8_quality": quality.query,
         "op9_decontaminate": decontaminate.query,
         "op10_mix_sources": mixing.query,
-        "pipeline": corpus_pipeline.run,
+        "pipeline": pipeline.run,
     }
 
 

@@ -135,7 +135,7 @@ def deduplicate(docs: DataFrame, min_bytes: int = MIN_BYTES, text: str = "text",
             if 0 < len(text) < min_bytes:
                 mask |= again[start]
                 start += 1
-        out = cut_out(ids.tolist(), texts, masks)
+        out = cut_out(ids.tolist(), rows["named"].to_numpy(bool), texts, masks)
         out["n_chunks"], out["n_duplicate_chunks"] = [m[0] for m in made], [m[1] for m in made]
         return out
 

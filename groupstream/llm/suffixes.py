@@ -281,7 +281,7 @@ def deduplicate(docs: DataFrame, depth: int = DEPTH, text: str = "text", id_colu
             run, seg = run[hit], seg[hit]
             for d, x, y in zip(doc[run].tolist(), (at[run] + low[seg]).tolist(), (at[run] + high[seg] + depth - 1).tolist()):
                 masks[d][x:y] = True
-        return cut_out(ids.tolist(), texts, masks)
+        return cut_out(ids.tolist(), rows["named"].to_numpy(bool), texts, masks)
 
     asked = round_trip(blocks, send_keys, settle_keys, "keys binary, many binary", "bucket int, keys binary")
     told = round_trip(blocks, send_strings, settle_strings, "counts binary, least binary, most binary, keys binary, contents binary, texts binary", "keys binary, contents binary, lows binary, highs binary, ids binary", asked)
