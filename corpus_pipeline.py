@@ -1,55 +1,5 @@
-"""A corpus pipeline: five stages, each a written table that the next one reads.
+"""The corpus pipeline of the training-data operators: its stages, its SQL (none) and its run, as the subpackage has them."""
 
-quality: documents that the classifier rejects go. near_duplicates: of each group of near copies (five-word shingles,
-similarity 0.8 or more) the document with the smallest id stays. decontamination: documents that repeat a benchmark item go. mixing: sources are
-sampled and repeated to their target weights. sharding: what is left is laid out in shards of near equal bytes.
-"""
+from groupstream.llm.pipeline import ORACLE_SQL, STAGES, run
 
-from __future__ import annotations
-
-from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
-
-from groupstream.llm import decontaminate, mixing, quality, sharding, simhash
-from groupstream.llm.common import new_folder, table
-
-
-def keep_good(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return quality.keep_good(docs, table(spark, sf_dir, "labels").select("doc_id", "quality"))
-
-
-def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return simhash.keep_one_of_each(docs, k=5, bits=128, radius=28, similarity=0.8)
-
-
-def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return decontaminate.clean(docs, table(spark, sf_dir, "benchmark").select("item_id", "text"))
-
-
-def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return mixing.draw(docs)
-
-
-def lay_out(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return sharding.place(docs, F.octet_length(F.coalesce(F.col("text"), F.lit(""))) + 1)
-
-
-STAGES = [
-    ("quality", keep_good),
-    ("near_duplicates", drop_near_duplicates),
-    ("decontamination", drop_contaminated),
-    ("mixing", mix_sources),
-    ("sharding", lay_out),
-]
-
-#: The classifier is trained, which SQL cannot express.
-ORACLE_SQL = None
-
-
-def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents")
-    for name, stage in STAGES:
-        path = new_folder(spark, f"stage-{name}")
-        stage(spark, docs, sf_dir).write.parquet(path)
-        docs = spark.read.parquet(path)
-    return docs
+__all__ = ["ORACLE_SQL", "STAGES", "run"]
