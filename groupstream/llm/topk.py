@@ -5,7 +5,7 @@ belongs to the cell of its nearest centre, large cells are cut into blocks, and
 whose nodes hold a centre, the radius that covers all below it and a range of rows. The sample decides how the work is dealt,
 never the result. Queries are dealt and indexed alike.
 
-Each block of queries first searches the first block of its own cell, which gives every query a k-th score. No vector q of
+Each block of queries first searches the first block of the cell that promises it most, which gives every query a k-th score. No vector q of
 one node and p of another can have an inner product above cq.cp + rq |cp| + rp |cq| + rq rp. Cells, then blocks, that do not
 reach the least k-th score of a block of queries are left out before anything is sent to them; inside the pairs that are left
 both trees descend together under the same rule. Blocks of vectors then meet up to ASKS blocks of queries in one task.
@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 
 from .common import cut, long_id
 
-BLOCK, QUERY_BLOCK, ASKS, LEAF, QUERY_LEAF, FAN = 2048, 512, 32, 64, 24, 8
+BLOCK, QUERY_BLOCK, ASKS, LEAF, QUERY_LEAF, FAN, TOGETHER = 2048, 512, 32, 64, 24, 8, 16
 #: Sampled vectors that the centres are picked from, and the most centres of one length.
 CENTRES_FROM, CENTRES = 4096, 256
 
@@ -80,6 +80,11 @@ class Tree:
         self.start, self.stop, self.radius, self.child, self.children = (np.array(x) for x in (self.start, self.stop, self.radius, self.child, self.children))
         self.centre, self.norm = centre, np.sqrt((centre**2).sum(1))
 
+    def below(self, nodes: np.ndarray) -> np.ndarray:
+        """The children of some nodes."""
+        many = self.children[nodes]
+        return np.repeat(self.child[nodes] - (np.cumsum(many) - many), many) + np.arange(many.sum())
+
 
 def packed(points: np.ndarray, leaf: int, **columns: np.ndarray) -> bytes:
     """A matrix with its tree, rows in the tree's order, and other columns of the same rows."""
@@ -115,37 +120,52 @@ class Search:
         self.found = np.full((len(queries), k), np.iinfo(np.int64).max)
 
     def run(self, q: Tree, d: Tree, points: np.ndarray, ids: np.ndarray, copy: np.ndarray) -> None:
-        """points, ids and copy are in the order of the tree d."""
-        rows = q.order
-        todo = [(0, 0)]
+        """points, ids and copy are in the order of the tree d.
+
+        Each node of queries takes over the nodes of vectors that its parent could not rule out, opens those wider than
+        itself, and rules out what it can; leaves of queries score what is left, the most promising first.
+        """
+        todo = [(0, np.array([0]))]
         while todo:
-            a, b = todo.pop()
-            asked = rows[q.start[a] : q.stop[a]]
-            bound = reach(q.centre[a], q.radius[a], q.norm[a], d.centre[b], d.radius[b], d.norm[b])
-            if bound < self.scores[asked, -1].min():
+            a, nodes = todo.pop()
+            asked = q.order[q.start[a] : q.stop[a]]
+            worst = self.scores[asked, -1].min()
+            nodes = nodes[self._bounds(q, a, d, nodes) >= worst]
+            leaf = not q.children[a]
+            while (wide := (d.children[nodes] > 0) & (leaf | (d.radius[nodes] > q.radius[a]))).any():
+                nodes = np.concatenate([nodes[~wide], d.below(nodes[wide])])
+                nodes = nodes[self._bounds(q, a, d, nodes) >= worst]
+            if not leaf:
+                todo += [(q.child[a] + i, nodes) for i in range(q.children[a])] if len(nodes) else []
                 continue
-            if q.children[a] and (q.radius[a] > d.radius[b] or not d.children[b]):
-                todo += [(q.child[a] + i, b) for i in range(q.children[a])]
-            elif d.children[b]:
-                kids = np.arange(d.child[b], d.child[b] + d.children[b])
-                near = reach(q.centre[a], q.radius[a], q.norm[a], d.centre[kids], d.radius[kids], d.norm[kids])
-                todo += [(a, int(kids[i])) for i in np.argsort(near, kind="stable")]  # the best is taken first
-            else:
-                self.score(asked, slice(d.start[b], d.stop[b]), points, ids, copy)
-
-    def score(self, asked: np.ndarray, s: slice, points: np.ndarray, ids: np.ndarray, copy: np.ndarray) -> None:
-        made = self.queries[asked] @ points[s].T
+            bounds = self._bounds(q, a, d, nodes)
+            best = np.argsort(-bounds, kind="stable")
+            for at in range(0, len(best), TOGETHER):
+                part = best[at : at + TOGETHER]
+                if bounds[part[0]] < self.scores[asked, -1].min():
+                    break
+                rows = np.concatenate([np.arange(d.start[n], d.stop[n]) for n in nodes[part].tolist()])
+                self.score(asked, rows, points, ids, copy)
+
+    @staticmethod
+    def _bounds(q: Tree, a: int, d: Tree, nodes: np.ndarray) -> np.ndarray:
+        return reach(q.centre[a], q.radius[a], q.norm[a], d.centre[nodes], d.radius[nodes], d.norm[nodes])
+
+    def score(self, asked: np.ndarray, rows: np.ndarray, points: np.ndarray, ids: np.ndarray, copy: np.ndarray) -> None:
+        part = points[rows]
+        made = self.queries[asked] @ part.T
         self.scored += made.size
-        same = (self.ids[asked][:, None] == ids[s][None, :]) & (copy[s] == 0)[None, :]
+        same = (self.ids[asked][:, None] == ids[rows][None, :]) & (copy[rows] == 0)[None, :]
         for i, j in zip(*np.nonzero(same)) if same.any() else ():  # a query is no partner of its own
-            if (self.queries[asked[i]] == points[s][j]).all():
+            if (self.queries[asked[i]] == part[j]).all():
                 made[i, j] = -np.inf
-        hit = np.flatnonzero((made >= self.scores[asked, -1][:, None]).any(1))
-        if not len(hit):
+        hits = made >= self.scores[asked, -1][:, None]
+        some, columns = np.flatnonzero(hits.any(1)), np.flatnonzero(hits.any(0))
+        if not len(some):
             return
-        asked, made = asked[hit], made[hit]
+        asked, made, names = asked[some], made[np.ix_(some, columns)], ids[rows[columns]]
         wide = np.hstack([self.scores[asked], made])
-        names = np.hstack([self.found[asked], np.broadcast_to(ids[s], made.shape)])
+        names = np.hstack([self.found[asked], np.broadcast_to(names, made.shape)])
         order = np.lexsort((names, -wide), axis=-1)[:, : self.k]
         self.scores[asked] = np.take_along_axis(wide, order, 1)
         self.found[asked] = np.take_along_axis(names, order, 1)
@@ -155,18 +175,20 @@ def _matrix(rows: pd.DataFrame) -> np.ndarray:
     return np.array(rows["vec"].tolist(), np.float64).reshape(len(rows), -1)
 
 
-def _centres(vectors: DataFrame) -> dict[int, np.ndarray]:
-    """The centres of each length, from a sample of fixed size."""
+def _centres(vectors: DataFrame, size: int) -> dict[int, np.ndarray]:
+    """Centres of each sampled length, about one for every `size` vectors of it."""
     sample = vectors.select("vec", F.xxhash64("id", "vec").alias("h")).orderBy("h").limit(CENTRES_FROM).collect()
     by_length: dict[int, list] = {}
     for r in sample:
         by_length.setdefault(len(r["vec"]), []).append(r["vec"])
-    return {n: np.array(v)[farthest_first(np.array(v), min(CENTRES, max(1, len(v) // 16)))[0]] for n, v in by_length.items()}
+    per = vectors.groupBy(F.size("vec").alias("dim")).count().where(F.col("dim").isin(list(by_length))).collect() if by_length else []
+    many = {r["dim"]: min(CENTRES, -(-r["count"] // size)) for r in per}
+    return {n: np.array(v)[farthest_first(np.array(v), many[n])[0]] for n, v in by_length.items()}
 
 
-def _in_cells(vectors: DataFrame, columns: list[str]) -> DataFrame:
-    """vectors with dim and cell, the number of the nearest centre (0 where no vector of that length was sampled)."""
-    centres = _centres(vectors)
+def _in_cells(vectors: DataFrame, size: int) -> DataFrame:
+    """(id, vec, n, dim, cell): cell is the number of the nearest centre (0 where no vector of that length was sampled)."""
+    centres = _centres(vectors, size)
 
     def run(batches):
         for b in batches:
@@ -178,8 +200,7 @@ def _in_cells(vectors: DataFrame, columns: list[str]) -> DataFrame:
                     cell[size == n] = ((c * c).sum(1)[None, :] - 2 * x @ c.T).argmin(1)
             yield b.assign(dim=size, cell=cell)
 
-    layout = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in vectors.select(*columns).schema)
-    return vectors.select(*columns).mapInPandas(run, f"{layout}, dim long, cell long")
+    return vectors.select("id", "vec", "n").mapInPandas(run, "id long, vec array<double>, n long, dim long, cell long")
 
 
 def _blocks(rows: DataFrame, size: int, copies: bool) -> DataFrame:
@@ -215,16 +236,19 @@ def _may_reach(worst: Column) -> Column:
     return bound + F.abs(bound) * 1e-9 + 1e-6 >= worst
 
 
+def cells_of(blocks: DataFrame) -> DataFrame:
+    """(dim, cell, centre, radius): for each cell the ball around its first block's centre that covers all its blocks."""
+    middle = blocks.groupBy("dim", "cell").agg(F.min_by("centre", "sub").alias("m"))
+    off = F.sqrt(F.aggregate(F.zip_with("centre", "m", lambda x, y: (x - y) * (x - y)), F.lit(0.0), lambda s, x: s + x))
+    return blocks.join(middle, ["dim", "cell"]).groupBy("dim", "cell").agg(F.first("m").alias("centre"), F.max(off + F.col("radius")).alias("radius"))
+
+
 def meetings(asks: DataFrame, blocks: DataFrame) -> DataFrame:
-    """(dim, ask, cell, sub): which blocks of vectors each block of queries has to search after the first.
+    """(dim, ask, cell, sub): which blocks of vectors each block of queries has to search after the first of its home cell.
 
-    asks: (dim, ask, home, q_centre, q_radius, worst); blocks: (dim, cell, sub, centre, radius). Cells are ruled out first, by the
-    ball around the mean of their blocks' centres that covers them all.
+    asks: (dim, ask, home, q_centre, q_radius, worst); blocks: (dim, cell, sub, centre, radius). Cells are ruled out first.
     """
-    middle = blocks.groupBy("dim", "cell").agg(F.expr("min_by(centre, sub)").alias("m"))
-    off = F.sqrt(F.aggregate(F.zip_with("centre", "m", lambda x, y: (x - y) * (x - y)), F.lit(0.0), lambda s, x: s + x))
-    cells = blocks.join(middle, ["dim", "cell"]).groupBy("dim", "cell").agg(F.max(off + F.col("radius")).alias("radius"), F.first("m").alias("centre"))
-    near = asks.join(cells, "dim").where(_may_reach(F.col("worst"))).select("dim", "ask", "home", "cell", "q_centre", "q_radius", "worst")
+    near = asks.join(cells_of(blocks), "dim").where(_may_reach(F.col("worst"))).select("dim", "ask", "home", "cell", "q_centre", "q_radius", "worst")
     pairs = near.join(blocks, ["dim", "cell"]).where(_may_reach(F.col("worst")))
     return pairs.where((F.col("cell") != F.col("home")) | (F.col("sub") != 0)).select("dim", "ask", "cell", "sub")
 
@@ -232,34 +256,34 @@ def meetings(asks: DataFrame, blocks: DataFrame) -> DataFrame:
 _FOUND = "dim long, ask long, at long, query_id long, n long, id long, score double"
 
 
-def _rows(dim: int, ask: int, found: Search, n: np.ndarray, least: np.ndarray | None = None) -> pd.DataFrame:
+def _rows(dim: int, ask: int, found: Search, n: np.ndarray) -> pd.DataFrame:
     i, j = np.nonzero(np.isfinite(found.scores) & (found.found != np.iinfo(np.int64).max))
     return pd.DataFrame({"dim": dim, "ask": ask, "at": i, "query_id": found.ids[i], "n": n[i], "id": found.found[i, j], "score": found.scores[i, j]})
 
 
 def top_k(vectors: DataFrame, is_query: Column, k: int = 10) -> DataFrame:
     """(id long, vec array<double>, n long), finite, n rows alike -> (query_id, rank, id, score), score as double."""
-    celled = cut(_in_cells(vectors.withColumn("asks", is_query), ["id", "vec", "n", "asks"]), "top-cells")
     found = F.least("n", F.lit(k + 1).cast("long"))  # of more equal rows than that no list has a place for
-    blocks = cut(_blocks(celled.withColumn("n", found), BLOCK, True), "top-vectors")
-    asked = _blocks(celled.where("asks"), QUERY_BLOCK, False)
+    blocks = cut(_blocks(_in_cells(vectors.withColumn("n", found), BLOCK), BLOCK, True), "top-vectors")
+    asked = _blocks(_in_cells(vectors.where(is_query), QUERY_BLOCK), QUERY_BLOCK, False)
     number = F.col("cell") * (1 << 32) + F.col("sub")
-    asked = cut(asked.select("dim", number.alias("ask"), F.col("cell").alias("home"), F.col("centre").alias("q_centre"), F.col("radius").alias("q_radius"), "size", F.col("tree").alias("q_tree")), "top-queries")
+    asked = cut(asked.select("dim", number.alias("ask"), F.col("centre").alias("q_centre"), F.col("radius").alias("q_radius"), "size", F.col("tree").alias("q_tree")), "top-queries")
+    promise = asked.select("dim", "ask", "q_centre").join(cells_of(blocks), "dim").groupBy("dim", "ask").agg(F.max_by("cell", F.struct(_dot("q_centre", "centre"), "cell")).alias("home"))
+    asked = asked.join(promise, ["dim", "ask"])
 
-    def search(q_tree: bytes, tree: bytes, worst: np.ndarray | None = None) -> tuple[Search, np.ndarray]:
-        asks, q = unpacked(q_tree)
-        rows, d = unpacked(tree)
+    def search(asks: dict, q: Tree, rows: dict, d: Tree, worst: np.ndarray | None = None) -> Search:
         one = Search(asks["points"], asks["id"], k)
         if worst is not None:
             one.scores[:] = worst[:, None]  # what is known already; places without an id are no results
         one.run(q, d, rows["points"], rows["id"], rows["copy"])
-        return one, asks["n"]
+        return one
 
     def first(batches):
         for b in batches:
             for r in b.itertuples():
-                one, n = search(r.q_tree, r.tree)
-                out = _rows(r.dim, r.ask, one, n)
+                asks, q = unpacked(r.q_tree)
+                one = search(asks, q, *unpacked(r.tree))
+                out = _rows(r.dim, r.ask, one, asks["n"])
                 yield out.assign(worst=one.scores[out["at"].to_numpy(np.int64), -1])
 
     home = asked.join(blocks.where("sub = 0").select("dim", F.col("cell").alias("home"), "tree"), ["dim", "home"])
@@ -281,12 +305,13 @@ def top_k(vectors: DataFrame, is_query: Column, k: int = 10) -> DataFrame:
 
     def rest(queries, block):
         out = [pd.DataFrame({c.split()[0]: [] for c in _FOUND.split(", ")})]
-        for r in queries.itertuples() if len(block) else ():
+        rows, d = unpacked(block["tree"].iloc[0]) if len(block) else (None, None)
+        for r in queries.itertuples() if rows else ():
             worst = np.full(r.size, -np.inf)
             for w in r.worsts if r.worsts is not None else ():
                 worst[w["at"]] = w["worst"]
-            one, n = search(r.q_tree, block["tree"].iloc[0], worst)
-            out.append(_rows(r.dim, r.ask, one, n))
+            asks, q = unpacked(r.q_tree)
+            out.append(_rows(r.dim, r.ask, search(asks, q, rows, d, worst), asks["n"]))
         return pd.concat(out)
 
     more = sent.groupBy(*key).cogroup(wanted.groupBy(*[f"{c}_" for c in key])).applyInPandas(rest, _FOUND)
