@@ -1,6 +1,7 @@
 """An interpolated modified Kneser-Ney model, counted in Spark and read by workers from memory-mapped hash arrays.
 
-The model is of order two. Pairs of tokens are counted by context in buckets of a hash of the first word; each bucket sums
+The model is of order two. Pairs of tokens are counted by context in buckets of a hash of the first word, those of frequent
+first words in several, by the second; each bucket sums
 its contexts (total, and how many words follow once, twice or more often) and passes each second word's count and number
 of distinct contexts on to that word's bucket. Buckets write two kinds of files into the shared folder: pairs as one
 sorted array of 64-bit entries (48 bits of the pair's hash, 16 of its count, larger counts apart), and words as sorted
@@ -50,6 +51,37 @@ def _bucket(word: np.ndarray, n: int) -> np.ndarray:
     return (((word * np.uint64(DEAL)) >> np.uint64(33)) % np.uint64(n)).astype(np.int64)
 
 
+#: Documents that the words' shares are estimated from, which decide how many buckets a frequent first word is dealt over.
+SHARES_FROM, SHARES_CHARS = 2_000, 4 << 20
+
+
+class Deal:
+    """Which bucket a pair goes to: that of its first word; pairs of a frequent first word go on by the second over `many`
+    buckets from there. The estimate behind it decides how work is dealt, never a count."""
+
+    def __init__(self, buckets: int, word: np.ndarray, many: np.ndarray):
+        order = np.argsort(word)
+        self.buckets, self.word, self.many = buckets, word[order], many[order]
+
+    @staticmethod
+    def of_sample(texts: list[bytes], buckets: int) -> "Deal":
+        found = [_short(previous) for _, _, previous in token_pieces(texts)]
+        word, count = np.unique(np.concatenate(found), return_counts=True) if found else (np.zeros(0, np.uint64), np.zeros(0, np.int64))
+        many = np.minimum(buckets, np.ceil(2.0 * count / max(1, count.sum()) * buckets)).astype(np.int64)
+        return Deal(buckets, word[many > 2], many[many > 2])
+
+    def spread(self, first: np.ndarray) -> np.ndarray:
+        """Over how many buckets each first word is dealt."""
+        if not len(self.word):
+            return np.ones(len(first), np.int64)
+        at = np.minimum(np.searchsorted(self.word, first), len(self.word) - 1)
+        return np.where(self.word[at] == first, self.many[at], 1)
+
+    def bucket(self, first: np.ndarray, second: np.ndarray) -> np.ndarray:
+        shift = _mix(second) % self.spread(first).astype(np.uint64)
+        return (_bucket(first, self.buckets) + shift.astype(np.int64)) % self.buckets
+
+
 def _pair(first: np.ndarray, second: np.ndarray) -> np.ndarray:
     """The upper 48 bits of a hash of both words; the lower 16 are free."""
     return _mix(first * np.uint64(BASE) + second) & ~np.uint64(TOP)
@@ -147,8 +179,8 @@ def _write(folder: str, name: str, data: bytes) -> None:
     os.replace(part, f"{folder}/{name}")
 
 
-def _pairs_sent(texts: list[bytes], buckets: int):
-    """The distinct pairs of each piece of text, by bucket of the first word."""
+def _pairs_sent(texts: list[bytes], deal: Deal):
+    """The distinct pairs of each piece of text, by bucket."""
     for _, token, previous in token_pieces(texts):
         first, second = _short(previous), _short(token)
         order = np.lexsort((second, first))
@@ -156,7 +188,7 @@ def _pairs_sent(texts: list[bytes], buckets: int):
         at = np.flatnonzero(_new(first, second))
         count = np.diff(np.append(at, len(first)))
         first, second = first[at], second[at]
-        order, parts = dealt(_bucket(first, buckets), buckets)
+        order, parts = dealt(deal.bucket(first, second), deal.buckets)
         first, second, count = first[order], second[order], count[order]
         for b, s in parts:
             head = np.flatnonzero(_new(first[s]))
@@ -176,10 +208,12 @@ def train(docs: DataFrame, text: str = "text") -> "Model":
     slim = docs.select(F.coalesce(F.col(text).cast("binary"), F.lit(b"")).alias("text"))
     total = slim.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     buckets = max(partitions(spark), math.ceil(total / BUCKET_BYTES))
+    sample = slim.select(F.substring("text", 1, SHARES_CHARS // SHARES_FROM).alias("text"), F.xxhash64("text").alias("h")).orderBy("h").limit(SHARES_FROM).collect()
+    deal = Deal.of_sample([bytes(r["text"]) for r in sample], buckets)
 
     def send(batches):
         for b in batches:
-            for row in _pairs_sent(b["text"].tolist(), buckets):
+            for row in _pairs_sent(b["text"].tolist(), deal):
                 yield pd.DataFrame([row], columns=["bucket", "contexts", "many", "words", "counts"])
 
     def settle(rows):
@@ -224,7 +258,7 @@ def train(docs: DataFrame, text: str = "text") -> "Model":
     passed = sent.groupBy("bucket").applyInPandas(settle, "bucket int, words binary, uses binary, distinct binary, tally binary")
     sums = passed.groupBy("bucket").applyInPandas(gather, "tokens long, words long, pairs long, " + ", ".join(f"{c}{i} long" for c in "pw" for i in range(1, 5)))
     row = sums.agg(*[F.sum(c).alias(c) for c in sums.columns]).first()
-    return Model(where, buckets, {c: row[c] or 0 for c in sums.columns})
+    return Model(where, deal, {c: row[c] or 0 for c in sums.columns})
 
 
 def discounts(counts: list[int]) -> np.ndarray:
@@ -238,14 +272,15 @@ def discounts(counts: list[int]) -> np.ndarray:
 class Model:
     """Where the files are, and the sums over all of them."""
 
-    def __init__(self, folder: str, buckets: int, sums: dict[str, int]):
-        self.folder, self.buckets, self.sums = folder, buckets, sums
+    def __init__(self, folder: str, deal: Deal, sums: dict[str, int]):
+        self.folder, self.deal, self.buckets, self.sums = folder, deal, deal.buckets, sums
         self.pair_discounts = discounts([sums[f"p{i}"] for i in range(1, 5)])
         self.word_discounts = discounts([sums[f"w{i}"] for i in range(1, 5)])
         single, double, more = sums["w1"], sums["w2"], sums["words"] - sums["w1"] - sums["w2"]
         held = float(self.word_discounts[1:] @ [single, double, more])
         self.uniform = (held / sums["pairs"] if sums["pairs"] else 1.0) / (sums["words"] + 1)
         self.files: dict[str, np.ndarray] = {}
+        self.frequent: dict[int, np.ndarray] = {}
 
     def _map(self, kind: str, bucket: int, columns: int) -> np.ndarray:
         name = f"{self.folder}/{kind}-{bucket}"
@@ -266,9 +301,24 @@ class Model:
                 out[own[hit]] = table[at[hit], 1:].astype(np.int64)
         return out
 
+    def _contexts(self, words: np.ndarray) -> np.ndarray:
+        """The sums of these distinct first words, those of frequent ones added up over their buckets."""
+        out, spread = self._lookup("contexts", words, 5), self.deal.spread(words)
+        for i in np.flatnonzero(spread > 1).tolist():
+            if (word := int(words[i])) not in self.frequent:
+                total = np.zeros(4, np.int64)
+                for b in range(int(spread[i])):
+                    table = self._map("contexts", (int(_bucket(words[i : i + 1], self.buckets)[0]) + b) % self.buckets, 5)
+                    at = int(np.searchsorted(table[:, 0], words[i]))
+                    if at < len(table) and table[at, 0] == words[i]:
+                        total += table[at, 1:].astype(np.int64)
+                self.frequent[word] = total
+            out[i] = self.frequent[word]
+        return out
+
     def pair_counts(self, first: np.ndarray, second: np.ndarray) -> np.ndarray:
         entry, out = _pair(first, second), np.zeros(len(first), np.int64)
-        order, parts = dealt(_bucket(first, self.buckets), self.buckets)
+        order, parts = dealt(self.deal.bucket(first, second), self.buckets)
         for b, s in parts:
             table = self._map("pairs", b, 1)[:, 0]
             if not len(table):
@@ -291,7 +341,7 @@ class Model:
         uses, distinct = self._lookup("words", words, 3).T
         base = self.uniform + np.maximum(distinct - self.word_discounts[np.minimum(distinct, 3)], 0) / max(1, self.sums["pairs"])
         contexts, where = np.unique(previous, return_inverse=True)
-        total, n1, n2, n3 = self._lookup("contexts", contexts, 5).T
+        total, n1, n2, n3 = self._contexts(contexts).T
         left = np.where(total > 0, (np.stack([n1, n2, n3], 1) @ self.pair_discounts[1:]) / np.maximum(total, 1), 1.0)
         order = np.lexsort((of, where))
         new = _new(where[order], of[order])
@@ -304,14 +354,14 @@ class Model:
         return np.log10(p)[number], uses[of]
 
     def __getstate__(self):
-        return self.__dict__ | {"files": {}}
+        return self.__dict__ | {"files": {}, "frequent": {}}
 
 
 def scores(docs: DataFrame, model: Model, text: str = "text", id_column: str = "doc_id") -> DataFrame:
     """(id, n_tokens, n_known, base_score, score) of every text."""
 
     def run(batches):
-        reader = Model(model.folder, model.buckets, model.sums)
+        reader = Model(model.folder, model.deal, model.sums)
         tokens, words = reader.sums["tokens"], reader.sums["words"]
         for b in batches:
             n = len(b)
