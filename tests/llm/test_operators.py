@@ -203,6 +203,78 @@ def test_tiles_join_what_brute_force_links():
     assert roots(edges) == roots(zip(x.tolist(), y.tolist())) and len(edges) < 2 * len(fps)
 
 
+def test_near_duplicates_over_many_tiles(spark, monkeypatch):
+    monkeypatch.setattr(simhash, "TILE", 64)
+    monkeypatch.setattr(simhash, "TILES", 1 << 30)
+    rows = []
+    for i in range(250):  # texts with copies that differ in a few words
+        text = prose(60, 40_000 + i).split()
+        for c in range(3):
+            text[(7 * c) % 60] = f"c{c}x"
+            rows.append((3 * i + c, " ".join(text), "a"))
+    got = simhash.near_duplicates(spark.createDataFrame(rows, DOCS)).collect()
+    ids = np.array([r.id for r in got])
+    prints = np.array([int(r.fingerprint, 16) for r in got], np.uint64)
+    up = {int(i): int(i) for i in ids}
+
+    def find(i):
+        while up[i] != i:
+            i = up[i]
+        return i
+
+    for x, y in zip(*np.nonzero(np.bitwise_count(prints[:, None] ^ prints[None, :]) <= 4)):
+        a, b = find(int(ids[x])), find(int(ids[y]))
+        up[max(a, b)] = min(a, b)
+    assert all(r.component_id == find(r.id) for r in got) and len({r.component_id for r in got}) < len(got)
+
+
+def test_rows_that_an_id_cannot_name_stay(spark):
+    text, other = prose(80, 1), prose(80, 2)
+    rows = [(None, text, "a"), (None, text, "a"), (None, text, "b"), (1, text, "a"), (1, text, "b"), (2, text, "a"), (3, other, "a"), (3, text, "a"), (4, other, "a")]
+    kept = simhash.keep_one_of_each(spark.createDataFrame(rows, DOCS)).collect()
+    assert collections.Counter(r.doc_id for r in kept) == {None: 3, 1: 1, 3: 2, 4: 1}
+    again = simhash.keep_one_of_each(spark.createDataFrame(rows, DOCS).repartition(5)).collect()
+    assert sorted(map(repr, kept)) == sorted(map(repr, again))
+
+
+def test_ids_are_checked_and_the_largest_is_kept(spark):
+    named = spark.createDataFrame([("a", "x y z", "s")], "doc_id string, text string, source string")
+    for run in (substring.deduplicate, suffixes.deduplicate, simhash.near_duplicates, quality.measured):
+        with pytest.raises(TypeError):
+            run(named)
+    last = spark.createDataFrame([((1 << 63) - 1, prose(30, 1), "a"), (None, prose(30, 2), "a")], DOCS)
+    for run in (substring.deduplicate, suffixes.deduplicate):
+        assert {r.id for r in run(last).collect()} == {(1 << 63) - 1, None}
+
+
+def test_substring_dedup_against_a_dictionary(spark, docs):
+    """What goes is exactly the runs of chunks whose bytes occur earlier, and short whole copies."""
+    gear, first, want = substring.gear_table(), {}, {}
+    texts = sorted(((1 << 63) - 1 if i is None else i, (t or "").encode()) for i, t, _ in ROWS)
+    cut = lambda t: list(zip([0, *substring.chunk_ends(t, gear)], substring.chunk_ends(t, gear))) if t else []
+    whole = {}
+    for i, t in texts:
+        whole.setdefault(t, i)
+        for n, (a, b) in enumerate(cut(t)):
+            first.setdefault(t[a:b], (i, n))
+    for i, t in texts:
+        mask, spans = np.zeros(len(t), bool), cut(t)
+        again = [first[t[a:b]][0] < i or first[t[a:b]][1] < n for n, (a, b) in enumerate(spans)]
+        start = 0
+        while start < len(spans):
+            stop = start
+            while stop < len(spans) and again[stop]:
+                stop += 1
+            if stop > start and spans[stop - 1][1] - spans[start][0] >= substring.MIN_BYTES:
+                mask[spans[start][0] : spans[stop - 1][1]] = True
+            start = max(stop, start + 1)
+        if 0 < len(t) < substring.MIN_BYTES and whole[t] < i:
+            mask[:] = True
+        want[i] = np.frombuffer(t, np.uint8)[~mask].tobytes()
+    got = substring.deduplicate(docs).collect()
+    assert all(bytes(r.kept) == want[(1 << 63) - 1 if r.id is None else r.id] for r in got) and len(got) == len(ROWS)
+
+
 def test_components(spark):
     rng = np.random.default_rng(3)
     pairs = [(int(a), int(b)) for a, b in rng.integers(0, 300, (220, 2))] + [(i, i + 1) for i in range(1000, 1060)]
@@ -219,6 +291,41 @@ def test_components(spark):
     assert all(got.get(n, n) == find(n) for n in up)
 
 
+def test_the_trees_skip_most_pairs_of_clustered_vectors():
+    rng = np.random.default_rng(0)
+    points = rng.normal(size=(40, 16))[rng.integers(0, 40, 8000)] * 4 + 0.05 * rng.normal(size=(8000, 16))
+    one, q, d = topk.Search(points[:300], np.arange(300), 10), topk.Tree(points[:300], 12), topk.Tree(points)
+    one.run(q, d, points[d.order], d.order, np.zeros(8000, int))
+    assert one.scored < 0.1 * 300 * 8000
+    for i in range(0, 300, 29):
+        score = points @ points[i]
+        score[i] = -np.inf
+        assert one.found[i].tolist() == np.lexsort((np.arange(8000), -score))[:10].tolist()
+
+
+def test_top_k_over_many_blocks_and_repeated_rows(spark, monkeypatch):
+    for name, value in (("BLOCK", 64), ("QUERY_BLOCK", 8), ("LEAF", 8), ("ASKS", 2)):
+        monkeypatch.setattr(topk, name, value)
+    rng = np.random.default_rng(0)
+    rows = [(i, rng.normal(size=6).astype(np.float32).tolist()) for i in range(900)] + [(100, [0.5] * 6)] * 3 + [(i, [0.25] * 6) for i in range(900, 1300)]
+    rows += [(200, [0.1] * 6), (200, [0.2] * 6)] + [(7, [9.0] * 6)] * 40 + [(1500, [9.0] * 6)] * 15
+    whole, want = [(i, np.floor(1024 * np.array(v, np.float32).astype(np.float64))) for i, v in rows], []
+    for a, (i, q) in enumerate(whole):
+        if i % 100 == 0:
+            best = sorted((-float(q @ v), j) for b, (j, v) in enumerate(whole) if b != a)[:10]
+            want += [(i, n + 1, j, -s) for n, (s, j) in enumerate(best)]
+    table = spark.createDataFrame(rows, "vec_id long, embedding array<float>").withColumns({"score": F.lit("clash"), "n": F.lit(0), "cell": F.lit(1)})
+    found = topk.top_k(topk.integer_vectors(table), F.pmod(F.col("id"), F.lit(100)) == 0)
+    assert sorted((r.query_id, r["rank"], r.id, r.score) for r in found.collect()) == sorted(want)
+
+
+def test_block_pairs_are_ruled_out_before_vectors_are_sent(spark):
+    at = lambda i: [100.0 if j == i else 0.0 for j in range(8)]
+    blocks = spark.createDataFrame([(8, c, s, at(c), 1.0) for c in range(8) for s in range(4)], "dim long, cell long, sub long, centre array<double>, radius double")
+    asks = spark.createDataFrame([(8, c, c, at(c), 1.0, 9_000.0) for c in range(8)], "dim long, ask long, home long, q_centre array<double>, q_radius double, worst double")
+    assert sorted((r.ask, r.cell, r["sub"]) for r in topk.meetings(asks, blocks).collect()) == [(c, c, s) for c in range(8) for s in (1, 2, 3)]
+
+
 def test_top_k(spark):
     nan, inf = float("nan"), float("inf")
     rng = np.random.default_rng(0)
@@ -251,6 +358,15 @@ def test_chat_trees(spark):
     assert len(one) == 1 and [t.text for t in one[0].turns] == [f"t{i}" for i in range(70)]
 
 
+def test_roles_with_newlines_and_threads_on_cycles(spark):
+    rows = [(1, 1, None, "us\ner", "hi"), (1, 2, 1, "a\\\n", "\n")] + [(2, i, 2 if i == 1 else i - 1, "user", f"{i}") for i in range(1, 40)]
+    table = spark.createDataFrame(rows, "tree long, msg long, parent long, role string, text string").withColumns({"leaf": F.lit(0), "up": F.lit(1), "turns": F.lit("clash")})
+    got = chat.read_back(chat.format_trees(table)).collect()
+    assert [[(t.role, t.text) for t in r.turns] for r in got] == [[("us\ner", "hi"), ("a\\\n", "\n")]]
+    # One path of three turns and a long tail behind a cycle: nothing is written for the tail.
+    assert chat.paths(table.select("tree", "msg", "parent")).count() == 2
+
+
 def test_sharding(spark, docs, none):
     size = F.octet_length(F.coalesce(F.col("text"), F.lit(""))) + 1
     got = sharding.place(docs, size, n_shards=4, ranges=(4, 64)).collect()
@@ -272,6 +388,27 @@ def test_hot_text_is_spread_over_ranges(spark):
     assert max(r.b for r in got) - min(r.b for r in got) <= 400 and all(r.m == r.n - 1 for r in got)
 
 
+def test_mixing_ties_and_repeated_rows(spark, tmp_path):
+    import duckdb
+
+    rng, rows = np.random.default_rng(0), []
+    for i in range(1500):
+        text = " ".join(rng.choice(WORDS, rng.integers(1, 40))) if i % 5 else "the same text of eight words right here"
+        rows.append((None if i % 2 == 0 else 7 if i % 4 == 1 else i, None if i % 97 == 0 else text, None if i % 11 == 0 else "abc"[i % 3], i))
+    path = f"{tmp_path}/documents.parquet"
+    spark.createDataFrame(rows, "doc_id long, text string, source string, other int").repartition(3).write.parquet(path)
+    got = mixing.mix(spark.read.parquet(path)).collect()
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW documents AS SELECT * FROM '{path}/*.parquet'")
+    columns = ["doc_id", "size", "source_size", "target", "taken", "copies"]
+    assert sorted(repr(tuple(r[c] for c in columns)) for r in got) == sorted(map(repr, con.execute(mixing.SQL).fetchall()))
+    words, target = collections.Counter(), {}
+    for r in got:
+        words[r.source] += r.taken
+        target[r.source] = r.target
+    assert len(got) == 1500 and all(abs(words[s] - t) <= 1 for s, t in target.items())
+
+
 def test_mixing(spark, docs, none):
     got = mixing.mix(docs).collect()
     sizes, names = collections.Counter(), sorted({s for _, _, s in ROWS if s is not None}) + [None]
@@ -367,6 +504,23 @@ def test_quality(spark, none):
     assert quality.scored(quality.measured(none), model).collect() == []
 
 
+def test_the_classifier_solves_what_it_says(spark):
+    """Weights and scores against the same regression worked out in one piece."""
+    rows = [(i, prose(40, i) + ("." if i % 3 else " ### !!!"), "a") for i in range(240)]
+    labels = spark.createDataFrame([(i, int(i % 3 > 0)) for i in range(240)], "id long, label double".replace("double", "int")).select("id", F.col("label").cast("double").alias("label"))
+    features = quality.measured(spark.createDataFrame(rows, DOCS))
+    model = quality.train(features, labels)
+    x = np.array([quality.statistics(t.encode()) for _, t, _ in rows])
+    y = np.array([float(i % 3 > 0) for i in range(240)])
+    assert model.mean == pytest.approx(x.mean(0)) and model.scale == pytest.approx(np.where(x.std(0) > 1e-9, x.std(0), 1.0))
+    z, eye = model.features(x), np.eye(quality.FEATURES)
+    eye[-1, -1] = 1e-6
+    fits = [np.linalg.solve(z.T @ z + p * 240 * eye / quality.FEATURES * 2, z.T @ y) for p in quality.PENALTIES]
+    assert min(np.abs(z @ w - z @ model.weights).max() for w in fits) < 1e-5
+    assert (np.diff(model.curve[1]) >= 0).all() and 0 <= model.curve[1].min() and model.curve[1].max() <= 1
+    assert quality.bounded(labels, 50).count() == 50
+
+
 def test_decontamination(spark, docs, none):
     item = prose(40, 77)
     close = item.split()
@@ -383,6 +537,37 @@ def test_decontamination(spark, docs, none):
     assert decontaminate.matches(none, bench).collect() == [] and decontaminate.matches(both, bench.limit(0)).collect() == []
 
 
+def test_decontamination_against_brute_force():
+    few = [f"w{i}" for i in range(40)]
+    words = lambda n, seed: " ".join(np.random.default_rng(seed).choice(few, n))
+    items = [(i, words(n, 100 + i)) for i, n in enumerate([6, 9, 15, 30, 60, 7, 200])]
+    docs = []
+    for k in range(60):
+        own = items[k % 7][1].split()
+        for at in np.random.default_rng(k).integers(0, len(own), k % 3):
+            own[at] = f"zz{k}"
+        docs.append(" ".join([words(k % 5 * 20, 5000 + k), *own, words(k % 3 * 15, 900 + k)]))
+    docs += [items[4][1] + " " + items[4][1], " ".join(items[3][1].split() * 30)]
+    found, hits = decontaminate.Items(items), 0
+    for text in docs:
+        w, want = text.split(), {}
+        shingles = [" ".join(w[j : j + 5]) for j in range(len(w) - 4)]
+        for i, t in items:
+            t = t.split()
+            own = collections.Counter(" ".join(t[j : j + 5]) for j in range(len(t) - 4))
+            n = sum(own.values())
+            wide, best = min(n, len(shingles)), 0
+            for s in range(len(shingles) - wide + 1):
+                there = collections.Counter(shingles[s : s + wide])
+                common = sum(min(c, there[x]) for x, c in own.items())
+                best = max(best, common / (wide + n - common))
+            if best >= 0.8:
+                want[i] = round(best, 9)
+        hits += len(want)
+        assert {i: round(v, 9) for i, v, _, _ in found.matches(text, 0.8)} == want
+    assert hits > 30
+
+
 def test_items_shorter_than_a_shingle_are_found_inside_documents():
     items = decontaminate.Items([(1, "tiny"), (2, "Four words of it"), (3, "two words"), (4, "two words"), (5, prose(20, 3))])
     got = lambda text: sorted(items.matches(text, 0.8))

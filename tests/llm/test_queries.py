@@ -1,5 +1,6 @@
 """The queries of the training-data operators and the pipeline, on the smallest tables."""
 
+import re
 import sys
 
 import duckdb
@@ -43,4 +44,16 @@ def test_pipeline(spark, small):
     rows = out.collect()
     known = {r.doc_id: r.text for r in docs.collect()}
     assert rows and all(known[r.doc_id] == r.text for r in rows)
+    # One of the exact copies is left at most, none of what repeats a benchmark item, and few of what is labelled bad.
+    texts = {}
+    for r in rows:
+        texts.setdefault(r.text, set()).add(r.doc_id)
+    assert all(len(ids) == 1 for t, ids in texts.items() if len((t or "").split()) >= 5)
+    items = [" ".join(re.findall(r"\w+", r.text.lower())) for r in spark.read.parquet(f"{small}/benchmark.parquet").collect()]
+    said = {r.doc_id: " ".join(re.findall(r"\w+", (r.text or "").lower())) for r in rows}
+    assert not any(i in t for t in said.values() for i in items if i)
+    labels = spark.read.parquet(f"{small}/labels.parquet").collect()
+    ids = {r.doc_id for r in rows}
+    good, bad = ({r.doc_id for r in labels if r.quality == q} for q in (1, 0))
+    assert len(bad & ids) <= 0.25 * len(bad) and good & ids
     assert sorted({(r.shard, r.slot) for r in rows}) == sorted((r.shard, r.slot) for r in rows)
