@@ -7,11 +7,12 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.linalg import dot, vec_mean, vec_sum, zeros
+from ..operators.joins import bounded
 
 
 def user_scores(users: DataFrame, items: DataFrame, d: int) -> DataFrame:
     """(u, v, score) for a bounded window of items."""
-    pairs = users.select("u", F.col("vec").alias("uv")).join(F.broadcast(items.select("v", F.col("vec").alias("iv"))))
+    pairs = users.select("u", F.col("vec").alias("uv")).join(bounded(items.select("v", F.col("vec").alias("iv"))))
     return pairs.select("u", "v", dot(F.col("uv"), F.col("iv"), d).alias("score"))
 
 

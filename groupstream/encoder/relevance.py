@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from ..functions.hashing import uniform
 from ..functions.linalg import add, dot, vec_sum, zeros
+from ..operators.joins import bounded, positions
 
 
 def history_vectors(interactions: DataFrame, items: DataFrame, d: int) -> DataFrame:
@@ -32,26 +33,34 @@ def augment(groups: DataFrame, items: DataFrame, influence: DataFrame, alpha_r:
 
 def relevance(groups: DataFrame, items: DataFrame, d: int) -> DataFrame:
     """(v, g, score) of every item of a bounded set against all groups: the exhaustive way."""
-    pairs = groups.select("g", F.col("vec").alias("gv")).join(F.broadcast(items.select("v", F.col("vec").alias("iv"))))
+    pairs = groups.select("g", F.col("vec").alias("gv")).join(bounded(items.select("v", F.col("vec").alias("iv"))))
     return pairs.select("v", "g", dot(F.col("iv"), F.col("gv"), d).alias("score"))
 
 
-def top_k(scored: DataFrame, k: int, by: str = "v", other: str = "g", digits: int = 6) -> DataFrame:
-    """(by, rank, other, score): the k best by rounded score, ties to the smaller id."""
-    rows = scored.withColumn("score", F.round("score", digits) + F.lit(0.0))
-    rank = F.row_number().over(Window.partitionBy(by).orderBy(F.desc("score"), other))
-    return rows.withColumn("rank", rank).where(F.col("rank") <= k).select(by, "rank", other, "score")
+#: Digits that decide a rank, so that engines which add in another order agree, and digits that are shown. The first have to
+#: show an influence of one group in many, times its small share of the score.
+RANK_DIGITS, DIGITS = 12, 6
 
 
-def training_triples(interactions: DataFrame, items: DataFrame, negatives: int = 1, salt: str = "negative") -> DataFrame:
-    """(g, pos, draw, neg): for every positive pair so many hashed draws of items; draws that the group touched are left out."""
+def top_k(scored: DataFrame, k: int, by: str = "v", other: str = "g") -> DataFrame:
+    """(by, rank, other, score): the k best by score, ties to the smaller id."""
+    rows = scored.withColumn("raw", F.round("score", RANK_DIGITS) + F.lit(0.0))
+    rank = F.row_number().over(Window.partitionBy(by).orderBy(F.desc("raw"), other))
+    return rows.withColumn("rank", rank).where(F.col("rank") <= k).select(by, "rank", other, (F.round("raw", DIGITS) + F.lit(0.0)).alias("score"))
+
+
+def training_triples(interactions: DataFrame, items: DataFrame, negatives: int = 1, salt: str = "negative", keep: tuple[str, ...] = ()) -> DataFrame:
+    """(g, pos, draw, neg): for every positive pair so many hashed draws of items; draws that the group touched are left out.
+
+    keep: further columns of interactions, such as their slice; a pair then counts once for each of their values.
+    """
+    numbered = positions(items.select("v"), ["v"], "place")
     n = F.broadcast(items.agg(F.count("*").alias("n_items")))
-    numbered = items.select("v").withColumn("place", (F.row_number().over(Window.orderBy("v")) - 1).cast("long"))
-    pairs = interactions.select("g", F.col("v").alias("pos")).distinct().join(n).withColumn("draw", F.explode(F.array(*[F.lit(i) for i in range(negatives)])))
+    pairs = interactions.select("g", F.col("v").alias("pos"), *keep).distinct().join(n).withColumn("draw", F.explode(F.array(*[F.lit(i) for i in range(negatives)])))
     drawn = pairs.withColumn("place", F.floor(uniform(salt, "g", "pos", "draw") * F.col("n_items")))
     drawn = drawn.join(numbered.withColumnRenamed("v", "neg"), "place")
     touched = interactions.select(F.col("g").alias("g2"), F.col("v").alias("v2")).distinct()
-    return drawn.join(touched, (F.col("g") == F.col("g2")) & (F.col("neg") == F.col("v2")), "left_anti").select("g", "pos", "draw", "neg")
+    return drawn.join(touched, (F.col("g") == F.col("g2")) & (F.col("neg") == F.col("v2")), "left_anti").select("g", "pos", "draw", "neg", *keep)
 
 
 def pairwise_loss(triples: DataFrame, groups: DataFrame, items: DataFrame, d: int, penalty: float = 0.0, squares: float = 0.0) -> DataFrame:

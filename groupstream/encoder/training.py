@@ -1,12 +1,14 @@
 """Training of the group graph encoder with Adam: distributed forward pass and partial gradients, weights on the driver.
 
-The sampled relation graph of a slice and the first-layer inputs are dealt by group. For a batch of triples the kernel
-computes the loss and its gradient with respect to the touched vectors; gradients flow back through the propagation
-layers along the same edges. Weights are a few small matrices; only their summed gradients reach the driver.
+Groups are dealt into shards by a hash. A shard owns its groups' triples and holds copies of all inputs within as many hops
+as there are layers, so the sum of the shards' gradients is the gradient of the undivided graph. Rows know their time slice:
+one packed table serves the encoders of all slices, on all interactions so far or on new ones only. Weights are a few small
+matrices; only their summed gradients reach the driver.
 """
 
 from __future__ import annotations
 
+import io
 import time
 
 import numpy as np
@@ -48,16 +50,14 @@ def forward(weights: dict, x_groups: np.ndarray, src: np.ndarray, dst: np.ndarra
     return out
 
 
-def loss_and_gradients(weights: dict, x_groups, x_items, src, dst, lap, history, g, pos, neg, layers: int, penalty: float):
+def loss_and_gradients(weights: dict, x_groups, x_items, src, dst, lap, owner, held, g, pos, neg, layers: int, penalty: float):
     """Ranking loss of triples of positions (g, pos, neg) and its gradient for every weight.
 
-    history: for each group the positions of its items.
+    owner, held: the positions of groups and of the items in their history.
     """
     hidden = forward(weights, x_groups, src, dst, lap, layers)
     top, items = hidden[-1], sigmoid(x_items @ weights["wv"].T + weights["bv"])
-    n = np.array([max(1, len(h)) for h in history])
-    owner = np.repeat(np.arange(len(history)), [len(h) for h in history])
-    held = np.concatenate([np.asarray(h, np.int64) for h in history]) if len(owner) else np.zeros(0, np.int64)
+    n = np.maximum(1, np.bincount(owner, minlength=len(top)))
     hist = np.zeros_like(top)
     np.add.at(hist, owner, items[held])
     hist /= np.sqrt(n)[:, None]
@@ -88,75 +88,142 @@ def loss_and_gradients(weights: dict, x_groups, x_items, src, dst, lap, history,
     return loss, grads
 
 
-def shards(groups: DataFrame, items: DataFrame, edges: DataFrame, interactions: DataFrame, triples: DataFrame, n: int) -> DataFrame:
-    """(shard, kind, a, b, c, vec): what each of n shards needs for its own groups and their neighbourhood of one hop.
+def _kind(rows: DataFrame, kind: str, **columns) -> DataFrame:
+    """Rows of one kind in the layout that all kinds share: a, b, c long, w double, slice int, vec."""
+    types = {"a": "long", "b": "long", "c": "long", "w": "double", "slice": "int", "vec": "array<double>"}
+    return rows.select("shard", F.lit(kind).alias("kind"), *[columns.get(k, F.lit(None)).cast(t).alias(k) for k, t in types.items()])
 
-    A shard owns the groups that hash to it, their triples, and copies of the neighbours' inputs and of its items'.
+
+def shards(groups: DataFrame, items: DataFrame, edges: DataFrame, interactions: DataFrame, triples: DataFrame, n: int, hops: int = 2) -> DataFrame:
+    """(shard, data): for each of n shards its own groups, what lies within `hops` of them, and its triples, packed.
+
+    edges (src, dst, lap), interactions (g, v) and triples (g, pos, neg) may have a column slice; without it all is of slice
+    0. An interaction's slice is the one in which it is new, an edge's the one whose graph has it.
     """
-    own = groups.select("g", F.col("vec"), F.pmod(F.xxhash64("g"), F.lit(n)).cast("int").alias("shard"))
-    place = own.select("g", "shard")
-    near = edges.join(place.select(F.col("g").alias("dst"), "shard"), "dst").select("shard", "src", "dst", "lap")
-    null = F.lit(None)
-    wanted = near.select("shard", F.col("src").alias("g")).unionByName(place.select("shard", "g")).distinct()
-    rows = wanted.join(groups, "g").select("shard", F.lit("group").alias("kind"), F.col("g").alias("a"), null.cast("long").alias("b"), null.cast("double").alias("c"), "vec")
-    held = interactions.join(place, "g").select("shard", "g", "v").distinct()
-    asked = triples.join(place, "g")
-    used = held.select("shard", "v").unionByName(asked.select("shard", F.col("neg").alias("v"))).unionByName(asked.select("shard", F.col("pos").alias("v"))).distinct()
+    tagged = lambda df: df if "slice" in df.columns else df.withColumn("slice", F.lit(0))
+    edges, interactions, triples = tagged(edges), tagged(interactions), tagged(triples)
+    col = F.col
+    place = groups.select("g", F.pmod(F.xxhash64("g"), F.lit(n)).cast("int").alias("shard"))
+    reach, into = place, edges.limit(0).withColumn("shard", F.lit(0))
+    for _ in range(hops):
+        into = edges.join(reach.select(col("g").alias("dst"), "shard"), "dst")
+        reach = reach.unionByName(into.select(col("src").alias("g"), "shard")).distinct()
+    held = interactions.groupBy("g", "v").agg(F.min("slice").alias("slice")).join(place, "g")
+    asked = triples.join(held.select("g", col("v").alias("pos"), col("slice").alias("since")), ["g", "pos"], "left").join(place, "g")
+    used = held.select("shard", "v").unionByName(asked.select("shard", col("neg").alias("v"))).unionByName(asked.select("shard", col("pos").alias("v"))).distinct()
+    mine = reach.join(groups, "g").join(place.select("g", col("shard").alias("own")), "g")
     parts = [
-        rows,
-        used.join(items, "v").select("shard", F.lit("item").alias("kind"), F.col("v").alias("a"), null.cast("long").alias("b"), null.cast("double").alias("c"), "vec"),
-        near.select("shard", F.lit("edge").alias("kind"), F.col("src").alias("a"), F.col("dst").alias("b"), F.col("lap").alias("c"), null.cast("array<double>").alias("vec")),
-        held.select("shard", F.lit("seen").alias("kind"), F.col("g").alias("a"), F.col("v").alias("b"), null.cast("double").alias("c"), null.cast("array<double>").alias("vec")),
-        asked.select("shard", F.lit("triple").alias("kind"), F.col("g").alias("a"), F.col("pos").alias("b"), F.col("neg").cast("double").alias("c"), null.cast("array<double>").alias("vec")),
+        _kind(mine, "group", a=col("g"), b=(col("own") == col("shard")).cast("long"), vec=col("vec")),
+        _kind(used.join(items, "v"), "item", a=col("v"), vec=col("vec")),
+        _kind(into, "edge", a=col("src"), b=col("dst"), w=col("lap"), slice=col("slice")),
+        _kind(held, "seen", a=col("g"), b=col("v"), slice=col("slice")),
+        _kind(asked, "triple", a=col("g"), b=col("pos"), c=col("neg"), w=(F.coalesce("since", "slice") == col("slice")).cast("double"), slice=col("slice")),
     ]
-    out = parts[0]
+    rows = parts[0]
     for p in parts[1:]:
-        out = out.unionByName(p)
-    return out
-
-
-def train(sharded: DataFrame, weights: dict[str, np.ndarray], layers: int = 2, rate: float = 1e-1, penalty: float = 1e-6, epochs: int = 20, tolerance: float = 1e-3, sync_every: int = 1) -> tuple[dict, list[dict]]:
-    """Adam over full passes; returns the weights and a log of (epoch, loss, seconds).
+        rows = rows.unionByName(p)
+    return rows.groupBy("shard").applyInPandas(_pack, "shard int, data binary")
+
+
+def _pack(rows: pd.DataFrame) -> pd.DataFrame:
+    parts = {k: rows[rows["kind"] == k].sort_values(["a", "b", "c", "slice"]) for k in ("group", "item", "edge", "seen", "triple")}
+    group, item, edge, seen, triple = parts.values()
+    at = {k: pd.Series(np.arange(len(p)), index=p["a"].to_numpy(np.int64)) for k, p in (("g", group), ("v", item))}
+    find = lambda k, x: at[k].reindex(x.to_numpy(np.int64)).to_numpy(np.int64)
+    whole = lambda p, c: p[c].to_numpy(np.int64)
+    matrix = lambda p: np.array(p["vec"].tolist(), np.float64).reshape(len(p), -1)
+    out = io.BytesIO()
+    np.savez(
+        out,
+        ids=whole(group, "a"), own=whole(group, "b") > 0, xg=matrix(group), xv=matrix(item),
+        src=find("g", edge["a"]), dst=find("g", edge["b"]), lap=edge["w"].to_numpy(np.float64), edge_slice=whole(edge, "slice"),
+        owner=find("g", seen["a"]), held=find("v", seen["b"]), seen_slice=whole(seen, "slice"),
+        g=find("g", triple["a"]), pos=find("v", triple["b"]), neg=find("v", triple["c"]), first=triple["w"].to_numpy(np.float64) > 0, slice=whole(triple, "slice"),
+        key=triple["a"].to_numpy(np.int64) * 1_000_003 + triple["b"].to_numpy(np.int64) * 97 + triple["c"].to_numpy(np.int64),
+    )
+    return pd.DataFrame({"shard": [int(rows["shard"].iloc[0])], "data": [out.getvalue()]})
+
+
+def _unpack(data: bytes, t: int) -> dict[str, np.ndarray]:
+    """A shard as of slice t: its graph and the history until then."""
+    with np.load(io.BytesIO(data), allow_pickle=False) as held:
+        s = {k: held[k] for k in held.files}
+    here, until = s["edge_slice"] == t, s["seen_slice"] <= t
+    s |= {k: s[k][here] for k in ("src", "dst", "lap")} | {k: s[k][until] for k in ("owner", "held")}
+    return s
+
+
+def gradients(packed: DataFrame, weights: dict[str, np.ndarray], layers: int, t: int = 0, new_only: bool = False, batch: int = 0, batches: int = 1, steps: int = 1, rate: float = 1e-1) -> tuple[float, dict[str, np.ndarray], int]:
+    """Loss and gradients, without the penalty, summed over the triples of one batch, and their number.
+
+    new_only takes the triples of slice t alone, else each triple of a slice up to t once. steps > 1 lets each shard take
+    steps of its own first.
+    """
 
-    sharded comes from shards() and should be persisted: every epoch reads it. sync_every > 1 lets each shard take
-    that many steps of its own before gradients are summed, as decentralised trainers skip broadcasts.
+    def run(parts):
+        sums, n = {}, 0
+        for part in parts:
+            for data in part["data"]:
+                s = _unpack(data, t)
+                chosen = (s["slice"] == t) if new_only else (s["slice"] <= t) & s["first"]
+                chosen &= s["key"] % batches == batch
+                g, pos, neg = s["g"][chosen], s["pos"][chosen], s["neg"][chosen]
+                if not len(g):
+                    continue
+                local, own = dict(weights), Adam(rate)
+                for step in range(steps):
+                    loss, grads = loss_and_gradients(local, s["xg"], s["xv"], s["src"], s["dst"], s["lap"], s["owner"], s["held"], g, pos, neg, layers, 0.0)
+                    if step + 1 < steps:
+                        own.step(local, {k: v / len(g) for k, v in grads.items()})
+                n += len(g)
+                for k, v in (("loss", np.array([loss])), *grads.items()):
+                    sums[k] = sums.get(k, 0) + v
+        yield pd.DataFrame([(k, np.ravel(v).tolist(), n) for k, v in sums.items()], columns=["name", "value", "n"])
+
+    def total(rows):
+        return pd.DataFrame({"name": [rows["name"].iloc[0]], "value": [np.sum(rows["value"].tolist(), axis=0)], "n": [int(rows["n"].sum())]})
+
+    partial = packed.select("data").mapInPandas(run, "name string, value array<double>, n long")
+    found = partial.groupBy("name").applyInPandas(total, "name string, value array<double>, n long").collect()  # a row per weight matrix
+    sums = {r["name"]: np.array(r["value"]) for r in found}
+    if not sums:
+        return 0.0, {}, 0
+    return float(sums["loss"][0]), {k: sums[k].reshape(w.shape) for k, w in weights.items()}, found[0]["n"]
+
+
+def train(packed: DataFrame, weights: dict[str, np.ndarray], layers: int = 2, rate: float = 1e-1, penalty: float = 1e-6, epochs: int = 20, tolerance: float = 1e-3, sync_every: int = 1, batches: int = 1, t: int = 0, new_only: bool = False) -> tuple[dict, list[dict]]:
+    """Adam over mini-batches of triples; returns the weights and a log of (epoch, loss, seconds).
+
+    packed comes from shards(). An epoch goes through all batches; it ends once the loss changes by less than `tolerance`.
+    sync_every > 1 lets each shard take that many steps of its own before gradients are summed, as decentralised trainers
+    skip broadcasts.
     """
     adam, log, began = Adam(rate), [], time.time()
     weights = dict(weights)
     for epoch in range(epochs):
-        now = dict(weights)
-
-        def run(rows):
-            parts = {k: p for k, p in rows.groupby("kind")}
-            if "triple" not in parts:
-                return pd.DataFrame(columns=["name", "value", "n"])
-            group, item = parts["group"], parts["item"]
-            at_g, at_v = {x: i for i, x in enumerate(group["a"])}, {x: i for i, x in enumerate(item["a"])}
-            xg, xv = np.array(group["vec"].tolist()), np.array(item["vec"].tolist())
-            edge = parts.get("edge")
-            src, dst, lap = (np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)) if edge is None else (edge["a"].map(at_g).to_numpy(np.int64), edge["b"].map(at_g).to_numpy(np.int64), edge["c"].to_numpy())
-            history = [[] for _ in at_g]
-            for a, b in zip(parts["seen"]["a"], parts["seen"]["b"]) if "seen" in parts else ():
-                history[at_g[a]].append(at_v[b])
-            t = parts["triple"]
-            g, pos, neg = t["a"].map(at_g).to_numpy(np.int64), t["b"].map(at_v).to_numpy(np.int64), t["c"].astype("int64").map(at_v).to_numpy(np.int64)
-            local, own = dict(now), Adam(rate)
-            for step in range(sync_every):
-                loss, grads = loss_and_gradients(local, xg, xv, src, dst, lap, history, g, pos, neg, layers, penalty)
-                if step + 1 < sync_every:
-                    own.step(local, {k: v / len(t) for k, v in grads.items()})
-            return pd.DataFrame([("loss", [float(loss)], len(t)), *[(k, v.ravel().tolist(), len(t)) for k, v in grads.items()]], columns=["name", "value", "n"])
-
-        def total(rows):
-            return pd.DataFrame({"name": [rows["name"].iloc[0]], "value": [np.sum(rows["value"].tolist(), axis=0)], "n": [int(rows["n"].sum())]})
-
-        partial = sharded.groupBy("shard").applyInPandas(run, "name string, value array<double>, n long")
-        sums = {r["name"]: (np.array(r["value"]), r["n"]) for r in partial.groupBy("name").applyInPandas(total, "name string, value array<double>, n long").collect()}  # a row per weight matrix
-        if not sums:
+        loss, n = 0.0, 0
+        for batch in range(batches):
+            part, grads, m = gradients(packed, weights, layers, t, new_only, batch, batches, sync_every, rate)
+            if m:
+                squares = sum(float((w * w).sum()) for w in weights.values())
+                loss, n = loss + part + m * penalty * squares, n + m
+                adam.step(weights, {k: grads[k] / m + 2 * penalty * w for k, w in weights.items()})
+        if not n:
             break
-        loss, n = float(sums["loss"][0][0]), max(1, sums["loss"][1])
         log.append({"epoch": epoch, "loss": loss / n, "seconds": time.time() - began})
-        adam.step(weights, {k: (sums[k][0] / n).reshape(w.shape) for k, w in weights.items()})
         if len(log) > 1 and abs(log[-2]["loss"] - log[-1]["loss"]) < tolerance * abs(log[-2]["loss"]):
             break
     return weights, log
+
+
+def encode(packed: DataFrame, weights: dict[str, np.ndarray], layers: int, t: int = 0) -> DataFrame:
+    """(g, vec): the top layer of every group in the graph of slice t."""
+
+    def run(parts):
+        for part in parts:
+            for data in part["data"]:
+                s = _unpack(data, t)
+                top = forward(weights, s["xg"], s["src"], s["dst"], s["lap"], layers)[-1]
+                yield pd.DataFrame({"g": s["ids"][s["own"]], "vec": list(top[s["own"]])})
+
+    return packed.select("data").mapInPandas(run, "g long, vec array<double>")

@@ -28,11 +28,12 @@ def rnn_decode(rows: DataFrame, w_out, b) -> DataFrame:
     return rows.select("g", matvec(w_out, F.col("hidden"), b).alias("predicted"))
 
 
-def new_weights(d: int, h: int, cell: str = "rnn", seed: int = 0) -> dict[str, np.ndarray]:
+def new_weights(d: int, h: int, cell: str = "rnn", seed: int = 0, start: np.ndarray | None = None) -> dict[str, np.ndarray]:
+    """Random weights; with `start`, predictions begin near that profile."""
     rng = np.random.default_rng(seed)
     gates = {"rnn": [""], "gru": ["", "z", "r"]}[cell]
     made = {f"w{k}": rng.normal(0, 0.3, (h, d)) for k in gates} | {f"u{k}": rng.normal(0, 0.3, (h, h)) for k in gates} | {f"b{k}": np.zeros(h) for k in gates}
-    return made | {"wo": rng.normal(0, 0.3, (d, h)), "bo": np.zeros(d)}
+    return made | {"wo": rng.normal(0, 0.3 if start is None else 0.05, (d, h)), "bo": np.zeros(d) if start is None else np.array(start, np.float64)}
 
 
 def run_cell(w: dict, x: np.ndarray) -> tuple[np.ndarray, list]:

@@ -1,12 +1,20 @@
-"""From inner products to few coordinates: distances that keep the order of scores, pivots, and FastMap projections."""
+"""From inner products to few coordinates: distances that keep the order of scores, pivots, and FastMap projections.
+
+Up to EXPRESSIONS axes are column expressions. Every coordinate needs all before it, so their size doubles with each axis;
+more axes are worked out in Arrow batches.
+"""
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.linalg import dot, norm
 
+EXPRESSIONS = 3
+
 
 def to_distance(groups: DataFrame, items: DataFrame, d: int, mode: str = "mips") -> tuple[DataFrame, DataFrame]:
     """Vectors whose Euclidean distance stands for relevance.
@@ -59,6 +67,39 @@ def _coordinates(vec: Column, pivots: list[dict], d: int, variant: str) -> list[
     return made
 
 
+def coordinates(x: np.ndarray, pivots: list[dict], variant: str = "standard") -> np.ndarray:
+    """The coordinates of the rows of a matrix."""
+    made = np.zeros((len(x), len(pivots)))
+    for i, axis in enumerate(pivots):
+        first, second = (residual(x, made[:, :i], axis[k]) for k in "xy")
+        made[:, i] = (first + axis["gap"] ** 2 - (np.sqrt(second) if variant == "printed" else second)) / (2 * axis["gap"])
+    return made
+
+
+def residual(x: np.ndarray, made: np.ndarray, end: dict) -> np.ndarray:
+    """Squared distances to a pivot, less what the coordinates so far explain."""
+    gap = ((x - np.array(end["vec"])) ** 2).sum(1) - ((made - np.array(end["coords"][: made.shape[1]])) ** 2).sum(1)
+    return np.maximum(gap, 0.0)
+
+
+def _farthest(groups: DataFrame, pivots: list[dict], here: dict, d: int):
+    """The group (g, vec, away) farthest from `here` beyond what the axes so far explain, ties to the smaller id."""
+    if len(pivots) < EXPRESSIONS:
+        away = F.round(_residual(F.col("vec"), _coordinates(F.col("vec"), pivots, d, "standard"), here, d), 9)
+        return groups.withColumn("away", away).orderBy(F.desc("away"), "g").limit(1).collect()[0]
+
+    def run(batches):
+        for b in batches:
+            if len(b):
+                x = np.array(b["vec"].tolist())
+                away = np.round(residual(x, coordinates(x, pivots), here), 9)
+                at = np.lexsort((b["g"].to_numpy(), -away))[:1]
+                yield b.iloc[at].assign(away=away[at])
+
+    best = groups.select("g", "vec").mapInPandas(run, "g long, vec array<double>, away double")
+    return best.orderBy(F.desc("away"), "g").limit(1).collect()[0]
+
+
 def choose_pivots(groups: DataFrame, axes: int, d: int) -> list[dict]:
     """For each axis two far apart groups: the farthest from the smallest id, then the farthest from that one.
 
@@ -83,9 +124,7 @@ def choose_pivots(groups: DataFrame, axes: int, d: int) -> list[dict]:
     for _ in range(axes):
         here = place(start[0])
         for hop in range(2):
-            coords = _coordinates(F.col("vec"), pivots, d, "standard")
-            away = F.round(_residual(F.col("vec"), coords, here, d), 9)
-            far = groups.withColumn("away", away).orderBy(F.desc("away"), "g").limit(1).collect()[0]
+            far = _farthest(groups, pivots, here, d)
             if hop == 0:
                 first = here = place(far)
             else:
@@ -98,6 +137,14 @@ def choose_pivots(groups: DataFrame, axes: int, d: int) -> list[dict]:
 
 def project(rows: DataFrame, pivots: list[dict], d: int, variant: str = "standard") -> DataFrame:
     """rows with xs, their coordinates. 'printed' leaves one of the three distances unsquared."""
+    if len(pivots) > EXPRESSIONS:
+        layout = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in rows.schema)
+
+        def run(batches):
+            for b in batches:
+                yield b.assign(xs=list(coordinates(np.array(b["vec"].tolist()).reshape(len(b), -1), pivots, variant)) if len(b) else pd.Series(dtype=object))
+
+        return rows.mapInPandas(run, f"{layout}, xs array<double>")
     made = rows
     for i in range(len(pivots)):
         earlier = [F.col(f"__x{j}") for j in range(i)]

@@ -15,6 +15,16 @@ def directions(n_hash: int, axes: int, seed: int = 3) -> tuple[list[list[float]]
     return np.round(rng.normal(size=(n_hash, axes)), 4).tolist(), np.round(rng.uniform(0, 1, n_hash), 4).tolist()
 
 
+def fitted(points: DataFrame, a: list[list[float]], bits: int) -> tuple[list[list[float]], list[float]]:
+    """Directions and offsets for width 1 under which the projections of points (.., xs) fill all 2**bits cells of each hash."""
+    top = 1 << bits
+    value = matvec(a, F.col("xs"))
+    ends = points.agg(*[f(F.get(value, F.lit(i))).alias(f"{f.__name__}{i}") for i in range(len(a)) for f in (F.min, F.max)]).first()
+    low = [ends[f"min{i}"] or 0.0 for i in range(len(a))]
+    scale = [top / max((ends[f"max{i}"] or 0.0) - x, 1e-12) for i, x in enumerate(low)]
+    return [[x * s for x in row] for row, s in zip(a, scale)], [-x * s - (top >> 1) for x, s in zip(low, scale)]
+
+
 def hash_axes(points: DataFrame, a: list[list[float]], b: list[float], width: float, bits: int) -> DataFrame:
     """points (.., xs) with cells: floor(a.x / width + b), moved to the middle of [0, 2**bits) and clipped to it."""
     half, top = 1 << (bits - 1), (1 << bits) - 1

@@ -7,6 +7,9 @@ tries the same ones, and all runs share one join per round.
 
 from __future__ import annotations
 
+import itertools
+from collections.abc import Callable
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -40,11 +43,14 @@ def _seeded(seeds: DataFrame, runs: int) -> DataFrame:
     return seeds.select("s", "v", "g").distinct().withColumn("run", F.explode(F.sequence(F.lit(0), F.lit(runs - 1)))).select(*_KEY, F.lit(0).alias("round"))
 
 
-def run(graph: DataFrame, seeds: DataFrame, runs: int = 1, max_rounds: int = 1000, **kw) -> DataFrame:
-    """The static cascade from seeds (s, v, g): all active (run, s, v, g, round)."""
+def run(graph: DataFrame, seeds: DataFrame, runs: int = 1, max_rounds: int | None = None, **kw) -> DataFrame:
+    """The static cascade from seeds (s, v, g): all active (run, s, v, g, round), to the end or for max_rounds.
+
+    A round adds groups that were not active, so it ends after as many rounds as there are groups at the latest.
+    """
     live = settle(live_edges(graph, runs, **kw), "live")
     active = frontier = settle(_seeded(seeds, runs), "active")
-    for number in range(1, max_rounds + 1):
+    for number in itertools.count(1) if max_rounds is None else range(1, max_rounds + 1):
         frontier = settle(_next(active, frontier, live, number), "active")
         if frontier.isEmpty():
             break
@@ -52,22 +58,23 @@ def run(graph: DataFrame, seeds: DataFrame, runs: int = 1, max_rounds: int = 100
     return active
 
 
-def run_dynamic(graph: DataFrame, seeds: DataFrame, batches: list[tuple[DataFrame, DataFrame]], runs: int = 1, inject_new: bool = True, max_rounds: int = 1000, weights: dict | None = None, **kw) -> DataFrame:
+def run_dynamic(graph: DataFrame, seeds: DataFrame, batches: list[tuple[DataFrame, DataFrame]], runs: int = 1, inject_new: bool = True, max_rounds: int | None = None, weights: dict | None = None, scale: Callable[[DataFrame], DataFrame] | None = None, **kw) -> DataFrame:
     """The dynamic cascade. batches: per round the new interactions (v, g) and the activeness (g, act) after them.
 
     Before each round its batch refreshes the graph; groups with new interactions become active as well (inject_new). It
-    ends when nothing new is active and no batch is left.
+    ends when nothing new is active and no batch is left, or after max_rounds, if given. scale: what is done to the weights
+    of the refreshed graph before they meet the thresholds.
     """
     active = frontier = settle(_seeded(seeds, runs), "active")
     sets = active.select("run", "s", "v").distinct()
-    for number in range(1, max_rounds + 1):
+    for number in itertools.count(1) if max_rounds is None else range(1, max_rounds + 1):
         added = None
         if number <= len(batches):
             fresh, now = batches[number - 1]
             graph = settle(apply_updates(graph, fresh, now, **(weights or {})), "graph")
             if inject_new:
                 added = sets.join(fresh.select("v", "g").distinct(), "v").select(*_KEY)
-        reached = _next(active, frontier, live_edges(graph, runs, **kw), number)
+        reached = _next(active, frontier, live_edges(scale(graph) if scale else graph, runs, **kw), number)
         if added is not None:
             new = added.join(active.select(*_KEY), _KEY, "left_anti").withColumn("round", F.lit(number))
             reached = reached.unionByName(new).dropDuplicates(_KEY)
@@ -91,7 +98,7 @@ def predict(graph: DataFrame, groups: DataFrame, n_groups: int, runs: int = 1, *
     return spread(run(graph, seeds, runs, **kw), n_groups, runs).select("v", F.col("s").alias("g"), "influence")
 
 
-def sketch_reach(live: DataFrame, groups: DataFrame, k: int = 16, salt: str = "rank", max_rounds: int = 1000) -> DataFrame:
+def sketch_reach(live: DataFrame, groups: DataFrame, k: int = 16, salt: str = "rank") -> DataFrame:
     """(run, v, g, reach): estimated numbers of groups reached, from bottom-k sketches that flow against the edges.
 
     Each node keeps the k least ranks among what it reaches; with r the k-th, it reaches about (k - 1) / r. Work per round
@@ -99,7 +106,7 @@ def sketch_reach(live: DataFrame, groups: DataFrame, k: int = 16, salt: str = "r
     """
     frame = live.select("run", "v").distinct().join(groups.select("g"))
     now = settle(frame.withColumn("sketch", F.array(uniform(salt, "run", "g"))), "sketch")
-    for _ in range(max_rounds):
+    while True:  # sketches only ever take smaller ranks in, of which there are finitely many
         sent = live.join(now.select("run", "v", F.col("g").alias("dst"), "sketch"), ["run", "v", "dst"]).select("run", "v", F.col("src").alias("g"), F.explode("sketch").alias("r"))
         every = now.select("run", "v", "g", F.explode("sketch").alias("r")).unionByName(sent).distinct()
         merged = every.groupBy("run", "v", "g").agg(F.slice(F.sort_array(F.collect_set("r")), 1, k).alias("sketch"))

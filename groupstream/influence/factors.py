@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from ..functions.hashing import uniform
 from ..functions.linalg import cosine, dot, sigmoid
+from ..operators.joins import bounded
 
 GAMMA1, GAMMA2 = 0.1, 0.7
 
@@ -27,7 +28,7 @@ def similarity(edges: DataFrame, groups: DataFrame, d: int) -> DataFrame:
 
 def willingness(items: DataFrame, groups: DataFrame, d: int, normalise: str = "sigmoid") -> DataFrame:
     """(v, g, will) for a window of items, a bounded set that every task holds: the inner product, brought to [0, 1]."""
-    pairs = groups.select("g", F.col("vec").alias("gv")).join(F.broadcast(items.select("v", F.col("vec").alias("iv"))))
+    pairs = groups.select("g", F.col("vec").alias("gv")).join(bounded(items.select("v", F.col("vec").alias("iv"))))
     raw = dot(F.col("iv"), F.col("gv"), d)
     if normalise == "minmax":
         rows = pairs.select("v", "g", raw.alias("raw"))

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .factors import weight
@@ -19,6 +19,12 @@ def build(sims: DataFrame, active: DataFrame, will: DataFrame, **kw) -> DataFram
     return rows.withColumn("p", weight(**kw)).select(*COLUMNS)
 
 
+def by_in_degree(graph: DataFrame) -> DataFrame:
+    """The graph with each weight divided by the number of edges that enter its target, as in the weighted cascade model: a
+    group with many neighbours then does not accept from nearly every one, and cascades end before all are active."""
+    return graph.withColumn("p", F.col("p") / F.count("*").over(Window.partitionBy("v", "dst")))
+
+
 def apply_updates(graph: DataFrame, fresh: DataFrame, active: DataFrame, **kw) -> DataFrame:
     """The graph after new interactions (v, g): those groups get willingness 1 for that item and their current activeness,
     and the edges at them new weights. Similarities stay."""

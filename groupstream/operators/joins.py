@@ -8,6 +8,15 @@ from pyspark.sql import functions as F
 from ..sources.storage import settle
 
 
+#: The most rows that a side of a join may be sent to every task with: a window of items, not a table.
+WINDOW_ROWS = 1 << 16
+
+
+def bounded(rows: DataFrame, most: int = WINDOW_ROWS) -> DataFrame:
+    """rows, marked for a broadcast if they are few enough; else unmarked, and Spark chooses the join."""
+    return F.broadcast(rows) if rows.limit(most + 1).count() <= most else rows
+
+
 def asof(left: DataFrame, right: DataFrame, left_key: str, right_key: str, width: int, nearest: bool = False) -> DataFrame:
     """left with the right row at or before its key (with `nearest`: else the first one after it), as a struct column 'at'.
 

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import time
+import uuid
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -15,11 +16,14 @@ from ..index import search
 from ..influence import cascade as CA
 from ..model import groups as G
 from ..model import interactions as I
-from ..sources.storage import settle
+from ..sampling import overlap as O
+from ..sources.storage import settle, shared_dir
+from ..streaming import jobs
 from . import catalog_influence as CI
 from . import catalog_model as M
-from .catalog_index import Indexed
+from .catalog_index import INDEX, Indexed, build_index, scan_budget
 from .cte import D, columns, compose, uniform_sql, vdot, vmap, vmean, vsum, vzeros, vzip
+from .catalog_sampling import OVERLAP, SHARE
 from .pipeline import Pipeline
 
 QUERIES: dict = {}
@@ -36,13 +40,13 @@ def query(name: str, sql: str | None = None, **extra: str):
     return add
 
 
-_SCORES = f"SELECT u, i.v, {vdot('w.vec', 'i.vec')} AS score FROM uv w, (SELECT * FROM iv WHERE v IN (SELECT p_partkey FROM part ORDER BY p_partkey LIMIT 20)) i"
+_SCORES = f"SELECT u, i.v, {vdot('w.vec', 'i.vec')} AS score FROM uv w, (SELECT * FROM iv WHERE v % 50 = 0) i"
 for _how, _f in (("average", "avg"), ("least_misery", "min"), ("most_pleasure", "max")):
 
     @query(f"score_aggregate_{_how}", f"SELECT g, v, round({_f}(score), 6) AS score FROM mem_home JOIN scores USING (u) GROUP BY 1, 2", scores=_SCORES)
     def _(spark, d, how=_how):
         h = M.Home(spark, d)
-        first = h.items.join(F.broadcast(h.window.select("v")), "v", "left_semi")
+        first = h.items.where(f"v % {M.ASK} = 0")
         return BA.score_aggregate(BA.user_scores(h.users, first, D), h.members, how).select("g", "v", F.round("score", 6).alias("score"))
 
 
@@ -114,7 +118,7 @@ def _(spark, d):
 
 
 _TRUTH = "SELECT DISTINCT v, g FROM sliced_home s WHERE split = 'test' AND NOT EXISTS (SELECT 1 FROM sliced_home o WHERE o.split = 'train' AND o.v = s.v AND o.g = s.g)"
-_RECS = f"SELECT v, g, row_number() OVER (PARTITION BY v ORDER BY score DESC, g) AS rank FROM (SELECT i.v, e.g, round({vdot('i.vec', 'e.vec')}, 6) AS score FROM e0_item i, e2_home e)"
+_RECS = f"SELECT v, g, row_number() OVER (PARTITION BY v ORDER BY score DESC, g) AS rank FROM (SELECT i.v, e.g, round({vdot('i.vec', 'e.vec')}, 12) AS score FROM e0_item i, e2_home e)"
 
 
 def _recs(h: M.Home) -> DataFrame:
@@ -141,12 +145,12 @@ def _(spark, d):
 @query(
     "sigma_inf",
     "SELECT count(*) AS sets, round(avg(n / (SELECT count(*) FROM e0_home)::DOUBLE), 6) AS sigma_inf FROM (SELECT v, count(*) AS n FROM reach GROUP BY 1)",
-    tops=f"SELECT v, g FROM (SELECT v, g, row_number() OVER (PARTITION BY v ORDER BY score DESC, g) AS rank FROM (SELECT i.v, e.g, round({vdot('i.vec', 'e.vec')}, 6) AS score FROM one_item i, e2_home e)) WHERE rank <= 5",
+    tops=f"SELECT v, g FROM (SELECT v, g, row_number() OVER (PARTITION BY v ORDER BY score DESC, g) AS rank FROM (SELECT i.v, e.g, round({vdot('i.vec', 'e.vec')}, 12) AS score FROM window_items i, e2_home e)) WHERE rank <= 5",
     reach=f"SELECT v, g FROM tops UNION SELECT q.v, q.dst FROM reach r JOIN graph_home q ON q.v = r.v AND q.src = r.g WHERE q.p > {CI.TAU}e0",
 )
 def _(spark, d):
     s = CI.Spread(spark, d)
-    seeds = search.batch_match(s.encoded(2), s.three, 5, D).select(F.lit(0).cast("long").alias("s"), "v", "g")
+    seeds = search.batch_match(s.encoded(2), s.window, 5, D).select(F.lit(0).cast("long").alias("s"), "v", "g")
     return ME.sigma_inf(CA.spread(CA.run(s.graph, seeds, mode="fixed", tau=CI.TAU), s.e0.count()))
 
 
@@ -198,32 +202,78 @@ def recommend(spark, d):
 
 @query("static_predecessor")
 def _(spark, d):
+    """The same learning on whole graphs, static cascades and the exhaustive search."""
     return Pipeline(spark, d, sampler=False, cascade="static", index=False).recommend()
 
 
+@query("recommend_without_influence")
+def _(spark, d):
+    return Pipeline(spark, d, cascade="none", alpha_r=0.0).recommend()
+
+
+@query("interest_profiles")
+def _(spark, d):
+    """What the encoders of every slice make of each group: long-term and short-term, side by side."""
+    return Pipeline(spark, d).interest.profiles.select("g", "slice", *M.spread("profile", 2 * D))
+
+
+@query("training_times")
+def _(spark, d):
+    """Epochs, seconds and last loss of each phase of learning, with and without the sampler."""
+    base, rows = Pipeline(spark, d), []
+    for name, sampler in (("sampled", True), ("all edges", False)):
+        log = Pipeline(spark, d, sampler=sampler, base=base).interest.log
+        for phase in ("long", "short", "forecast"):
+            for t in range(I.SLICES):
+                part = [r for r in log if r["phase"] == phase and r["slice"] == t]
+                if part:
+                    rows.append((name, phase, t, len(part), float(part[-1]["seconds"]), float(part[-1]["loss"])))
+    return _table(spark, rows, "edges string, phase string, slice int, epochs int, seconds double, loss double")
+
+
 def _table(spark, rows: list[tuple], names: str) -> DataFrame:
-    return spark.createDataFrame([tuple(round(float(x), 6) if isinstance(x, float) else x for x in r) for r in rows], names)
+    return spark.createDataFrame([tuple(round(float(x), 9) if isinstance(x, float) else x for x in r) for r in rows], names)
+
+
+VARIANTS = {"full": {}, "no sampler": {"sampler": False}, "no dynamic cascade": {"cascade": "static"}, "no influence": {"cascade": "none"}, "no index": {"index": False}}
 
 
 @query("ablation_components")
 def _(spark, d):
-    variants = {"full": {}, "no sampler": {"sampler": False}, "no dynamic cascade": {"cascade": "none"}, "no index": {"index": False}}
-    base = Pipeline(spark, d)
-    rows = [(k, *Pipeline(spark, d, base=base, **kw).measures(items=40)) for k, kw in variants.items()]
-    return _table(spark, rows, "variant string, hr double, ndcg double, sigma_inf double")
+    base, rows = Pipeline(spark, d), []
+    truth = settle(base.truth(), "truth")
+    for name, kw in VARIANTS.items():
+        rows.append((name, *base.judged(Pipeline(spark, d, base=base, **kw).recommend(), truth)))
+    full = rows[0]
+    change = [tuple(ME.relative_change(x, y) if y else 0.0 for x, y in zip(r[1:], full[1:])) for r in rows]
+    return _table(spark, [(*r, *c) for r, c in zip(rows, change)], "variant string, hr double, ndcg double, sigma_inf double, hr_change double, ndcg_change double, sigma_change double")
 
 
 @query("ablation_cascade")
 def _(spark, d):
-    rows, base = [], Pipeline(spark, d)
-    for name, drop in (("no similarity", "similarity"), ("no willingness", "willingness"), ("all factors", None)):
-        p = Pipeline(spark, d, sampler=False, drop=drop, base=base)
-        rows.append((name, float(p.spreads.agg(F.avg("influence")).first()[0] or 0.0)))
+    """The spread of the recommended lists when an edge's weight lacks a factor."""
+    base, rows = Pipeline(spark, d), []
+    recs = settle(base.recommend(), "recs").where(F.col("rank") <= 5).select(F.lit(0).cast("long").alias("s"), "v", "g")
+    for name, drop in (("no similarity", "similarity"), ("no willingness", "willingness"), ("no activeness", "activeness"), ("all factors", None)):
+        p = Pipeline(spark, d, drop=drop, base=base)
+        rows.append((name, float(ME.sigma_inf(p.spread(recs)).first()["sigma_inf"] or 0.0)))
     return _table(spark, rows, "variant string, sigma_inf double")
 
 
+@query("cascade_baselines")
+def _(spark, d):
+    """The spread of the same lists over random and over static weights, which know neither items nor live events."""
+    s = CI.Spread(spark, d)
+    n, rows = s.e0.count(), []
+    for name, weights in (("random", CI.FA.random_weights(s.lap)), ("static", CI.FA.static_weights(s.lap, s.active, s.sims)), ("item-aware", s.graph.select("v", "src", "dst", "p"))):
+        edges = weights if "v" in weights.columns else weights.join(s.window.select("v"))
+        found = CA.spread(CA.run(CI.PG.by_in_degree(settle(edges, "weights")), s.seeds), n)
+        rows.append((name, float(ME.sigma_inf(found).first()["sigma_inf"] or 0.0)))
+    return _table(spark, rows, "weights string, sigma_inf double")
+
+
 def baseline_vectors(h: M.Home) -> dict[str, tuple[DataFrame, DataFrame]]:
-    """(groups, items) of each baseline."""
+    """(groups, items) of each baseline, all items."""
     light = BA.light_conv(h.pairs, h.latent, h.items, 2, D)
     return {
         "light convolution": light,
@@ -232,55 +282,181 @@ def baseline_vectors(h: M.Home) -> dict[str, tuple[DataFrame, DataFrame]]:
     }
 
 
+def _baseline_recs(h: M.Home) -> dict:
+    """For each baseline what recommends groups to the arriving items. It may know the training part only."""
+    h.__dict__["pairs"] = h.sliced.where("split = 'train'").select("g", "v").distinct()
+    return {name: (lambda g=g, v=v: search.batch_match(g, v.where(f"v % {M.ASK} = 0"), 20, D)) for name, (g, v) in baseline_vectors(h).items()}
+
+
 @query("effectiveness")
 def _(spark, d):
-    h = Pipeline(spark, d)
-    truth, rows = settle(_truth(h), "truth"), []
-    for name, (groups, items) in baseline_vectors(h).items():
-        recs = settle(search.batch_match(groups, items, 20, D), "recs")
-        rows.append((name, ME.hit_ratio(recs, truth, 20).first()["hr"], ME.ndcg(recs, truth, 20).first()["ndcg"]))
-    for name, kw in (("static predecessor", {"sampler": False, "cascade": "static", "index": False}), ("enhanced", {})):
-        rows.append((name, *Pipeline(spark, d, base=h, **kw).measures(items=100)[:2]))
-    return _table(spark, rows, "method string, hr double, ndcg double")
+    """HR, NDCG and the spread of the first groups, of all methods on the same items."""
+    base, rows = Pipeline(spark, d), []
+    truth = settle(base.truth(), "truth")
+    for name, kw in (("enhanced", {}), ("static predecessor", {"sampler": False, "cascade": "static", "index": False})):
+        rows.append((name, *base.judged(Pipeline(spark, d, base=base, **kw).recommend(), truth)))
+    for name, way in _baseline_recs(M.Home(spark, d)).items():
+        rows.append((name, *base.judged(way(), truth)))
+    return _table(spark, rows, "method string, hr double, ndcg double, sigma_inf double")
 
 
-@query("index_effect")
+@query("hit_ratio_items_of_groups", "SELECT 20 AS k, count(r.v) AS hits, count(*) AS truths, round(count(r.v) / count(*)::DOUBLE, 6) AS hr FROM truth t LEFT JOIN (SELECT g, v FROM back WHERE rank <= 20) r USING (g, v)", truth=_TRUTH, back=_RECS.replace("PARTITION BY v ORDER BY score DESC, g", "PARTITION BY g ORDER BY score DESC, v"))
 def _(spark, d):
-    """Seconds for a batch of arriving items by each way of matching."""
-    s, rows = Indexed(spark, d), []
-    index, groups, items = s.index, s.groups, settle(s.arriving, "arriving")
-    ways = {"batch": lambda: search.batch_match(groups, items, 20, D), "tree": lambda: index.tree_top_k(items, 20, 200), "two-level": lambda: index.top_k(items, 20, 200)}
-    for name, way in ways.items():
+    """The other direction: which items are recommended to a group."""
+    h = M.Home(spark, d)
+    items = h.e0_items.select(F.col("v").alias("g"), "vec")
+    back = search.batch_match(items, h.encoded(2).select(F.col("g").alias("v"), "vec"), 20, D)
+    return ME.hit_ratio(back, _truth(h).select(F.col("g").alias("v"), F.col("v").alias("g")), 20)
+
+
+@query("response_times")
+def _(spark, d):
+    """Seconds from arriving items to recommendations, end to end, of each method. What was learned is there before."""
+    rows, base = [], Pipeline(spark, d)
+    _ = base.vectors
+    ways = {"enhanced": lambda: Pipeline(spark, d, base=base).recommend(), "static predecessor": lambda: Pipeline(spark, d, cascade="static", index=False, base=base).recommend()}
+    for name, way in {**ways, **_baseline_recs(M.Home(spark, d))}.items():
         began = time.perf_counter()
         n = way().count()
         rows.append((name, n, time.perf_counter() - began))
     return _table(spark, rows, "method string, n long, seconds double")
 
 
-@query("sampling_effect")
+def _ways(index, groups: DataFrame, items: DataFrame, budget: int) -> dict:
+    return {
+        "batch": lambda: search.batch_match(groups, items, 20, D),
+        "tree": lambda: index.tree_top_k(items, 20, budget),
+        "two-level": lambda: index.top_k(items, 20, budget),
+        "two-level, best blocks": lambda: index.top_k(items, 20, budget, on_miss="scan"),
+    }
+
+
+@query("index_effect")
 def _(spark, d):
-    """Training of the encoder on the whole graph and on a sampled one."""
-    p, rows = Pipeline(spark, d), []
-    for name, edges in (("sampled", p.training_edges()), ("all edges", p.lap)):
-        _, log = M.train_encoder(p, epochs=4, edges=edges)
-        rows.append((name, edges.count(), len(log), float(log[-1]["loss"])))
-    return _table(spark, rows, "edges string, n long, epochs int, loss double")
+    """Seconds for the arriving items by each way of matching, and what it finds of the exact lists."""
+    s, rows = Indexed(spark, d), []
+    index, groups, items = s.fitted, s.groups, settle(s.arriving, "arriving")
+    exact, budget = settle(search.batch_match(groups, items, 20, D), "exact"), scan_budget(groups.count())
+    for name, way in _ways(index, groups, items, budget).items():
+        began = time.perf_counter()
+        found = settle(way(), "found")
+        seconds = time.perf_counter() - began
+        rows.append((name, found.count(), seconds, float(ME.recall_at_k(found, exact, 20).first()["recall"])))
+    return _table(spark, rows, "method string, n long, seconds double, recall double")
 
 
-def sweep(spark, d, name: str, values: list, items: int = 20) -> DataFrame:
-    """HR, NDCG and influence for each value of a pipeline parameter."""
-    base = Pipeline(spark, d)
-    return _table(spark, [(float(v), *Pipeline(spark, d, index=False, sampler=False, cascade="static", base=base, **{name: v}).measures(items=items)) for v in values], "value double, hr double, ndcg double, sigma_inf double")
+@query("growth")
+def _(spark, d):
+    """How the seconds of matching grow with the groups: 1, 2 and 4 times as many, the added ones near given ones."""
+    s, rows = Indexed(spark, d), []
+    items = settle(s.arriving, "arriving")
+    for times in (1, 2, 4):
+        near = F.transform("vec", lambda x: x * (1 + (uniform("growth", "g", "copy") - 0.5) * 0.1 * (F.col("copy") > 0).cast("double")))
+        groups = settle(s.groups.withColumn("copy", F.explode(F.sequence(F.lit(0), F.lit(times - 1)))).select((F.col("g") * 4 + F.col("copy")).alias("g"), near.alias("vec")), "grown")
+        n, began = groups.count(), time.perf_counter()
+        index = build_index(groups)
+        rows.append((times, n, "build", time.perf_counter() - began))
+        for name, way in _ways(index, groups, items, scan_budget(n)).items():
+            began = time.perf_counter()
+            way().count()
+            rows.append((times, n, name, time.perf_counter() - began))
+    return _table(spark, rows, "times int, n_groups long, method string, seconds double")
 
 
-for _name, _values in {"layers": [0, 1, 2], "alpha_v": [0.0, 0.5, 0.8, 1.0], "alpha_r": [1e-8, 1e-6, 1e-2, 1.0], "g1": [0.0, 0.1, 0.3], "g2": [0.0, 0.4, 0.7]}.items():
+@query("sampling_effect")
+def _(spark, d):
+    """Training of the encoder on the whole graph and on a sampled one: edges, epochs and seconds until the loss settles."""
+    p, rows = Pipeline(spark, d), []
+    for name, edges in (("sampled", p.training_edges()), ("all edges", p.lap)):
+        held = M.packed(p, edges)
+        _, log = M.train_encoder(p, epochs=12, held=held, tolerance=5e-3)
+        rows.append((name, edges.count(), len(log), float(log[-1]["seconds"]), float(log[-1]["loss"])))
+    return _table(spark, rows, "edges string, n long, epochs int, seconds double, loss double")
+
+
+def sweep(spark, d, name: str, values: list, **fixed) -> DataFrame:
+    """HR, NDCG and spread for each value of a parameter of the pipeline, or of learning; the tables are shared."""
+    base, rows = Pipeline(spark, d, index=False), []
+    truth = settle(base.truth(), "truth")
+    for value in values:
+        kw = {"learning": {name: value}} if name in LEARNING else {name: value}
+        p = Pipeline(spark, d, index=False, base=base, **{**fixed, **kw})
+        judge = p if name in ("g1", "g2") else base  # these change what an item's spread is
+        rows.append((float(value), *judge.judged(p.recommend(), truth)))
+    return _table(spark, rows, "value double, hr double, ndcg double, sigma_inf double")
+
+
+LEARNING = ("rate", "rate2", "penalty", "penalty2")
+SWEEPS = {
+    "layers": [0, 1, 2, 3, 4],
+    "alpha_v": [0.0, 0.2, 0.4, 0.6, 0.8, 0.9, 1.0],
+    "alpha_r": [1e-8, 1e-6, 1e-4, 1e-2, 0.5, 1.0],
+    "g1": [0.0, 0.1, 0.2, 0.3],
+    "g2": [0.0, 0.3, 0.6, 0.7, 0.9],
+    "rate": [1e-4, 1e-3, 1e-2, 1e-1, 1.0],
+    "rate2": [1e-4, 1e-3, 1e-2, 1e-1, 1.0],
+    "penalty": [1e-8, 1e-7, 1e-6, 1e-5, 1e-4],
+    "penalty2": [1e-8, 1e-7, 1e-6, 1e-5, 1e-4],
+}
+for _name, _values in SWEEPS.items():
     query(f"sweep_{_name}")(lambda spark, d, n=_name, v=tuple(_values): sweep(spark, d, n, list(v)))
 
 
-@query("sweep_rates")
+@query("sweep_g1_g2")
 def _(spark, d):
-    h = M.Home(spark, d)
-    rows = [(rate, penalty, float(M.train_encoder(h, epochs=3, rate=rate, penalty=penalty)[1][-1]["loss"])) for rate, penalty in ((1e-4, 1e-6), (1e-2, 1e-6), (1e-1, 1e-6), (1e-1, 1e-4))]
-    return _table(spark, rows, "rate double, penalty double, loss double")
+    """The grid of both coefficients of a propagation edge: the spread of the same recommended lists."""
+    base, rows = Pipeline(spark, d), []
+    recs = settle(base.recommend(), "recs").where(F.col("rank") <= 5).select(F.lit(0).cast("long").alias("s"), "v", "g")
+    for g1 in (0.0, 0.1, 0.5, 1.0):
+        for g2 in (0.0, 0.4, 0.7, 0.9):
+            if g1 + g2 <= 1:
+                rows.append((g1, g2, float(ME.sigma_inf(Pipeline(spark, d, g1=g1, g2=g2, base=base).spread(recs)).first()["sigma_inf"] or 0.0)))
+    return _table(spark, rows, "g1 double, g2 double, sigma_inf double")
+
 
+@query("operation_counts")
+def _(spark, d):
+    """What the sampler, the cascade and the searches touch, next to what their analysis says."""
+    s = CI.Spread(spark, d)
+    x, rows = Indexed(spark, d), []
+    p = Pipeline(spark, d)
+    n_edges, kept = p.und.count(), O.snapshot_sequence(p.und, p.counts, 1, SHARE, OVERLAP, quotas=p.quotas).count()
+    rows.append(("sampler: edges read", n_edges, "edges"))
+    rows.append(("sampler: edges kept", kept, "share of edges"))
+    live = settle(CI.PG.by_in_degree(s.graph), "live")
+    active = settle(CA.run(live, s.seeds), "active")
+    tried = active.select("run", "v", F.col("g").alias("src")).join(live.select("v", "src", "dst"), ["v", "src"]).count()
+    rows.append(("cascade: edges tried", tried, "propagation edges at most"))
+    rows.append(("cascade: propagation edges", live.count(), "propagation edges"))
+    items, groups = x.arriving.count(), x.groups.count()
+    found = settle(search.probe(x.clusters, x.index.directory, x.index.buckets), "probes")
+    rows.append(("batch: pairs scored", items * groups, "items times groups"))
+    rows.append(("two-level: directory entries read", int(found.agg(F.sum("steps")).first()[0] or 0), "one per probe, with chains"))
+    rows.append(("two-level: probes that missed", found.where("miss").count(), "probes"))
+    rows.append(("two-level: entries scanned", search.scan(found, x.index.blocks, 200, x.index.rows_per_block).count(), "budget per probe"))
+    return _table(spark, rows, "operation string, n long, bound string")
+
+
+@query("stream_recommendations", "SELECT v, rank, g, round(score, 6) + 0.0e0 AS score FROM ranked WHERE rank <= 20", **INDEX)
+def _(spark, d):
+    """The arriving items as a stream of four files; each micro-batch is recommended and stored as it comes."""
+    s = Indexed(spark, d)
+    folder = f"{shared_dir(spark)}/arrivals-{uuid.uuid4().hex}"
+    s.arriving.repartition(4, "v").write.parquet(f"{folder}/in")
+    stream = spark.readStream.schema("v long, vec array<double>").option("maxFilesPerTrigger", 1).parquet(f"{folder}/in")
+    jobs.recommend_stream(stream, s.index, 20, 200, f"{folder}/out")
+    return spark.read.parquet(f"{folder}/out").select("v", "rank", "g", "score")
 
+
+@query("stream_refresh", "SELECT v, src, dst, round(p, 6) AS p FROM graph2", **CI.GRAPH)
+def _(spark, d):
+    """Two days of live interactions, checked one after the other, refresh the propagation graphs."""
+    s = CI.Spread(spark, d)
+    folder = f"{shared_dir(spark)}/live-{uuid.uuid4().hex}"
+    for day in (1, 2):
+        s.fresh(day).withColumn("day", F.lit(day)).coalesce(1).write.mode("append").parquet(f"{folder}/{day}")
+    state = {"graph": s.graph}
+    for day in (1, 2):
+        stream = spark.readStream.schema("v long, g long, day int").parquet(f"{folder}/{day}")
+        jobs.refresh_stream(stream, state, lambda n, day=day: s.active_after(day), f"{folder}/check{day}")
+    return state["graph"].select("v", "src", "dst", F.round("p", 6).alias("p"))

@@ -40,11 +40,21 @@ def query(name: str, sql: str | None = None, **extra: str):
     return add
 
 
+def build_index(groups: DataFrame, d: int = D) -> GroupIndex:
+    """The index that searches go through: as many axes as the distance has dimensions, cells fitted to the groups, small blocks."""
+    return GroupIndex.build(groups, d, axes=d + 1, n_hash=9, bits=6, width=None, rows_per_block=16, buckets=BUCKETS)
+
+
+def scan_budget(n_groups: int) -> int:
+    """Entries that an item may read: a twentieth of the groups, but 200 at least."""
+    return max(200, n_groups // 20)
+
+
 class Indexed(M.Home):
     """Market groups with their mean member preferences, and parts as arriving items."""
 
     groups = cached_property(lambda self: settle(latent.hyperedge_aggregate(G.memberships(self.t), self.users), "groups"))
-    arriving = cached_property(lambda self: self.items.join(F.broadcast(self.t.part.select(F.col("p_partkey").alias("v")).orderBy("v").limit(100)), "v", "left_semi"))
+    arriving = cached_property(lambda self: self.items.where(f"v % {M.ASK} = 0"))
     pivots = cached_property(lambda self: fastmap.choose_pivots(self.mapped, AXES, D + 1))
     mapped = cached_property(lambda self: fastmap.to_distance(self.groups, self.arriving, D)[0])
 
@@ -52,6 +62,10 @@ class Indexed(M.Home):
     def index(self) -> GroupIndex:
         return GroupIndex.build(self.groups, D, AXES, N_HASH, BITS, WIDTH, ROWS, BUCKETS)
 
+    @cached_property
+    def fitted(self) -> GroupIndex:
+        return build_index(self.groups)
+
     @cached_property
     def keyed(self) -> DataFrame:
         return lsh.keyed(fastmap.project(self.mapped, self.pivots, D + 1), A_DIR, B_DIR, WIDTH, BITS)
@@ -105,7 +119,7 @@ def _z(table: str, key: str) -> str:
 
 _HASH = f"(((key % {B.PRIME}) * {B.A} + {B.B}) % {B.PRIME}) % {BUCKETS}"
 INDEX = {
-    "arriving": "SELECT * FROM iv WHERE v IN (SELECT p_partkey FROM part ORDER BY p_partkey LIMIT 100)",
+    "arriving": "SELECT * FROM iv WHERE v % 50 = 0",
     "co0": f"SELECT g, list_append(vec, sqrt(greatest(m * m - {vdot('vec', 'vec')}, 0.0e0))) AS vec FROM pg_market, (SELECT max(sqrt({vdot('vec', 'vec')})) AS m FROM pg_market)",
     "cv0": f"SELECT v, CASE WHEN own > 0 THEN list_append({vmap('vec', '{} * (m / own)')}, 0.0e0) ELSE list_append(vec, 0.0e0) END AS vec FROM (SELECT v, vec, sqrt({vdot('vec', 'vec')}) AS own FROM arriving), (SELECT max(sqrt({vdot('vec', 'vec')})) AS m FROM pg_market)",
     **_axis(0),
@@ -122,8 +136,8 @@ INDEX = {
     "probes": "SELECT z, coalesce((SELECT max(key) FROM keys WHERE key <= z), (SELECT min(key) FROM keys)) AS key FROM clusters",
     "starts": "SELECT p.z, p.key, k.pos, p.key <> p.z AS miss FROM probes p JOIN keys k USING (key)",
     "scanned": f"SELECT z, g, pos, step FROM (SELECT s.z, b.g, b.pos, row_number() OVER (PARTITION BY s.z ORDER BY CASE WHEN b.pos >= s.pos THEN 2 * (b.pos - s.pos) ELSE 2 * (s.pos - b.pos) - 1 END, b.pos) AS step FROM starts s JOIN blocks b ON abs(b.pos - s.pos) <= {BUDGET}) WHERE step <= {BUDGET}",
-    "ranked": f"SELECT v, g, score, row_number() OVER (PARTITION BY v ORDER BY score DESC, g)::INTEGER AS rank FROM (SELECT i.v, c.g, round({vdot('a.vec', 'e.vec')}, 6) + 0.0e0 AS score FROM zv i JOIN arriving a USING (v) JOIN scanned c USING (z) JOIN pg_market e USING (g))",
-    "exact": f"SELECT v, g, score, row_number() OVER (PARTITION BY v ORDER BY score DESC, g)::INTEGER AS rank FROM (SELECT a.v, e.g, round({vdot('a.vec', 'e.vec')}, 6) + 0.0e0 AS score FROM arriving a, pg_market e)",
+    "ranked": f"SELECT v, g, score, row_number() OVER (PARTITION BY v ORDER BY score DESC, g)::INTEGER AS rank FROM (SELECT i.v, c.g, round({vdot('a.vec', 'e.vec')}, 12) + 0.0e0 AS score FROM zv i JOIN arriving a USING (v) JOIN scanned c USING (z) JOIN pg_market e USING (g))",
+    "exact": f"SELECT v, g, score, row_number() OVER (PARTITION BY v ORDER BY score DESC, g)::INTEGER AS rank FROM (SELECT a.v, e.g, round({vdot('a.vec', 'e.vec')}, 12) + 0.0e0 AS score FROM arriving a, pg_market e)",
 }
 
 
@@ -220,19 +234,19 @@ def _(spark, d):
     return search.scan(found, s.index.blocks, BUDGET, ROWS).select("z", "g", "pos", "step")
 
 
-@query("index_topk", f"SELECT v, rank, g, score FROM ranked WHERE rank <= {K}")
+@query("index_topk", f"SELECT v, rank, g, round(score, 6) + 0.0e0 AS score FROM ranked WHERE rank <= {K}")
 def _(spark, d):
     s = Indexed(spark, d)
     return s.index.top_k(s.arriving, K, BUDGET)
 
 
-@query("tree_topk", f"SELECT v, rank, g, score FROM ranked WHERE rank <= {K}")
+@query("tree_topk", f"SELECT v, rank, g, round(score, 6) + 0.0e0 AS score FROM ranked WHERE rank <= {K}")
 def _(spark, d):
     s = Indexed(spark, d)
     return s.index.tree_top_k(s.arriving, K, BUDGET)
 
 
-@query("batch_topk", f"SELECT v, rank, g, score FROM exact WHERE rank <= {K}")
+@query("batch_topk", f"SELECT v, rank, g, round(score, 6) + 0.0e0 AS score FROM exact WHERE rank <= {K}")
 def _(spark, d):
     s = Indexed(spark, d)
     return search.batch_match(s.groups, s.arriving, K, D)
@@ -266,3 +280,31 @@ def _(spark, d):
     other = GroupIndex.build(s.groups, D, AXES, N_HASH, BITS, WIDTH, ROWS, BUCKETS, seed=9)
     both = s.index.top_k(s.arriving, K, BUDGET // 2).unionByName(other.top_k(s.arriving, K, BUDGET // 2))
     return M.R.top_k(both.select("v", "g", "score").distinct(), K)
+
+
+@query("index_best_blocks")
+def _(spark, d):
+    """The arriving items through the fitted index, best blocks first."""
+    s = Indexed(spark, d)
+    return s.fitted.top_k(s.arriving, K, scan_budget(s.groups.count()), on_miss="scan")
+
+
+@query("recall_by_budget")
+def _(spark, d):
+    """What each way of scanning finds of the exact lists when it reads so many percent of the groups."""
+    s = Indexed(spark, d)
+    exact, n, rows = settle(search.batch_match(s.groups, s.arriving, K, D), "exact"), s.groups.count(), []
+    for percent in (2, 5, 10, 20):
+        for name, way in (("neighbours of the place", "nearest"), ("best blocks", "scan")):
+            found = s.fitted.top_k(s.arriving, K, max(K, n * percent // 100), on_miss=way)
+            rows.append((percent, name, ME.recall_at_k(found, exact, K).first()["recall"]))
+    return spark.createDataFrame(rows, "percent int, scan string, recall double")
+
+
+@query("index_size", f"SELECT count(*) AS entries, count(DISTINCT block) AS blocks, sum(8 * (2 + {D}))::BIGINT AS block_bytes, (SELECT count(*) FROM directory)::BIGINT AS keys, (SELECT 40 * count(*) FROM directory)::BIGINT AS directory_bytes FROM blocks")
+def _(spark, d):
+    """Entries, blocks and keys, and the bytes that they take: eight for each number that an entry holds."""
+    s = Indexed(spark, d)
+    lower = s.index.blocks.agg(F.count("*").alias("entries"), F.countDistinct("block").alias("blocks"), F.sum(F.lit(8) * (2 + F.size("vec"))).cast("long").alias("block_bytes"))
+    upper = s.index.directory.agg(F.count("*").alias("keys"), (F.count("*") * 40).alias("directory_bytes"))
+    return lower.join(upper)

@@ -11,6 +11,7 @@ from ..functions.linalg import sigmoid
 from ..influence import cascade as CA
 from ..influence import factors as FA
 from ..influence import prop_graph as PG
+from ..operators.joins import top_n
 from ..sources.storage import settle
 from ..sources.tables import day
 from . import catalog_model as M
@@ -32,7 +33,7 @@ def query(name: str, sql: str | None = None, **extra: str):
 
 
 class Spread(M.Home):
-    """The home family with its activity and the propagation graphs of three items."""
+    """The home family with its activity and the propagation graphs of the arriving items."""
 
     @cached_property
     def activity(self) -> DataFrame:
@@ -45,24 +46,23 @@ class Spread(M.Home):
 
     active = cached_property(lambda self: FA.activeness(self.activity, self.now, HORIZON))
     sims = cached_property(lambda self: FA.similarity(self.lap, self.encoded(2), D))
-    three = cached_property(lambda self: self.window.orderBy("v").limit(3))
-    will = cached_property(lambda self: FA.willingness(self.three, self.encoded(2), D))
+    will = cached_property(lambda self: settle(FA.willingness(self.window, self.encoded(2), D), "will"))
     graph = cached_property(lambda self: settle(PG.build(self.sims, self.active, self.will), "graph"))
 
     def fresh(self, batch: int) -> DataFrame:
-        """(v, g): interactions of the days after `now`, one batch a day; an event's k points to an item."""
+        """(v, g): interactions of the days after `now`, one batch a day; an event's k points to the k-th arriving item."""
         k = F.get_json_object("props", "$.k").cast("long")
         rows = self.activity.where((F.col("day") == self.now + batch) & F.col("event_type").isin("view", "click", "purchase"))
-        return rows.select((k % 3 + self.first).alias("v"), "g").distinct()
-
-    @cached_property
-    def first(self) -> int:
-        return self.three.agg(F.min("v")).first()[0]
+        return rows.select((k * M.ASK).alias("v"), "g").distinct().join(self.window.select("v"), "v", "left_semi")
 
     def active_after(self, batch: int) -> DataFrame:
         return FA.activeness(self.activity, self.now + batch, HORIZON)
 
-    seeds = cached_property(lambda self: self.lap.where("src % 25 = 0").select(F.lit(0).cast("long").alias("s"), F.col("src").alias("g")).distinct().join(self.three.select("v")))
+    @cached_property
+    def seeds(self) -> DataFrame:
+        """(s, v, g): for every item the groups that are most willing, as its seed set."""
+        best = top_n(self.will.withColumn("r", F.round("will", 9)), ["v"], [F.desc("r"), F.col("g")], SEEDS)
+        return best.select(F.lit(0).cast("long").alias("s"), "v", "g")
 
 
 def _act(batch: int) -> str:
@@ -70,7 +70,7 @@ def _act(batch: int) -> str:
 
 
 def _fresh(batch: int) -> str:
-    return f"SELECT DISTINCT (json_extract_string(e.props, '$.k')::BIGINT % 3 + (SELECT min(v) FROM one_item)) AS v, h.g FROM events e JOIN home h ON h.u = e.user_id WHERE e.event_type IN ('view', 'click', 'purchase') AND date_diff('day', DATE '1970-01-01', e.ts::DATE) = (SELECT max(day) - 10 FROM activity) + {batch}"
+    return f"SELECT DISTINCT i.v, h.g FROM events e JOIN home h ON h.u = e.user_id JOIN window_items i ON i.v = 50 * json_extract_string(e.props, '$.k')::BIGINT WHERE e.event_type IN ('view', 'click', 'purchase') AND date_diff('day', DATE '1970-01-01', e.ts::DATE) = (SELECT max(day) - 10 FROM activity) + {batch}"
 
 
 def _updated(graph: str, batch: int) -> str:
@@ -80,7 +80,9 @@ def _updated(graph: str, batch: int) -> str:
       FROM {graph} q LEFT JOIN fresh{batch} x ON x.v = q.v AND x.g = q.src LEFT JOIN fresh{batch} y ON y.v = q.v AND y.g = q.dst LEFT JOIN act{batch} t ON t.g = q.src)"""
 
 
-TAU = 0.935
+#: A fixed threshold has to lie among the weights, which are high with the small repeatable layers: below all of them a cascade
+#: reaches whatever is connected, above all of them nothing.
+TAU, SEEDS = 0.935, 3
 GRAPH = {
     "act1": _act(1),
     "act2": _act(2),
@@ -88,7 +90,7 @@ GRAPH = {
     "fresh2": _fresh(2),
     "graph1": _updated("graph_home", 1),
     "graph2": _updated("graph1", 2),
-    "seeds": "SELECT DISTINCT v, src AS g FROM sym_home, one_item WHERE src % 25 = 0",
+    "seeds": f"SELECT v, g FROM (SELECT v, g, row_number() OVER (PARTITION BY v ORDER BY round(will, 9) DESC, g) AS n FROM will_home) WHERE n <= {SEEDS}",
     "round0": "SELECT v, g, 0 AS round FROM seeds",
     "active1": f"SELECT * FROM round0 UNION ALL SELECT v, g, 1 FROM (SELECT q.v, q.dst AS g FROM graph1 q JOIN round0 r ON r.v = q.v AND r.g = q.src WHERE q.p > {TAU}e0 UNION SELECT v, g FROM fresh1) n WHERE NOT EXISTS (SELECT 1 FROM round0 r WHERE r.v = n.v AND r.g = n.g)",
     "active2": f"SELECT * FROM active1 UNION ALL SELECT v, g, 2 FROM (SELECT q.v, q.dst AS g FROM graph2 q JOIN active1 r ON r.v = q.v AND r.g = q.src AND r.round = 1 WHERE q.p > {TAU}e0 UNION SELECT v, g FROM fresh2) n WHERE NOT EXISTS (SELECT 1 FROM active1 r WHERE r.v = n.v AND r.g = n.g)",
@@ -109,15 +111,15 @@ def _(spark, d):
 _RAW = vdot("i.vec", "e.vec")
 for _mode, _sql in {
     "sigmoid": "SELECT v, g, round(will, 6) AS will FROM will_home",
-    "none": f"SELECT v, g, round({_RAW}, 6) AS will FROM one_item i, e2_home e",
-    "clip": f"SELECT v, g, round(least(greatest({_RAW}, 0.0e0), 1.0e0), 6) AS will FROM one_item i, e2_home e",
-    "minmax": f"SELECT v, g, round((raw - min(raw) OVER (PARTITION BY v)) / (max(raw) OVER (PARTITION BY v) - min(raw) OVER (PARTITION BY v)), 6) AS will FROM (SELECT v, g, {_RAW} AS raw FROM one_item i, e2_home e)",
+    "none": f"SELECT v, g, round({_RAW}, 6) AS will FROM window_items i, e2_home e",
+    "clip": f"SELECT v, g, round(least(greatest({_RAW}, 0.0e0), 1.0e0), 6) AS will FROM window_items i, e2_home e",
+    "minmax": f"SELECT v, g, round((raw - min(raw) OVER (PARTITION BY v)) / (max(raw) OVER (PARTITION BY v) - min(raw) OVER (PARTITION BY v)), 6) AS will FROM (SELECT v, g, {_RAW} AS raw FROM window_items i, e2_home e)",
 }.items():
 
     @query(f"willingness_{_mode}", _sql)
     def _(spark, d, mode=_mode):
         s = Spread(spark, d)
-        return FA.willingness(s.three, s.encoded(2), D, mode).select("v", "g", F.round("will", 6).alias("will"))
+        return FA.willingness(s.window, s.encoded(2), D, mode).select("v", "g", F.round("will", 6).alias("will"))
 
 
 @query("edge_weights", f"SELECT {_EDGE} FROM graph_home")
@@ -173,7 +175,7 @@ def _(spark, d):
     return CA.run(s.graph, s.seeds, mode="fixed", tau=TAU).select("v", "g")
 
 
-_LIVE = "SELECT run, v, src, dst FROM graph_home, (SELECT unnest([0, 1, 2]) AS run) WHERE p - 0.45e0 > {}"
+_LIVE = "SELECT run, v, src, dst FROM (SELECT v, src, dst, p / count(*) OVER (PARTITION BY v, dst) AS p FROM graph_home), (SELECT unnest([0, 1, 2]) AS run) WHERE p > {}"
 for _mode, _u in (("per_edge_uniform", uniform_sql("threshold", "run", "src", "dst")), ("per_node_uniform", uniform_sql("threshold", "run", "dst"))):
 
     @query(
@@ -184,13 +186,13 @@ for _mode, _u in (("per_edge_uniform", uniform_sql("threshold", "run", "src", "d
     )
     def _(spark, d, mode=_mode):
         s = Spread(spark, d)
-        return CA.run(s.graph.withColumn("p", F.col("p") - 0.45), s.seeds, 3, mode=mode).select("run", "v", "g")
+        return CA.run(PG.by_in_degree(s.graph), s.seeds, 3, mode=mode).select("run", "v", "g")
 
 
 @query("cascade_live_edges", "SELECT run, v, count(*) AS n FROM live GROUP BY 1, 2", live=_LIVE.format(uniform_sql("threshold", "run", "src", "dst")))
 def _(spark, d):
     s = Spread(spark, d)
-    return CA.live_edges(s.graph.withColumn("p", F.col("p") - 0.45), 3).groupBy("run", "v").agg(F.count("*").alias("n"))
+    return CA.live_edges(PG.by_in_degree(s.graph), 3).groupBy("run", "v").agg(F.count("*").alias("n"))
 
 
 @query("cascade_dynamic_two_rounds", "SELECT v, g, round FROM active2")
@@ -200,30 +202,45 @@ def _(spark, d):
     return CA.run_dynamic(s.graph, s.seeds, batches, max_rounds=2, mode="fixed", tau=TAU).select("v", "g", "round")
 
 
-@query("cascade_dynamic")
+_STEP = """SELECT v, g, {n} AS round FROM (
+      SELECT q.v, q.dst AS g FROM live{n} q JOIN reached{m} r ON r.v = q.v AND r.g = q.src AND r.round = {m} UNION SELECT i.v, f.g FROM (SELECT DISTINCT v FROM seeds) i JOIN fresh{n} f USING (v)) x
+      WHERE NOT EXISTS (SELECT 1 FROM reached{m} r WHERE r.v = x.v AND r.g = x.g)"""
+_DYNAMIC = {
+    "fresh3": _fresh(3),
+    "act3": _act(3),
+    "graph3": _updated("graph2", 3),
+    "reached0": "SELECT v, g, 0 AS round FROM seeds",
+    **{f"live{n}": f"SELECT v, src, dst FROM (SELECT v, src, dst, p / count(*) OVER (PARTITION BY v, dst) AS p FROM graph{n}) WHERE p > {uniform_sql('threshold', '0', 'src', 'dst')}" for n in (1, 2, 3)},
+    **{f"reached{n}": f"SELECT * FROM reached{n - 1} UNION ALL " + _STEP.format(n=n, m=n - 1) for n in (1, 2, 3)},
+    # After the last batch the graph stays, and what the newest groups reach over it is a closure that avoids who was active.
+    "tail": "SELECT v, g FROM reached3 WHERE round = 3 UNION SELECT q.v, q.dst FROM tail t JOIN live3 q ON q.v = t.v AND q.src = t.g WHERE NOT EXISTS (SELECT 1 FROM reached3 r WHERE r.v = q.v AND r.g = q.dst AND r.round < 3)",
+}
+
+
+@query("cascade_dynamic", "SELECT v, count(*)::DOUBLE AS spread, round(count(*) / (SELECT count(*) FROM e0_home)::DOUBLE, 6) AS influence FROM (SELECT v, g FROM reached3 UNION SELECT v, g FROM tail) GROUP BY 1", **_DYNAMIC)
 def _(spark, d):
     s = Spread(spark, d)
     batches = [(s.fresh(i), s.active_after(i)) for i in (1, 2, 3)]
-    return CA.spread(CA.run_dynamic(s.graph.withColumn("p", F.col("p") - 0.45), s.seeds, batches, 2), s.e0.count(), 2)
+    active = CA.run_dynamic(s.graph, s.seeds, batches, scale=PG.by_in_degree)
+    return CA.spread(active, s.e0.count()).select("v", "spread", F.round("influence", 6).alias("influence"))
 
 
 _PREDICT = dict(
-    live=_LIVE.format(uniform_sql("threshold", "run", "src", "dst")).replace("graph_home", "(SELECT * FROM graph_home WHERE v = (SELECT min(v) FROM one_item))").replace("[0, 1, 2]", "[0, 1]").replace("0.45e0", "0.8e0"),
-    reach="SELECT run, v, s.g AS s, s.g FROM e0_home s, (SELECT unnest([0, 1]) AS run), (SELECT min(v) AS v FROM one_item) UNION SELECT l.run, l.v, r.s, l.dst FROM reach r JOIN live l ON l.run = r.run AND l.v = r.v AND l.src = r.g",
+    live=_LIVE.format(uniform_sql("threshold", "run", "src", "dst")).replace("[0, 1, 2]", "[0, 1]"),
+    reach="SELECT run, v, s.g AS s, s.g FROM e0_home s, (SELECT unnest([0, 1]) AS run), window_items UNION SELECT l.run, l.v, r.s, l.dst FROM reach r JOIN live l ON l.run = r.run AND l.v = r.v AND l.src = r.g",
 )
 
 
 @query("influence_predicted", "SELECT v, s AS g, round(count(*) / 2.0e0 / (SELECT count(*) FROM e0_home), 6) AS influence FROM reach GROUP BY 1, 2", **_PREDICT)
 def _(spark, d):
     s = Spread(spark, d)
-    one = s.graph.where(F.col("v") == s.first).withColumn("p", F.col("p") - 0.8)
-    return CA.predict(one, s.e0, s.e0.count(), 2).select("v", "g", F.round("influence", 6).alias("influence"))
+    return CA.predict(PG.by_in_degree(s.graph), s.e0, s.e0.count(), 2).select("v", "g", F.round("influence", 6).alias("influence"))
 
 
 @query("influence_sketched")
 def _(spark, d):
     s = Spread(spark, d)
-    live = settle(CA.live_edges(s.graph.where(F.col("v") == s.first).withColumn("p", F.col("p") - 0.8), 1), "live")
+    live = settle(CA.live_edges(PG.by_in_degree(s.graph), 1), "live")
     return CA.sketch_reach(live, s.e0, 8)
 
 

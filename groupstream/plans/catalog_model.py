@@ -22,6 +22,9 @@ from . import cte
 from .cte import D, TAGS, columns, compose, sigmoid, vdot, vmap, vmean, vsum, vzeros, vzip
 
 
+ASK = 50
+
+
 def spread(vec: str, d: int = D, name: str = "x") -> list[Column]:
     """A vector as columns of rounded numbers."""
     return [(F.round(F.get(F.col(vec), F.lit(i)), 6) + F.lit(0.0)).alias(f"{name}{i}") for i in range(d)]
@@ -65,9 +68,8 @@ class Home:
 
     @cached_property
     def window(self) -> DataFrame:
-        """The twenty items with the smallest keys, as a window of arrivals."""
-        first = self.t.part.select(F.col("p_partkey").alias("v")).orderBy("v").limit(20)
-        return self.e0_items.join(F.broadcast(first), "v", "left_semi")
+        """The arriving items that every search asks for: all whose key is divisible by 50."""
+        return self.e0_items.where(f"v % {ASK} = 0")
 
 
 QUERIES: dict = {}
@@ -228,11 +230,11 @@ def _(spark, d):
 
 @query(
     "aggregate_neighbours_isolated",
-    f"SELECT e.g, {columns(f'coalesce(x.agg, {vzeros()})')} FROM e0_home e LEFT JOIN (SELECT l.dst AS g, {vsum(vmap('s.vec', '{} * l.lap'))} AS agg FROM lap_home l JOIN e0_home s ON s.g = l.src WHERE l.src % 3 = 0 AND l.dst % 3 = 0 GROUP BY 1) x USING (g)",
+    f"SELECT e.g, {columns(f'coalesce(x.agg, {vzeros()})')} FROM e0_home e LEFT JOIN (SELECT l.dst AS g, {vsum(vmap('s.vec', '{} * l.lap'))} AS agg FROM lap_home l JOIN e0_home s ON s.g = l.src WHERE l.src // 5 = l.dst // 5 GROUP BY 1) x USING (g)",
 )
 def _(spark, d):
     h = Home(spark, d)
-    return L.aggregate_neighbours(h.lap.where("src % 3 = 0 and dst % 3 = 0"), h.e0, D).select("g", *spread("agg"))
+    return L.aggregate_neighbours(h.lap.where("src div 5 = dst div 5"), h.e0, D).select("g", *spread("agg"))
 
 
 for _n in (1, 2):
@@ -279,12 +281,12 @@ def _degree_share(h: Home) -> DataFrame:
     return h.lap.groupBy(F.col("src").alias("g")).agg(F.count("*").alias("k")).join(n).select("g", (F.col("k") / F.col("n")).alias("influence"))
 
 
-_TOP = "SELECT v, rank, g, score FROM (SELECT *, row_number() OVER (PARTITION BY v ORDER BY score DESC, g)::INTEGER AS rank FROM ({}))"
+_TOP = "SELECT v, rank, g, round(raw, 6) + 0.0e0 AS score FROM (SELECT *, row_number() OVER (PARTITION BY v ORDER BY raw DESC, g)::INTEGER AS rank FROM ({}))"
 
 
 @query(
     "relevance_topk",
-    _TOP.format(f"SELECT i.v, s.g, round((1 - 0.5e0) * {vdot('i.vec', 's.vec')} + 0.5e0 * coalesce(f.influence, 0.0e0), 6) + 0.0e0 AS score FROM window_items i, side_home s LEFT JOIN infl f ON f.g = s.g") + " WHERE rank <= 20",
+    _TOP.format(f"SELECT i.v, s.g, round((1 - 0.5e0) * {vdot('i.vec', 's.vec')} + 0.5e0 * coalesce(f.influence, 0.0e0), 12) + 0.0e0 AS raw FROM window_items i, side_home s LEFT JOIN infl f ON f.g = s.g") + " WHERE rank <= 20",
     hist_home=_HIST,
     side_home=_SIDE,
     infl=_INFL,
@@ -316,30 +318,46 @@ def _(spark, d):
     return R.pairwise_loss(triples, _sides(h), h.e0_items, D, 0.5, 1.0).select("n", F.round("loss", 4).alias("loss"))
 
 
-def train_encoder(h: Home, epochs: int = 8, layers: int = 2, rate: float = 1e-1, penalty: float = 1e-6, edges: DataFrame | None = None, inputs: int = D + TAGS, **kw):
-    """Weights and log of the encoder on the home family's training pairs."""
+def inputs(h: Home) -> tuple[DataFrame, DataFrame]:
+    """(g, vec) and (v, vec): latent vectors with the tag vectors behind them, the first layer's inputs."""
     none = F.array(*[F.lit(0.0)] * TAGS)
     xg = h.latent.join(h.group_tags.select("g", F.col("vec").alias("t")), "g", "left").select("g", F.concat("vec", F.coalesce("t", none)).alias("vec"))
     xv = h.items.join(h.tagged.select("v", F.col("vec").alias("t")), "v", "left").select("v", F.concat("vec", F.coalesce("t", none)).alias("vec"))
+    return xg, xv
+
+
+def packed(h: Home, edges: DataFrame | None = None, layers: int = 2, shards: int = 4) -> DataFrame:
+    """The training pairs of the home family and what their shards need."""
+    xg, xv = inputs(h)
     pairs = h.sliced.where("split = 'train'").select("g", "v").distinct()
     triples = R.training_triples(pairs, h.t.part.select(F.col("p_partkey").alias("v")))
-    sharded = TR.shards(xg, xv, (h.lap if edges is None else edges).select("src", "dst", "lap"), pairs, triples.select("g", "pos", "neg"), 4).persist()
-    try:
-        return TR.train(sharded, TR.new_weights(D, inputs, inputs, layers), layers, rate, penalty, epochs, **kw)
-    finally:
-        sharded.unpersist()
+    edges = (h.lap if edges is None else edges).select("src", "dst", "lap")
+    return settle(TR.shards(xg, xv, edges, pairs, triples.select("g", "pos", "neg"), shards, layers), "shards")
+
+
+def train_encoder(h: Home, epochs: int = 8, layers: int = 2, rate: float = 1e-1, penalty: float = 1e-6, edges: DataFrame | None = None, held: DataFrame | None = None, **kw):
+    """Weights and log of the encoder on the home family's training pairs."""
+    held = packed(h, edges, layers) if held is None else held
+    return TR.train(held, TR.new_weights(D, D + TAGS, D + TAGS, layers), layers, rate, penalty, epochs, **kw)
+
+
+def _losses(spark, log: list[dict]) -> DataFrame:
+    return spark.createDataFrame([(r["epoch"], r["loss"], r["seconds"]) for r in log], "epoch int, loss double, seconds double")
 
 
 @query("encoder_training")
 def _(spark, d):
-    _, log = train_encoder(Home(spark, d))
-    return spark.createDataFrame([(r["epoch"], r["loss"]) for r in log], "epoch int, loss double")
+    return _losses(spark, train_encoder(Home(spark, d))[1])
+
+
+@query("encoder_training_batches")
+def _(spark, d):
+    return _losses(spark, train_encoder(Home(spark, d), epochs=3, batches=4)[1])
 
 
 @query("encoder_training_skipped_broadcasts")
 def _(spark, d):
-    _, log = train_encoder(Home(spark, d), epochs=4, sync_every=2)
-    return spark.createDataFrame([(r["epoch"], r["loss"]) for r in log], "epoch int, loss double")
+    return _losses(spark, train_encoder(Home(spark, d), epochs=4, sync_every=2)[1])
 
 
 @query(

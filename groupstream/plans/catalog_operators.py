@@ -2,15 +2,19 @@
 
 from __future__ import annotations
 
+import uuid
+
+import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame, Observation, Window
 from pyspark.sql import functions as F
 
 from ..functions.register import register
 from ..model import groups as G
 from ..operators.joins import asof, interval_join, salted_join, top_n
 from ..sources.arrivals import ItemArrivals
-from ..sources.storage import round_trip
+from ..index import lsh
+from ..sources.storage import round_trip, save_bucketed, settle, shared_dir
 from ..sources.tables import Tables, seconds
 from ..streaming import jobs
 from .cte import compose
@@ -231,14 +235,105 @@ def _(spark, d):
     return spark.read.format("item_arrivals").option("rows", 200).option("partitions", 4).load()
 
 
-@query("grouped_udaf", "SELECT label, round(avg(embedding[1]::DOUBLE), 6) AS mean FROM embeddings GROUP BY 1")
+@query("grouped_udaf", "SELECT label, " + ", ".join(f"round(avg(embedding[{i + 1}]::DOUBLE), 6) AS x{i}" for i in range(8)) + " FROM embeddings GROUP BY 1")
 def _(spark, d):
-    @F.pandas_udf("double")
-    def mean(x: pd.Series) -> float:
-        return float(x.mean())
+    """The mean vector of each label, as a grouped function over Arrow batches."""
+
+    def mean(rows: pd.DataFrame) -> pd.DataFrame:
+        return pd.DataFrame({"label": [rows["label"].iloc[0]], "mean": [np.array(rows["vec"].tolist(), np.float64).mean(0)]})
+
+    rows = Tables(spark, d).embeddings.select("label", F.slice("embedding", 1, 8).cast("array<double>").alias("vec"))
+    found = rows.groupBy("label").applyInPandas(mean, "label int, mean array<double>")
+    return found.select("label", *[F.round(F.get("mean", F.lit(i)), 6).alias(f"x{i}") for i in range(8)])
+
+
+_LINES_BY_NATION = "SELECT nk, count(*) AS n, round(sum(price), 2) AS paid FROM lines JOIN nation ON n_nationkey = nk GROUP BY 1"
+for _hint in ("broadcast", "merge", "shuffle_hash", "shuffle_replicate_nl"):
+
+    @query(f"join_hint_{_hint}", _LINES_BY_NATION)
+    def _(spark, d, hint=_hint):
+        t = Tables(spark, d)
+        nations = t.nation.select(F.col("n_nationkey").cast("long").alias("nk"))
+        return t.lines().join(nations.hint(hint), "nk").groupBy("nk").agg(F.count("*").alias("n"), F.round(F.sum("price"), 2).alias("paid"))
 
-    rows = Tables(spark, d).embeddings.select("label", F.get("embedding", F.lit(0)).cast("double").alias("x"))
-    return rows.groupBy("label").agg(F.round(mean("x"), 6).alias("mean"))
+
+@query("grouping_sets", "SELECT c_nationkey, c_mktsegment, count(*) AS n, grouping_id(c_nationkey, c_mktsegment) AS level FROM customer GROUP BY GROUPING SETS ((c_nationkey), (c_mktsegment), (c_nationkey, c_mktsegment))")
+def _(spark, d):
+    c = Tables(spark, d).customer
+    sets = [[F.col("c_nationkey")], [F.col("c_mktsegment")], [F.col("c_nationkey"), F.col("c_mktsegment")]]
+    return c.groupingSets(sets, "c_nationkey", "c_mktsegment").agg(F.count("*").alias("n"), F.grouping_id().alias("level"))
+
+
+@query("approximate_distinct", "SELECT event_type, true AS users_near, true AS median_near, true AS merged_near FROM events GROUP BY 1")
+def _(spark, d):
+    """Distinct users by HyperLogLog, sketches of the days merged to one, and an approximate median, each within its error."""
+    events = Tables(spark, d).events.select("event_type", "user_id", "value", F.to_date("ts").alias("day"))
+    per_day = events.groupBy("event_type", "day").agg(F.hll_sketch_agg("user_id").alias("sketch"))
+    merged = per_day.groupBy("event_type").agg(F.hll_sketch_estimate(F.hll_union_agg("sketch")).alias("merged"))
+    both = events.groupBy("event_type").agg(F.approx_count_distinct("user_id", 0.02).alias("users"), F.countDistinct("user_id").alias("exact"), F.percentile_approx("value", 0.5, 10_000).alias("m"), F.percentile("value", F.lit(0.48)).alias("low"), F.percentile("value", F.lit(0.52)).alias("high"))
+    near = lambda c: F.abs(F.col(c) - F.col("exact")) <= 0.1 * F.col("exact") + 3
+    return both.join(merged, "event_type").select("event_type", near("users").alias("users_near"), F.col("m").between(F.col("low"), F.col("high")).alias("median_near"), near("merged").alias("merged_near"))
+
+
+@query("observed_metrics", "SELECT count(*) AS n, count(*) FILTER (event_type = 'purchase') AS purchases, round(sum(value), 4) AS total FROM events")
+def _(spark, d):
+    """Counters that ride along with another job instead of a pass of their own."""
+    seen = Observation(f"events-{uuid.uuid4().hex}")
+    events = Tables(spark, d).events.observe(seen, F.count(F.lit(1)).alias("n"), F.count(F.when(F.col("event_type") == "purchase", 1)).alias("purchases"), F.round(F.sum("value"), 4).alias("total"))
+    events.select("user_id", "event_type", "value").write.format("noop").mode("overwrite").save()
+    found = seen.get
+    return spark.createDataFrame([(found["n"], found["purchases"], found["total"])], "n long, purchases long, total double")
+
+
+@query("zorder_cross_check", "SELECT p_partkey, " + " | ".join(f"(((x{i} >> {b}) & 1) << {b * 3 + 2 - i})" for b in range(8) for i in range(3)) + " AS z FROM (SELECT p_partkey, p_partkey & 255 AS x0, (p_partkey >> 2) & 255 AS x1, (p_size & 255)::BIGINT AS x2 FROM part)")
+def _(spark, d):
+    """Z order by Arrow batches; its SQL, and the column expression of the index, give the same keys."""
+
+    @F.pandas_udf("long")
+    def weave(cells: pd.Series) -> pd.Series:
+        x = np.array(cells.tolist(), np.int64).reshape(len(cells), 3)
+        key = np.zeros(len(x), np.int64)
+        for b in range(7, -1, -1):
+            for i in range(3):
+                key = (key << 1) | ((x[:, i] >> b) & 1)
+        return pd.Series(key)
+
+    k = F.col("p_partkey")
+    cells = F.array(k.bitwiseAND(F.lit(255)), F.shiftright(k, 2).bitwiseAND(F.lit(255)), F.col("p_size").cast("long").bitwiseAND(F.lit(255)))
+    rows = Tables(spark, d).part.select("p_partkey", cells.alias("cells"))
+    both = rows.select("p_partkey", weave("cells").alias("z"), lsh.interleave(F.col("cells"), 3, 8).alias("own"))
+    return both.select("p_partkey", F.when(F.col("z") == F.col("own"), F.col("z")).alias("z"))
+
+
+@query("table_function", "SELECT p_partkey, unnest(range(1, len(words) + 1)) AS place, unnest(words) AS word FROM (SELECT p_partkey, string_split(p_name, ' ') AS words FROM part)")
+def _(spark, d):
+    """A table function: each part's words with their places, joined laterally."""
+
+    @F.udtf(returnType="place bigint, word string")
+    class Words:
+        def eval(self, name: str):
+            for place, word in enumerate((name or "").split(" "), 1):
+                yield place, word
+
+    spark.udtf.register("gs_words", Words)
+    register(spark, Tables(spark, d))
+    return spark.sql("SELECT p_partkey, w.place, w.word FROM gs_part, LATERAL gs_words(p_name) w")
+
+
+@query("bucketed_join", "SELECT o.o_custkey, count(*) AS n FROM orders o JOIN lineitem l ON l.l_orderkey = o.o_orderkey GROUP BY 1")
+def _(spark, d):
+    """Both sides stored in buckets of the order key, so that the join reads them without an exchange."""
+    t, tag = Tables(spark, d), uuid.uuid4().hex[:12]
+    names = f"gs_orders_{tag}", f"gs_lines_{tag}"
+    for name, rows in zip(names, (t.orders.select(F.col("o_orderkey").alias("k"), "o_custkey"), t.lineitem.select(F.col("l_orderkey").alias("k")))):
+        save_bucketed(rows, name, 8, "k", "k", f"{shared_dir(spark)}/{name}")
+    left, right = (spark.table(n) for n in names)
+    return left.join(right.hint("merge"), "k").groupBy("o_custkey").agg(F.count("*").alias("n"))
+
+
+@query("round_trip_text", "SELECT event_id || ' ' || event_type AS value FROM events")
+def _(spark, d):
+    return round_trip(Tables(spark, d).events.select(F.concat_ws(" ", "event_id", "event_type").alias("value")), "text")
 
 
 # Streams: the replay of the events file, checked against the same question asked in SQL.
@@ -266,3 +361,22 @@ def _(spark, d):
 @query("stream_purchases_after_views", f"SELECT count(*) AS n FROM events v JOIN events p ON v.user_id = p.user_id AND v.event_type = 'view' AND p.event_type = 'purchase' AND {_SECOND.format('p.ts')} - {_SECOND.format('v.ts')} BETWEEN 0 AND 86400")
 def _(spark, d):
     return jobs.run_to_memory(jobs.purchases_after_views(jobs.events_stream(spark, d))).agg(F.count("*").alias("n"))
+
+
+@query("stream_sliding", "SELECT start, event_type, count(*) AS n FROM (SELECT event_type, date_diff('day', DATE '1970-01-01', ts::DATE) - k AS start FROM events, (SELECT unnest(range(7)) AS k)) GROUP BY 1, 2")
+def _(spark, d):
+    out = jobs.run_to_memory(jobs.sliding(jobs.events_stream(spark, d)), "complete")
+    return out.select(F.datediff(F.col("start").cast("timestamp_ntz"), F.lit("1970-01-01").cast("date")).cast("long").alias("start"), "event_type", "n")
+
+
+@query("stream_sessions", SQL["events_session"])
+def _(spark, d):
+    out = jobs.run_to_memory(jobs.sessions(jobs.events_stream(spark, d), "1801 seconds"), "complete")
+    return out.select("user_id", _epoch("start").alias("start"), (_epoch("end") - 1).alias("end"), "n")
+
+
+@query("stream_late_events", f"SELECT count(*) AS arrived, count(*) FILTER (s < mark) AS too_late, count(*) FILTER (s >= mark) AS in_time FROM (SELECT {_SECOND.format('ts')} AS s FROM events WHERE event_type = 'purchase'), (SELECT max(epoch_us(ts)) / 1000000.0 - 3600 AS mark FROM events WHERE event_type <> 'purchase')".replace("floor(epoch(ts))::BIGINT AS s FROM events WHERE event_type = 'purchase'", "epoch_us(ts) / 1000000.0 AS s FROM events WHERE event_type = 'purchase'"))
+def _(spark, d):
+    """Purchases arrive after all other events have moved the watermark: those that it has passed are dropped, and counted."""
+    events = Tables(spark, d).events
+    return jobs.late_rows(events.where("event_type <> 'purchase'"), events.where("event_type = 'purchase'"), "1 hour")

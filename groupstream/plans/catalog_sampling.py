@@ -276,10 +276,10 @@ def _(spark, d):
     return out.select("a", "b", *[F.round(c, 9).alias(c) for c in ("best", "plain", "lower", "upper", "error")], "holds")
 
 
-@query("layer_sample", f"SELECT 2 AS layer, src, dst FROM hop2 UNION ALL SELECT 1, src, dst FROM (SELECT src, dst, row_number() OVER (PARTITION BY dst ORDER BY {uniform_sql('layer1', 'src', 'dst')}, src) AS n FROM sym_home WHERE dst IN (SELECT g FROM seeds UNION SELECT src FROM hop2)) WHERE n <= 3", seeds="SELECT DISTINCT g FROM home WHERE g % 10 = 0", hop2=f"SELECT src, dst FROM (SELECT src, dst, row_number() OVER (PARTITION BY dst ORDER BY {uniform_sql('layer2', 'src', 'dst')}, src) AS n FROM sym_home WHERE dst IN (SELECT g FROM seeds)) WHERE n <= 3")
+@query("layer_sample", f"SELECT 2 AS layer, src, dst FROM hop2 UNION ALL SELECT 1, src, dst FROM (SELECT src, dst, row_number() OVER (PARTITION BY dst ORDER BY {uniform_sql('layer1', 'src', 'dst')}, src) AS n FROM sym_home WHERE dst IN (SELECT g FROM seeds UNION SELECT src FROM hop2)) WHERE n <= 3", seeds="SELECT DISTINCT g FROM home", hop2=f"SELECT src, dst FROM (SELECT src, dst, row_number() OVER (PARTITION BY dst ORDER BY {uniform_sql('layer2', 'src', 'dst')}, src) AS n FROM sym_home WHERE dst IN (SELECT g FROM seeds)) WHERE n <= 3")
 def _(spark, d):
     h = M.Home(spark, d)
-    return DR.layer_sample(h.lap, M.G.home_groups(h.t).where("g % 10 = 0").select("g"), 3, 2)
+    return DR.layer_sample(h.lap, M.G.home_groups(h.t).select("g"), 3, 2)
 
 
 @query("subgraph_sample", f"SELECT a, b FROM und_home ORDER BY {uniform_sql('subgraph', 'a', 'b')}, a, b LIMIT 100")

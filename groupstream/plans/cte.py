@@ -118,12 +118,11 @@ CTES: dict[str, str] = {
     "agg1_home": neighbours("e1_home"),
     "e2_home": layer("e1_home", "agg1_home", 3),
     "und_home": "SELECT src AS a, dst AS b, lap, deg_src AS deg_a, deg_dst AS deg_b, least((src // 5) % 5, (dst // 5) % 5) AS ci, greatest((src // 5) % 5, (dst // 5) % 5) AS cj FROM lap_home WHERE src < dst",
-    "window_items": "SELECT * FROM e0_item WHERE v IN (SELECT p_partkey FROM part ORDER BY p_partkey LIMIT 20)",
+    "window_items": "SELECT * FROM e0_item WHERE v % 50 = 0",
     "activity": f"SELECT h.g, {DAY.format('e.ts')} AS day FROM events e JOIN home h ON h.u = e.user_id",
     "act_home": "SELECT g, count(CASE WHEN day > now - 7 THEN 1 END) AS recent, count(*) AS total, count(CASE WHEN day > now - 7 THEN 1 END) / count(*)::DOUBLE AS act FROM activity, (SELECT max(day) - 10 AS now FROM activity) WHERE day <= now GROUP BY g",
     "sim_home": f"SELECT src, dst, {vcosine('x.vec', 'y.vec')} AS sim FROM sym_home JOIN e2_home x ON x.g = src JOIN e2_home y ON y.g = dst",
-    "one_item": "SELECT * FROM window_items ORDER BY v LIMIT 3",
-    "will_home": f"SELECT v, g, {sigmoid(vdot('i.vec', 'e.vec'))} AS will FROM one_item i, e2_home e",
+    "will_home": f"SELECT v, g, {sigmoid(vdot('i.vec', 'e.vec'))} AS will FROM window_items i, e2_home e",
     "graph_home": """SELECT a.v, s.src, s.dst, coalesce(t.act, 0.0e0) AS a_src, a.will AS w_src, b.will AS w_dst, s.sim,
       0.1e0 * (coalesce(t.act, 0.0e0) * a.will) + 0.7e0 * s.sim + (1 - 0.1e0 - 0.7e0) * b.will AS p
       FROM sim_home s LEFT JOIN act_home t ON t.g = s.src JOIN will_home a ON a.g = s.src JOIN will_home b ON b.g = s.dst AND b.v = a.v""",

@@ -1,4 +1,9 @@
-"""Whole recommendation pipelines, composed from the parts: the enhanced one, its ablations, and the static predecessor."""
+"""Whole recommendation pipelines, composed from the parts: the enhanced one, its ablations, and the static predecessor.
+
+A run learns interests slice by slice (on sampled graphs or whole ones), forecasts the groups' vectors after the last slice,
+predicts from them how far each arriving item would spread from each group, and finds every item's best groups through the
+index or by the exhaustive way.
+"""
 
 from __future__ import annotations
 
@@ -10,6 +15,7 @@ from pyspark.sql import functions as F
 from ..encoder import layers as L
 from ..encoder import relevance as R
 from ..evaluation import measures as ME
+from ..forecast import interest
 from ..index import search
 from ..index.build import GroupIndex
 from ..influence import cascade as CA
@@ -18,77 +24,140 @@ from ..influence import prop_graph as PG
 from ..model.interactions import SLICES
 from ..sampling import overlap as O
 from ..sources.storage import settle
+from . import catalog_model as M
 from .catalog_influence import Spread
 from .catalog_sampling import OVERLAP, SHARE, Sampler
 from .cte import D
 
-SHIFT = 0.45  # weights of the small repeatable model are high; thresholds meet them after this shift
+K, LIST = 20, 5
+#: What does not depend on any option, and is worked out once for all variants of a run.
+SHARED = ("edges", "e0", "und", "quotas", "now", "counts", "sliced", "learned", "first_inputs")
 
 
 class Pipeline(Sampler, Spread):
-    """One run over the home family. Options switch the sampler, the cascade and the index on or off."""
+    """One run over the home family.
+
+    sampler: learn on sampled graphs, else on whole ones. cascade: 'dynamic', 'static' or 'none'. index: search through it,
+    else exhaustively. forecast: take the forecaster's vectors, else those of the last slice. drop, g1, g2: the factors of a
+    propagation edge. learning: further options of interest.learn.
+    """
 
-    def __init__(self, spark, sf_dir, sampler: bool = True, cascade: str = "dynamic", index: bool = True, alpha_r: float = 1e-6, alpha_v: float = 0.8, layers: int = 2, g1: float = FA.GAMMA1, g2: float = FA.GAMMA2, drop: str | None = None, base: "Pipeline | None" = None):
+    def __init__(self, spark, sf_dir, sampler: bool = True, cascade: str = "dynamic", index: bool = True, forecast: bool = True, alpha_r: float = 1e-6, alpha_v: float = 0.8, layers: int = 2, g1: float = FA.GAMMA1, g2: float = FA.GAMMA2, drop: str | None = None, learning: dict | None = None, runs: int = 1, base: "Pipeline | None" = None):
         super().__init__(spark, sf_dir)
-        if base is not None:  # what no option changes is worked out once for all variants
-            self.__dict__.update({k: getattr(base, k) for k in ("edges", "e0", "und", "quotas", "now", "first", "three", "counts", "sliced")})
-        self.sampler, self.cascade, self.use_index = sampler, cascade, index
-        self.alpha_r, self.alpha_v, self.n_layers, self.factors = alpha_r, alpha_v, layers, {"g1": g1, "g2": g2, "drop": drop}
+        if base is not None:
+            self.__dict__.update({k: getattr(base, k) for k in SHARED})
+        self.sampler, self.cascade, self.use_index, self.forecast, self.runs = sampler, cascade, index, forecast, runs
+        self.alpha_r, self.alpha_v, self.n_layers, self.factors, self.learning = alpha_r, alpha_v, layers, {"g1": g1, "g2": g2, "drop": drop}, learning or {}
+
+    @cached_property
+    def learned(self) -> dict:
+        """What was learned so far, by the options that learning depends on."""
+        return {}
+
+    @cached_property
+    def first_inputs(self) -> tuple[DataFrame, DataFrame]:
+        groups, items = M.inputs(self)
+        return settle(groups, "inputs"), settle(items, "inputs")
+
+    def training_graphs(self) -> DataFrame:
+        """(slice, src, dst, lap): the relation graph of each slice that the encoders propagate over, sampled or whole."""
+        if self.sampler:
+            edges = O.snapshot_sequence(self.und, self.counts, SLICES, SHARE, OVERLAP, quotas=self.quotas).select("slice", "a", "b", "lap")
+        else:
+            edges = None
+            for t in range(SLICES):
+                now = O.slice_graph(self.und, self.counts, t).select(F.lit(t).alias("slice"), "a", "b", "lap")
+                edges = now if edges is None else edges.unionByName(now)
+        both = edges.select("slice", F.col("a").alias("src"), F.col("b").alias("dst"), "lap")
+        return settle(both.unionByName(both.select("slice", F.col("dst").alias("src"), F.col("src").alias("dst"), "lap")), "graphs")
 
     def training_edges(self) -> DataFrame:
-        """The relation graph that the encoder propagates over: the last sampled slice, or all of it."""
-        if not self.sampler:
-            return self.lap
-        last = O.snapshot_sequence(self.und, self.counts, SLICES, SHARE, OVERLAP).where(F.col("slice") == SLICES - 1).select("a", "b", "lap")
-        both = last.select(F.col("a").alias("src"), F.col("b").alias("dst"), "lap")
-        return settle(both.unionByName(both.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "lap")), "sampled")
+        """(src, dst, lap) of the last slice's graph."""
+        return self.training_graphs().where(F.col("slice") == SLICES - 1).select("src", "dst", "lap")
+
+    @cached_property
+    def interest(self) -> interest.Interest:
+        key = (self.sampler, self.n_layers, *sorted(self.learning.items()))
+        if key not in self.learned:
+            groups, items = self.first_inputs
+            self.learned[key] = interest.learn(groups, items, self.training_graphs(), self.sliced.where("split = 'train'"), SLICES, D, self.n_layers, **self.learning)
+        return self.learned[key]
 
     @cached_property
     def vectors(self) -> DataFrame:
-        return L.encode_groups(self.training_edges(), self.e0, self.layers[: self.n_layers], D)
+        """(g, vec): where the groups' interests are expected to be."""
+        return settle(self.interest.predicted() if self.forecast else self.interest.last(), "vectors")
+
+    @cached_property
+    def item_vectors(self) -> DataFrame:
+        return settle(self.interest.items(self.first_inputs[1]), "item-vectors")
 
-    def influence(self, groups: DataFrame, runs: int = 1) -> DataFrame:
-        """(g, influence) of the first item of the window, per group as the only seed."""
+    @cached_property
+    def asked(self) -> DataFrame:
+        """(v, vec): the arriving items, refreshed by the groups that touched them in the last 30 days."""
+        train = self.sliced.where("split = 'train'")
+        last = F.broadcast(train.agg((F.max("day") - 30).alias("since")))
+        recent = train.join(last).where("day > since").select("g", "v").distinct()
+        return settle(L.refresh_items(self.item_vectors.where(f"v % {M.ASK} = 0"), recent, self.vectors, self.alpha_v, D), "asked")
+
+    @cached_property
+    def graph(self) -> DataFrame:
+        """The propagation graphs of the arriving items."""
+        return settle(PG.build(FA.similarity(self.lap, self.vectors, D), self.active, FA.willingness(self.asked, self.vectors, D), **self.factors), "graph")
+
+    def spread(self, seeds: DataFrame, cascade: str | None = None) -> DataFrame:
+        """(s, v, spread, influence) of seed sets (s, v, g) over the propagation graphs."""
+        n = self.vectors.count()
+        if (cascade or self.cascade) == "static":
+            return CA.spread(CA.run(PG.by_in_degree(self.graph), seeds, self.runs), n, self.runs)
+        batches = [(self.fresh(i), self.active_after(i)) for i in (1, 2)]
+        return CA.spread(CA.run_dynamic(self.graph, seeds, batches, self.runs, weights=self.factors, scale=PG.by_in_degree), n, self.runs)
+
+    @cached_property
+    def influences(self) -> DataFrame:
+        """(v, g, influence): how far each arriving item would spread from each group alone."""
+        groups = self.vectors.select("g").join(self.asked.select("v"))
         if self.cascade == "none":
-            return groups.select("g", F.lit(0.0).alias("influence"))
-        one = self.window.orderBy("v").limit(1)
-        graph = PG.build(FA.similarity(self.lap, groups, D), self.active, FA.willingness(one, groups, D), **self.factors)
-        graph = settle(graph.withColumn("p", F.col("p") - SHIFT), "graph")
-        n = groups.count()
-        seeds = groups.select("g").join(one.select("v")).select(F.col("g").alias("s"), "v", "g")
-        if self.cascade == "static":
-            active = CA.run(graph, seeds, runs)
-        else:
-            batches = [(self.fresh(i), self.active_after(i)) for i in (1, 2)]
-            active = CA.run_dynamic(graph, seeds, batches, runs, weights=self.factors)
-        return CA.spread(active, n, runs).select(F.col("s").alias("g"), "influence")
+            return groups.select("v", "g", F.lit(0.0).alias("influence"))
+        found = self.spread(groups.select(F.col("g").alias("s"), "v", "g"))
+        return settle(found.select("v", F.col("s").alias("g"), "influence"), "influences")
 
     @cached_property
-    def spreads(self) -> DataFrame:
-        return settle(self.influence(self.vectors), "spreads")
-
-    def recommend(self, items: DataFrame | None = None, k: int = 20, budget: int = 60) -> DataFrame:
-        """(v, rank, g, score) for a window of items."""
-        groups = self.vectors
-        recent = self.group_lines.where(F.col("day") > self.group_lines.agg(F.max("day")).first()[0] - 30).select("g", "v").distinct()
-        window = L.refresh_items(self.window if items is None else items, recent, groups, self.alpha_v, D)
-        sides = R.group_side(groups, R.history_vectors(self.sliced.where("split = 'train'").select("g", "v").distinct(), self.e0_items, D), D)
-        g, v = R.augment(sides, window, self.spreads, self.alpha_r)
-        g, v = settle(g, "sides"), settle(v, "items")
+    def sides(self) -> DataFrame:
+        """(g, vec): the groups' vectors with their history added."""
+        seen = self.sliced.where("split = 'train'").select("g", "v").distinct()
+        return settle(R.group_side(self.vectors, R.history_vectors(seen, self.item_vectors, D), D), "sides")
+
+    def scored(self, pairs: DataFrame) -> DataFrame:
+        """(v, g, score): the whole relevance of pairs (v, g), with the influence of that group for that item."""
+        rows = pairs.join(self.asked.withColumnRenamed("vec", "iv"), "v").join(self.sides.withColumnRenamed("vec", "gv"), "g").join(self.influences, ["v", "g"], "left")
+        like = M.dot(F.col("iv"), F.col("gv"), D)
+        return rows.select("v", "g", ((1 - self.alpha_r) * like + self.alpha_r * F.coalesce("influence", F.lit(0.0))).alias("score"))
+
+    def recommend(self, k: int = K, budget: int = 60) -> DataFrame:
+        """(v, rank, g, score) of the arriving items.
+
+        The index knows a group's mean influence, as a further coordinate; the candidates that it finds are ranked with the
+        influence for the item itself.
+        """
         if not self.use_index:
-            return search.batch_match(g, v, k, D + 1)
-        return GroupIndex.build(g, D + 1, axes=2, n_hash=2, bits=6, width=0.05, rows_per_block=16, buckets=64).top_k(v, k, budget)
+            return R.top_k(self.scored(self.asked.select("v").join(self.vectors.select("g"))), k)
+        mean = self.influences.groupBy("g").agg(F.avg("influence").alias("influence"))
+        groups, items = R.augment(self.sides, self.asked, mean, self.alpha_r)
+        index = GroupIndex.build(settle(groups, "sides"), D + 1, axes=D, n_hash=8, bits=6, width=None, rows_per_block=8, buckets=64)
+        found = index.top_k(settle(items, "items"), 2 * k, budget, on_miss="scan")
+        return R.top_k(self.scored(found.select("v", "g")), k)
 
     def truth(self) -> DataFrame:
-        """(v, g): pairs of the test part that training had not seen."""
+        """(v, g): pairs of the test part that training had not seen, of the arriving items."""
         old = self.sliced.where("split = 'train'").select("g", "v").distinct()
-        return self.sliced.where("split = 'test'").select("v", "g").distinct().join(old, ["g", "v"], "left_anti").select("v", "g")
-
-    def measures(self, k: int = 20, items: int = 100) -> tuple[float, float, float]:
-        """(HR@k, NDCG@k, sigma_inf) over the first items."""
-        first = self.t.part.select(F.col("p_partkey").alias("v")).orderBy("v").limit(items)
-        asked = settle(self.e0_items.join(F.broadcast(first), "v", "left_semi"), "asked")
-        recs = settle(self.recommend(asked, k), "recs")
-        truth = settle(self.truth().join(F.broadcast(first), "v", "left_semi"), "truth")
-        reach = recs.where("rank <= 5").join(self.spreads, "g").agg(F.avg("influence")).first()[0]
-        return ME.hit_ratio(recs, truth, k).first()["hr"], ME.ndcg(recs, truth, k).first()["ndcg"], reach or 0.0
+        test = self.sliced.where(f"split = 'test' and v % {M.ASK} = 0")
+        return test.select("v", "g").distinct().join(old, ["g", "v"], "left_anti").select("v", "g")
+
+    def judged(self, recs: DataFrame, truth: DataFrame, k: int = K) -> tuple[float, float, float]:
+        """(HR@k, NDCG@k, sigma_inf) of recommendations (v, rank, g): the spread of each item's first groups as one seed set,
+        over the propagation graphs of this run and with live updates."""
+        recs = settle(recs, "recs")
+        lists = recs.where(F.col("rank") <= LIST).select(F.lit(0).cast("long").alias("s"), "v", "g")
+        reach = ME.sigma_inf(self.spread(lists, "dynamic")).first()["sigma_inf"]
+        return ME.hit_ratio(recs, truth, k).first()["hr"] or 0.0, ME.ndcg(recs, truth, k).first()["ndcg"] or 0.0, reach or 0.0

@@ -17,7 +17,7 @@ def shared_dir(spark: SparkSession) -> str:
         return path.rstrip("/")
     context = spark.sparkContext
     if not context.getCheckpointDir():
-        if not context.master.startswith("local"):
+        if not context.master.startswith("local[") and context.master != "local":
             raise ValueError("spark.checkpoint.dir is not set: a cluster has to name a folder that all executors share")
         context.setCheckpointDir(tempfile.mkdtemp(prefix="groupstream-"))
     return context.getCheckpointDir().rstrip("/")
@@ -42,9 +42,10 @@ def round_trip(df: DataFrame, fmt: str, **options) -> DataFrame:
     return df.sparkSession.read.format(fmt).options(**options).schema(df.schema).load(path)
 
 
-def save_bucketed(df: DataFrame, name: str, buckets: int, by: str, sort: str | None = None) -> None:
-    """A table dealt into buckets, which joins on `by` read without an exchange."""
+def save_bucketed(df: DataFrame, name: str, buckets: int, by: str, sort: str | None = None, path: str | None = None) -> None:
+    """A table dealt into buckets, which joins on `by` read without an exchange; at `path`, or in the warehouse."""
     writer = df.write.mode("overwrite").format("parquet").bucketBy(buckets, by)
+    writer = writer.option("path", path) if path else writer
     (writer.sortBy(sort) if sort else writer).saveAsTable(name)
 
 

@@ -78,6 +78,25 @@ def run_to_memory(stream: DataFrame, mode: str = "append") -> DataFrame:
     return stream.sparkSession.table(name)
 
 
+def late_rows(first: DataFrame, later: DataFrame, late: str = "1 hour") -> DataFrame:
+    """(arrived, too_late, in_time): of rows that come in a second micro-batch, how many the watermark of the first lets in.
+
+    Two files replay it, and a stateful step that keeps every event once shows what got through.
+    """
+    spark = first.sparkSession
+    folder = f"{shared_dir(spark)}/late-{uuid.uuid4().hex}"
+    rows = [df.select("event_id", "ts").withColumn("part", F.lit(i)) for i, df in enumerate((first, later))]
+    kept = []
+    for df in rows:  # a run for each file, on one checkpoint: the second begins with the watermark that the first left
+        df.coalesce(1).write.mode("append").parquet(f"{folder}/in")
+        stream = with_time(spark.readStream.schema("event_id long, ts timestamp_ntz, part int").parquet(f"{folder}/in"))
+        out = stream.withWatermark("ts", late).dropDuplicates(["event_id", "ts"])
+        out.writeStream.format("parquet").option("path", f"{folder}/out").option("checkpointLocation", f"{folder}/state").trigger(availableNow=True).start().awaitTermination()
+        kept.append(spark.read.schema("event_id long, ts timestamp, part int").parquet(f"{folder}/out"))
+    through = kept[-1].where("part = 1").agg(F.count("*").alias("in_time"))
+    return later.agg(F.count("*").alias("arrived")).join(through).select("arrived", (F.col("arrived") - F.col("in_time")).alias("too_late"), "in_time")
+
+
 def each_batch(stream: DataFrame, act: Callable[[DataFrame, int], None], checkpoint: str | None = None) -> None:
     """Calls act on every micro-batch; with a checkpoint, a restart goes on after the last one that finished."""
     folder = checkpoint or f"{shared_dir(stream.sparkSession)}/batches-{uuid.uuid4().hex}"

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 from groupstream.encoder import layers, relevance, training
 from groupstream.evaluation import measures
-from groupstream.forecast import recurrent
+from groupstream.forecast import interest, recurrent
 from groupstream.functions.hashing import next_prime, universal_hash
 from groupstream.index import blocks, fastmap, lsh, search
 from groupstream.index.build import GroupIndex
@@ -123,7 +123,7 @@ def test_pipeline_trains_on_the_last_slice(spark):
     edges, _ = random_graph(spark)
     late = frame(spark, [(g, 0 if g < 2 else 3, 1) for g in range(20)], "g long, slice int, n long")
     run = object.__new__(Pipeline)
-    run.__dict__.update(sampler=True, und=edges, counts=late)
+    run.__dict__.update(sampler=True, und=edges, counts=late, quotas=clusters.allocate(edges, SHARE))
     got = run.training_edges().collect()
     assert len(got) == 2 * clusters.allocate(edges, SHARE).first().num
     assert {r.src for r in got} - {0, 1}
@@ -158,9 +158,9 @@ def test_gradients_of_the_encoder():
     w = training.new_weights(3, 4, 5, 2)
     xg, xv = rng.normal(size=(6, 4)), rng.normal(size=(7, 5))
     src, dst, lap = np.array([0, 1, 2, 3, 1]), np.array([1, 0, 3, 2, 4]), rng.random(5)
-    history = [[0, 1], [2], [], [3, 4, 5], [6], [0]]
+    owner, held = np.array([0, 0, 1, 3, 3, 3, 4, 5]), np.array([0, 1, 2, 3, 4, 5, 6, 0])
     g, pos, neg = np.array([0, 1, 3, 5]), np.array([0, 2, 4, 1]), np.array([5, 6, 0, 2])
-    run = lambda: training.loss_and_gradients(w, xg, xv, src, dst, lap, history, g, pos, neg, 2, 1e-3)
+    run = lambda: training.loss_and_gradients(w, xg, xv, src, dst, lap, owner, held, g, pos, neg, 2, 1e-3)
     _, grads = run()
     for k in w:
         for at in [tuple(rng.integers(0, n) for n in w[k].shape) for _ in range(3)]:
@@ -173,6 +173,79 @@ def test_gradients_of_the_encoder():
             assert grads[k][at] == pytest.approx((up - down) / 2e-6, rel=1e-4, abs=1e-6)
 
 
+def test_shards_add_up_to_the_whole_graph(spark):
+    edges, _ = random_graph(spark, 30, 0.15)
+    rng = np.random.default_rng(4)
+    groups = frame(spark, [(i, rng.normal(size=5).tolist()) for i in range(30)], "g long, vec array<double>")
+    items = frame(spark, [(i, rng.normal(size=4).tolist()) for i in range(40)], "v long, vec array<double>")
+    both = relation_graph.symmetric(edges, "lap")
+    seen = frame(spark, [(int(g), int(v), int(s)) for g, v, s in zip(rng.integers(0, 30, 150), rng.integers(0, 40, 150), rng.integers(0, 2, 150))], "g long, v long, slice int").dropDuplicates(["g", "v"])
+    triples = relevance.training_triples(seen, items, keep=("slice",))
+    graphs = both.withColumn("slice", F.lit(0)).unionByName(both.where("src < 20 and dst < 20").withColumn("slice", F.lit(1)))
+    w = training.new_weights(3, 5, 4, 2)
+    packs = [training.shards(groups, items, graphs, seen, triples, n).persist() for n in (1, 4)]
+    for t, new_only in ((0, False), (1, False), (1, True)):
+        (loss, grads, n), (loss4, grads4, n4) = (training.gradients(p, w, 2, t, new_only) for p in packs)
+        assert n == n4 > 0 and loss == pytest.approx(loss4) and all(grads[k] == pytest.approx(grads4[k]) for k in w)
+        parts = [training.gradients(packs[1], w, 2, t, new_only, batch, 3) for batch in range(3)]
+        assert sum(p[2] for p in parts) == n and sum(p[0] for p in parts) == pytest.approx(loss)
+    # The kernel's layers are those of the column expressions.
+    first = groups.select("g", layers.dense(w["wg"].tolist(), F.col("vec"), w["bg"].tolist()).alias("vec"))
+    want = layers.encode_groups(both, first, [(w["w1"].tolist(), w["b1"].tolist()), (w["w2"].tolist(), w["b2"].tolist())], 3)
+    got = {r.g: r.vec for r in training.encode(packs[1], w, 2, 0).collect()}
+    assert len(got) == 30 and all(got[r.g] == pytest.approx(r.vec) for r in want.collect())
+    start, end = (training.train(p, w, 2, 1e-1, 1e-3, 2, batches=2, t=1)[1] for p in packs)
+    assert [r["loss"] for r in start] == pytest.approx([r["loss"] for r in end])
+
+
+def test_learning_finds_planted_interests(spark):
+    """Groups of four communities, each with items of its own: what was learned ranks unseen items of the right kind higher."""
+    rng = np.random.default_rng(6)
+    kind = lambda x: x % 4
+    groups = frame(spark, [(g, (np.eye(4)[kind(g)] + 0.3 * rng.normal(size=4)).tolist()) for g in range(40)], "g long, vec array<double>")
+    items = frame(spark, [(v, (np.eye(4)[kind(v)] + 0.3 * rng.normal(size=4)).tolist()) for v in range(80)], "v long, vec array<double>")
+    rows = [(g, int(v), int(rng.integers(0, 3))) for g in range(40) for v in rng.choice([x for x in range(80) if kind(x) == kind(g)], 8, replace=False)]
+    seen = frame(spark, rows, "g long, v long, slice int")
+    pairs = [(a, b) for a in range(40) for b in range(a + 1, 40) if kind(a) == kind(b) and rng.random() < 0.4]
+    lap = relation_graph.laplacian_weights(relation_graph.symmetric(frame(spark, pairs, "a long, b long")))
+    graphs = lap.select(F.explode(F.array(*[F.lit(t) for t in range(3)])).alias("slice"), "src", "dst", "lap")
+    made = interest.learn(groups, items, graphs, seen, 3, 6, epochs=30, shards=2)
+    assert {r["phase"] for r in made.log} == {"long", "short", "forecast"} and made.profiles.count() == 120
+    vectors = {r.v: np.array(r.vec) for r in made.items(items).collect()}
+
+    def right(found) -> float:
+        """How often an unseen item of the group's kind scores above one of another kind."""
+        old, wins, n = {(g, v) for g, v, _ in rows}, 0, 0
+        for r in found.collect():
+            own = np.array(r.vec) + sum(vectors[v] for g, v in old if g == r.g) / 8**0.5
+            score = {v: own @ x for v, x in vectors.items() if (r.g, v) not in old}
+            for a in (v for v in score if kind(v) == kind(r.g)):
+                wins, n = wins + sum(score[a] > score[b] for b in score if kind(b) != kind(r.g)), n + sum(kind(b) != kind(r.g) for b in score)
+        return wins / n
+
+    assert right(made.last()) > 0.8 and right(made.predicted()) > 0.8
+    long = [r["loss"] for r in made.log if r["phase"] == "long"]
+    assert long[-1] < long[0]
+
+
+def test_a_little_influence_decides_between_equals(spark):
+    groups = frame(spark, [(1, [0.5, 0.5]), (2, [0.5, 0.5]), (3, [0.5, 0.5])], "g long, vec array<double>")
+    items = frame(spark, [(1, [1.0, 0.0])], "v long, vec array<double>")
+    influence = frame(spark, [(1, 0.01), (2, 0.03), (3, 0.02)], "g long, influence double")
+    g, v = relevance.augment(groups, items, influence, 1e-6)
+    assert [r.g for r in sorted(relevance.top_k(relevance.relevance(g, v, 3), 3).collect(), key=lambda r: r["rank"])] == [2, 3, 1]
+
+
+def test_recall_of_best_blocks(spark):
+    rng = np.random.default_rng(8)
+    groups = frame(spark, [(i, (0.3 * rng.normal(size=6)).tolist()) for i in range(4000)], "g long, vec array<double>")
+    items = frame(spark, [(i, rng.normal(size=6).tolist()) for i in range(30)], "v long, vec array<double>")
+    index = GroupIndex.build(groups, 6, axes=7, n_hash=7, bits=6, width=None, rows_per_block=8, buckets=64)
+    exact = search.batch_match(groups, items, 20, 6).persist()
+    recalls = [measures.recall_at_k(index.top_k(items, 20, b, on_miss="scan"), exact, 20).first().recall for b in (100, 600, 4000)]
+    assert recalls == sorted(recalls) and recalls[1] >= 0.9 and recalls[2] == 1.0
+
+
 @pytest.mark.parametrize("cell", ["rnn", "gru"])
 def test_gradients_of_the_forecaster(cell):
     rng = np.random.default_rng(0)
