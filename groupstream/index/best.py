@@ -2,7 +2,7 @@
 
 A block of neighbours in Z order is a ball: no group in it scores above item.centre + |item| * radius. Each item reads the
 blocks whose balls promise most until its budget is used, so neither a place in the order nor a hit in the directory is
-needed. Summaries are one row per block; blocks meet only the items that chose them.
+needed. Items come in windows of at most WINDOW_ROWS, which every task holds; groups never leave their blocks.
 """
 
 from __future__ import annotations
@@ -13,55 +13,108 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..encoder.relevance import top_k as first_k
-from ..operators.joins import bounded, top_n
+from ..operators.joins import WINDOW_ROWS
 
 #: How much of its radius a block is given: none ranks it by its middle, all of it by what it could hold at most.
 LEAN = 0.5
+#: Blocks that are packed together, and items whose choices are brought together in one task.
+TOGETHER, CHUNK = 64, 256
 
 
 def pack(blocks: DataFrame) -> DataFrame:
     """(block, centre, radius, n, ids, matrix): one row for each block of (block, g, vec)."""
 
-    def one(rows: pd.DataFrame) -> pd.DataFrame:
-        rows = rows.sort_values("g")
-        x = np.array(rows["vec"].tolist(), np.float64)
-        centre = x.mean(0)
-        radius = float(np.sqrt(((x - centre) ** 2).sum(1)).max())
-        return pd.DataFrame([(rows["block"].iloc[0], centre.tolist(), radius, len(x), rows["g"].to_numpy(np.int64).tobytes(), x.tobytes())], columns=["block", "centre", "radius", "n", "ids", "matrix"])
+    def some(rows: pd.DataFrame) -> pd.DataFrame:
+        rows = rows.sort_values(["block", "g"])
+        block, ids, x = rows["block"].to_numpy(), rows["g"].to_numpy(np.int64), np.array(rows["vec"].tolist(), np.float64)
+        edge = [*np.flatnonzero(np.diff(block, prepend=block[0] - 1)).tolist(), len(block)]
+        out = []
+        for a, b in zip(edge[:-1], edge[1:]):
+            centre = x[a:b].mean(0)
+            out.append((block[a], centre.tolist(), float(np.sqrt(((x[a:b] - centre) ** 2).sum(1)).max()), b - a, ids[a:b].tobytes(), x[a:b].tobytes()))
+        return pd.DataFrame(out, columns=["block", "centre", "radius", "n", "ids", "matrix"])
 
-    return blocks.select("block", "g", "vec").groupBy("block").applyInPandas(one, "block long, centre array<double>, radius double, n long, ids binary, matrix binary")
+    several = blocks.select("block", "g", "vec", F.floor(F.col("block") / TOGETHER).alias("part")).groupBy("part")
+    return several.applyInPandas(some, "block long, centre array<double>, radius double, n long, ids binary, matrix binary")
 
 
-def chosen(packs: DataFrame, items: DataFrame, budget: int, rows_per_block: int, lean: float = LEAN) -> DataFrame:
-    """(v, vec, block): the blocks that each item reads, the most promising ones up to its budget of entries."""
+def _first(score: np.ndarray, most: int) -> np.ndarray:
+    """For each row the columns of its `most` highest numbers, in no order."""
+    return np.argpartition(-score, most - 1, axis=1)[:, :most] if score.shape[1] > most else np.broadcast_to(np.arange(score.shape[1]), score.shape)
+
+
+def chosen(packs: DataFrame, items: np.ndarray, budget: int, rows_per_block: int, lean: float = LEAN) -> DataFrame:
+    """(block, asked): for each block that some item reads, those items' numbers, packed."""
     most = max(1, -(-budget // rows_per_block))
-    pairs = packs.select("block", "centre", "radius").join(bounded(items.select("v", "vec")))
-    promise = F.aggregate(F.zip_with("vec", "centre", lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x) + F.lit(lean) * F.col("radius") * F.sqrt(F.aggregate("vec", F.lit(0.0), lambda s, x: s + x * x))
-    return top_n(pairs.select("v", "vec", "block", F.round(promise, 12).alias("promise")), ["v"], [F.desc("promise"), F.col("block")], most).select("v", "vec", "block")
+    length = np.sqrt((items**2).sum(1))
+
+    def promise(batches):
+        for b in batches:
+            if len(b):
+                block = b["block"].to_numpy(np.int64)
+                score = items @ np.array(b["centre"].tolist()).T + lean * length[:, None] * b["radius"].to_numpy()[None, :]
+                best = _first(score, most)
+                score, block = np.take_along_axis(score, best, 1), block[best]
+                for c in range(0, len(items), CHUNK):
+                    part = slice(c, c + CHUNK)
+                    yield pd.DataFrame({"chunk": [c], "blocks": [np.ascontiguousarray(block[part]).tobytes()], "scores": [np.ascontiguousarray(score[part]).tobytes()]})
+
+    def settle(rows: pd.DataFrame) -> pd.DataFrame:
+        at = int(rows["chunk"].iloc[0])
+        n = min(CHUNK, len(items) - at)
+        block = np.hstack([np.frombuffer(x, np.int64).reshape(n, -1) for x in rows["blocks"]])
+        score = np.hstack([np.frombuffer(x).reshape(n, -1) for x in rows["scores"]])
+        best = np.take_along_axis(block, _first(score, most), 1)
+        order = np.argsort(best.ravel(), kind="stable")
+        block, item = best.ravel()[order], (np.repeat(np.arange(n), best.shape[1])[order] + at).astype(np.int32)
+        edge = [*np.flatnonzero(np.diff(block, prepend=block[0] - 1)).tolist(), len(block)]
+        return pd.DataFrame([(block[a], item[a:b].tobytes()) for a, b in zip(edge[:-1], edge[1:])], columns=["block", "asked"])
+
+    found = packs.select("block", "centre", "radius").mapInPandas(promise, "chunk long, blocks binary, scores binary")
+    return found.groupBy("chunk").applyInPandas(settle, "block long, asked binary")
 
 
 def top_k(packs: DataFrame, items: DataFrame, k: int, budget: int, rows_per_block: int, lean: float = LEAN) -> DataFrame:
     """(v, rank, g, score): exact scores of all groups in the chosen blocks."""
-    asked = chosen(packs, items, budget, rows_per_block, lean)
-    by_block = asked.groupBy("block").agg(F.collect_list(F.struct("v", "vec")).alias("asked"))  # a window of items at most
+    items = items.select("v", "vec")
+    windows, out = max(1, -(-items.count() // WINDOW_ROWS)), None
+    for w in range(windows):
+        some = items if windows == 1 else items.where(F.pmod(F.xxhash64("v"), F.lit(windows)) == w)
+        found = _window(packs, some.collect(), k, budget, rows_per_block, lean)  # about WINDOW_ROWS rows
+        out = found if out is None else out.unionByName(found)
+    return first_k(out, k)
 
-    def run(batches):
-        found: dict[int, tuple[np.ndarray, np.ndarray]] = {}
+
+def _window(packs: DataFrame, items: list, k: int, budget: int, rows_per_block: int, lean: float) -> DataFrame:
+    if not items:
+        return packs.sparkSession.createDataFrame([], "v long, g long, score double")
+    names, matrix = np.array([r["v"] for r in items], np.int64), np.array([r["vec"] for r in items], np.float64)
+
+    def score(batches):
+        asked, made, ids = [], [], []
         for b in batches:
             for r in b.itertuples():
-                ids = np.frombuffer(r.ids, np.int64)
-                points = np.frombuffer(r.matrix).reshape(len(ids), -1)
-                scores = points @ np.array([a["vec"] for a in r.asked]).T
-                for j, a in enumerate(r.asked):
-                    old = found.get(a["v"])
-                    s, g = (scores[:, j], ids) if old is None else (np.append(old[0], scores[:, j]), np.append(old[1], ids))
-                    if len(s) > 8 * k + 64:
-                        keep = np.lexsort((g, -s))[:k]
-                        s, g = s[keep], g[keep]
-                    found[a["v"]] = (s, g)
-        for v, (s, g) in found.items():
-            keep = np.lexsort((g, -s))[:k]
-            yield pd.DataFrame({"v": v, "g": g[keep], "score": s[keep]})
-
-    rows = packs.select("block", "ids", "matrix").join(by_block, "block").mapInPandas(run, "v long, g long, score double")
-    return first_k(rows, k)
+                own = np.frombuffer(r.ids, np.int64)
+                points = np.frombuffer(r.matrix).reshape(len(own), -1)
+                item = np.concatenate([np.frombuffer(a, np.int32) for a in r.asked])
+                asked.append(np.repeat(item, len(own)))
+                made.append((matrix[item] @ points.T).ravel())
+                ids.append(np.tile(own, len(item)))
+            if sum(map(len, made)) > 1 << 22:
+                asked, made, ids = ([x] for x in _best(asked, made, ids, k))
+        if made:
+            item, s, g = _best(asked, made, ids, k)
+            yield pd.DataFrame({"v": names[item], "g": g, "score": s})
+
+    wanted = chosen(packs, matrix, budget, rows_per_block, lean).groupBy("block").agg(F.collect_list("asked").alias("asked"))
+    return packs.select("block", "ids", "matrix").join(wanted, "block").mapInPandas(score, "v long, g long, score double")
+
+
+def _best(asked: list, made: list, ids: list, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The k highest scores of each item, ties to the smaller id."""
+    item, s, g = np.concatenate(asked), np.concatenate(made), np.concatenate(ids)
+    order = np.lexsort((g, -s, item))
+    item, s, g = item[order], s[order], g[order]
+    start = np.flatnonzero(np.diff(item, prepend=item[0] - 1))
+    place = np.arange(len(item)) - np.repeat(start, np.diff(np.append(start, len(item))))
+    return item[place < k], s[place < k], g[place < k]

@@ -46,8 +46,8 @@ def build_index(groups: DataFrame, d: int = D) -> GroupIndex:
 
 
 def scan_budget(n_groups: int) -> int:
-    """Entries that an item may read: a twentieth of the groups, but 200 at least."""
-    return max(200, n_groups // 20)
+    """Entries that an item may read: one in fifteen of the groups, but 200 at least."""
+    return max(200, n_groups // 15)
 
 
 class Indexed(M.Home):
