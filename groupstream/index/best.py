@@ -14,11 +14,14 @@ from pyspark.sql import functions as F
 
 from ..encoder.relevance import top_k as first_k
 from ..operators.joins import WINDOW_ROWS
+from ..sources.storage import settle
 
 #: How much of its radius a block is given: none ranks it by its middle, all of it by what it could hold at most.
 LEAN = 0.5
 #: Blocks that are packed together, and items whose choices are brought together in one task.
 TOGETHER, CHUNK = 64, 256
+COLUMNS = ["block", "centre", "radius", "n", "ids", "matrix"]
+LAYOUT = "block long, centre array<double>, radius double, n long, ids binary, matrix binary"
 
 
 def pack(blocks: DataFrame) -> DataFrame:
@@ -28,14 +31,75 @@ def pack(blocks: DataFrame) -> DataFrame:
         rows = rows.sort_values(["block", "g"])
         block, ids, x = rows["block"].to_numpy(), rows["g"].to_numpy(np.int64), np.array(rows["vec"].tolist(), np.float64)
         edge = [*np.flatnonzero(np.diff(block, prepend=block[0] - 1)).tolist(), len(block)]
-        out = []
-        for a, b in zip(edge[:-1], edge[1:]):
-            centre = x[a:b].mean(0)
-            out.append((block[a], centre.tolist(), float(np.sqrt(((x[a:b] - centre) ** 2).sum(1)).max()), b - a, ids[a:b].tobytes(), x[a:b].tobytes()))
-        return pd.DataFrame(out, columns=["block", "centre", "radius", "n", "ids", "matrix"])
+        return pd.DataFrame([_summed(block[a], ids[a:b], x[a:b]) for a, b in zip(edge[:-1], edge[1:])], columns=COLUMNS)
 
     several = blocks.select("block", "g", "vec", F.floor(F.col("block") / TOGETHER).alias("part")).groupBy("part")
-    return several.applyInPandas(some, "block long, centre array<double>, radius double, n long, ids binary, matrix binary")
+    return several.applyInPandas(some, LAYOUT)
+
+
+def _summed(block: int, ids: np.ndarray, x: np.ndarray) -> tuple:
+    centre = x.mean(0)
+    return int(block), centre.tolist(), float(np.sqrt(((x - centre) ** 2).sum(1)).max()), len(x), ids.tobytes(), x.tobytes()
+
+
+def members(packs: DataFrame) -> DataFrame:
+    """(g, block): which block holds each group."""
+
+    def run(batches):
+        for b in batches:
+            for r in b.itertuples():
+                yield pd.DataFrame({"g": np.frombuffer(r.ids, np.int64), "block": r.block})
+
+    return packs.select("block", "ids").mapInPandas(run, "g long, block long")
+
+
+def update(packs: DataFrame, held: DataFrame, changed: DataFrame, rows_per_block: int) -> tuple[DataFrame, DataFrame]:
+    """packs and held, their members (g, block), after some groups (g, vec) changed or came.
+
+    A changed group leaves its block and enters the one with the nearest centre. Only blocks that lose or gain one are
+    worked out anew; a block of more than twice the rows is halved along its widest component.
+    """
+    changed = changed.select("g", "vec")
+    rows = changed.limit(WINDOW_ROWS + 1).collect()
+    if len(rows) > WINDOW_ROWS:
+        raise ValueError(f"more than {WINDOW_ROWS} groups at once: update in parts, or build the index anew")
+    if not rows:
+        return packs, held
+    gone, points = np.array([r["g"] for r in rows], np.int64), np.array([r["vec"] for r in rows], np.float64)
+
+    def nearest(batches):
+        for b in batches:
+            if len(b):
+                away = ((points[:, None, :] - np.array(b["centre"].tolist())[None, :, :]) ** 2).sum(2)
+                at = away.argmin(1)
+                yield pd.DataFrame({"i": np.arange(len(points)), "block": b["block"].to_numpy()[at], "away": away[np.arange(len(points)), at]})
+
+    goes = packs.select("block", "centre").mapInPandas(nearest, "i long, block long, away double").groupBy("i").agg(F.min_by("block", F.struct("away", "block")).alias("block"))
+    goes = settle(goes.groupBy("block").agg(F.collect_list("i").alias("come")), "come")
+    touched = settle(goes.select("block").unionByName(held.join(changed.select("g"), "g", "left_semi").select("block")).distinct(), "touched")
+
+    def anew(batches):
+        for b in batches:
+            out = []
+            for r in b.itertuples():
+                ids = np.frombuffer(r.ids, np.int64)
+                x = np.frombuffer(r.matrix).reshape(len(ids), -1)
+                stay = ~np.isin(ids, gone)
+                come = np.array(r.come if r.come is not None else [], np.int64)
+                ids, x = np.append(ids[stay], gone[come]), np.vstack([x[stay], points[come]])
+                if len(ids) > 2 * rows_per_block:
+                    order = np.argsort(x[:, int(np.argmax(np.ptp(x, axis=0)))], kind="stable")
+                    half = len(ids) // 2
+                    new = int(np.bitwise_xor.reduce(ids[order[half:]] * np.int64(0x9E3779B97F4A7C1)) & np.int64((1 << 62) - 1)) | 1 << 61
+                    out += [_summed(r.block, ids[order[:half]], x[order[:half]]), _summed(new, ids[order[half:]], x[order[half:]])]
+                elif len(ids):
+                    out.append(_summed(r.block, ids, x))
+            yield pd.DataFrame(out, columns=COLUMNS)
+
+    mine = packs.join(touched, "block", "left_semi").join(goes, "block", "left").select(*COLUMNS, "come")
+    fresh = settle(mine.mapInPandas(anew, LAYOUT), "packs")
+    kept = packs.join(touched, "block", "left_anti").select(*COLUMNS)
+    return kept.unionByName(fresh), held.join(touched, "block", "left_anti").select("g", "block").unionByName(members(fresh))
 
 
 def _first(score: np.ndarray, most: int) -> np.ndarray:

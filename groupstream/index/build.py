@@ -28,6 +28,7 @@ class GroupIndex:
     variant: str
     longest: float
     packs: DataFrame | None = None
+    held: DataFrame | None = None
 
     @staticmethod
     def build(groups: DataFrame, d: int, axes: int = 4, n_hash: int = 4, bits: int = 8, width: float | None = 0.25, rows_per_block: int = 256, buckets: int = 1024, seed: int = 3, mode: str = "mips", variant: str = "standard", distributed: bool = True) -> "GroupIndex":
@@ -66,6 +67,11 @@ class GroupIndex:
             self.packs = settle(best.pack(self.blocks), "packs")
         return self.packs
 
+    def update(self, changed: DataFrame) -> None:
+        """Changed and new groups (g, vec) for the search by blocks: only the blocks that they leave or enter are written anew."""
+        held = self.blocks.select("g", "block") if self.held is None else self.held
+        self.packs, self.held = best.update(self.packed(), held, changed, self.rows_per_block)
+
     def top_k(self, items: DataFrame, k: int, budget: int, on_miss: str = "nearest") -> DataFrame:
         """Directory, then scan, then exact scores. on_miss 'scan' goes by the blocks' summaries: an item's own key is rarely
         among the groups' keys, so that says more about where its groups are than the neighbours of a place do."""

@@ -21,7 +21,8 @@ def asof(left: DataFrame, right: DataFrame, left_key: str, right_key: str, width
     """left with the right row at or before its key (with `nearest`: else the first one after it), as a struct column 'at'.
 
     Keys are cut into ranges of `width`. Each range's last right row is carried to the next ranges over one row per
-    range, so rows of different ranges are worked on apart. Equal right keys: the smallest row counts.
+    range, SPANS ranges in a task and then one row for each such span, so rows of different ranges are worked on apart and no
+    task sees all ranges. Equal right keys: the smallest row counts.
     """
     cell = lambda k: F.floor(F.col(k) / width)
     value = F.struct(F.col(right_key), *[F.col(c) for c in right.columns if c != right_key])
@@ -29,9 +30,12 @@ def asof(left: DataFrame, right: DataFrame, left_key: str, right_key: str, width
     asked = left.withColumn("cell", cell(left_key))
     ends = known.groupBy("cell").agg(F.max_by("at", "k").alias("last"), F.min_by("at", "k").alias("first"))
     cells = ends.join(asked.select("cell").distinct(), "cell", "full_outer")
-    before = Window.orderBy("cell").rowsBetween(Window.unboundedPreceding, -1)  # one row per range
-    after = Window.orderBy("cell").rowsBetween(1, Window.unboundedFollowing)
-    carried = cells.select("cell", F.last("last", True).over(before).alias("carry"), F.first("first", True).over(after).alias("next"))
+    cells = cells.withColumn("span", F.floor(F.col("cell") / SPANS))
+    spans = cells.groupBy("span").agg(F.max_by("last", F.when(F.col("last").isNotNull(), F.col("cell"))).alias("last"), F.min_by("first", F.when(F.col("first").isNotNull(), F.col("cell"))).alias("first"))
+    far = _around(spans, Window.orderBy("span"))  # one row for SPANS ranges
+    far = far.withColumnsRenamed({"carry": "far_carry", "next": "far_next"})
+    near = _around(cells, Window.partitionBy("span").orderBy("cell")).join(far.select("span", "far_carry", "far_next"), "span")
+    carried = near.select("cell", F.coalesce("carry", "far_carry").alias("carry"), F.coalesce("next", "far_next").alias("next"))
     marks = known.select("cell", F.col("k").alias("__k"), F.lit(0).alias("__side"), "at", *[F.lit(None).cast(left.schema[c].dataType).alias(c) for c in left.columns])
     rows = asked.select("cell", F.col(left_key).alias("__k"), F.lit(1).alias("__side"), F.lit(None).cast(known.schema["at"].dataType).alias("at"), *left.columns)
     order = Window.partitionBy("cell").orderBy("__k", "__side")
@@ -41,6 +45,15 @@ def asof(left: DataFrame, right: DataFrame, left_key: str, right_key: str, width
     return out.select(*left.columns, found.alias("at"))
 
 
+SPANS = 4096
+
+
+def _around(rows: DataFrame, order) -> DataFrame:
+    """rows with carry, the last known `last` before each, and next, the first known `first` after it."""
+    before, after = order.rowsBetween(Window.unboundedPreceding, -1), order.rowsBetween(1, Window.unboundedFollowing)
+    return rows.withColumns({"carry": F.last("last", True).over(before), "next": F.first("first", True).over(after)})
+
+
 def salted_join(left: DataFrame, right: DataFrame, keys: list[str], n: int, how: str = "inner") -> DataFrame:
     """A join whose left keys are dealt over n salts, and whose right rows are repeated for each: for hot keys that the
     adaptive join cannot split."""

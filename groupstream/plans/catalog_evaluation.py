@@ -235,7 +235,14 @@ def _table(spark, rows: list[tuple], names: str) -> DataFrame:
     return spark.createDataFrame([tuple(round(float(x), 9) if isinstance(x, float) else x for x in r) for r in rows], names)
 
 
-VARIANTS = {"full": {}, "no sampler": {"sampler": False}, "no dynamic cascade": {"cascade": "static"}, "no influence": {"cascade": "none"}, "no index": {"index": False}}
+_SAME = ("vectors", "item_vectors", "sides", "asked", "graph")
+VARIANTS = {
+    "full": {},
+    "no sampler": {"sampler": False},
+    "no dynamic cascade": {"cascade": "static", "same": _SAME},
+    "no influence": {"cascade": "none", "same": _SAME},
+    "no index": {"index": False, "same": (*_SAME, "influences")},
+}
 
 
 @query("ablation_components")
@@ -243,7 +250,7 @@ def _(spark, d):
     base, rows = Pipeline(spark, d), []
     truth = settle(base.truth(), "truth")
     for name, kw in VARIANTS.items():
-        rows.append((name, *base.judged(Pipeline(spark, d, base=base, **kw).recommend(), truth)))
+        rows.append((name, *base.judged((Pipeline(spark, d, base=base, **kw) if kw else base).recommend(), truth)))
     full = rows[0]
     change = [tuple(ME.relative_change(x, y) if y else 0.0 for x, y in zip(r[1:], full[1:])) for r in rows]
     return _table(spark, [(*r, *c) for r, c in zip(rows, change)], "variant string, hr double, ndcg double, sigma_inf double, hr_change double, ndcg_change double, sigma_change double")
@@ -255,7 +262,7 @@ def _(spark, d):
     base, rows = Pipeline(spark, d), []
     recs = settle(base.recommend(), "recs").where(F.col("rank") <= 5).select(F.lit(0).cast("long").alias("s"), "v", "g")
     for name, drop in (("no similarity", "similarity"), ("no willingness", "willingness"), ("no activeness", "activeness"), ("all factors", None)):
-        p = Pipeline(spark, d, drop=drop, base=base)
+        p = Pipeline(spark, d, drop=drop, base=base, same=("vectors", "item_vectors", "sides", "asked"))
         rows.append((name, float(ME.sigma_inf(p.spread(recs)).first()["sigma_inf"] or 0.0)))
     return _table(spark, rows, "variant string, sigma_inf double")
 
@@ -293,8 +300,8 @@ def _(spark, d):
     """HR, NDCG and the spread of the first groups, of all methods on the same items."""
     base, rows = Pipeline(spark, d), []
     truth = settle(base.truth(), "truth")
-    for name, kw in (("enhanced", {}), ("static predecessor", {"sampler": False, "cascade": "static", "index": False})):
-        rows.append((name, *base.judged(Pipeline(spark, d, base=base, **kw).recommend(), truth)))
+    for name, run in (("enhanced", base), ("static predecessor", Pipeline(spark, d, sampler=False, cascade="static", index=False, base=base))):
+        rows.append((name, *base.judged(run.recommend(), truth)))
     for name, way in _baseline_recs(M.Home(spark, d)).items():
         rows.append((name, *base.judged(way(), truth)))
     return _table(spark, rows, "method string, hr double, ndcg double, sigma_inf double")
@@ -374,25 +381,32 @@ def _(spark, d):
     return _table(spark, rows, "edges string, n long, epochs int, seconds double, loss double")
 
 
-def sweep(spark, d, name: str, values: list, **fixed) -> DataFrame:
-    """HR, NDCG and spread for each value of a parameter of the pipeline, or of learning; the tables are shared."""
+def sweep(spark, d, name: str, values: list) -> DataFrame:
+    """HR and NDCG for each value of a parameter of the pipeline, or of learning, and the spread where it depends on it. The
+    tables, and the results that the parameter does not change, are shared."""
     base, rows = Pipeline(spark, d, index=False), []
     truth = settle(base.truth(), "truth")
+    spreads = name in ("alpha_r", "g1", "g2")
     for value in values:
-        kw = {"learning": {name: value}} if name in LEARNING else {name: value}
-        p = Pipeline(spark, d, index=False, base=base, **{**fixed, **kw})
-        judge = p if name in ("g1", "g2") else base  # these change what an item's spread is
-        rows.append((float(value), *judge.judged(p.recommend(), truth)))
+        kw = {"learning": {"epochs": 4, "tune": 1, "epochs2": 4, name: value}} if name in LEARNING else {name: value}
+        p = Pipeline(spark, d, index=False, cascade="dynamic" if spreads else "none", base=base, same=SAME.get(name, ()), **kw)
+        if spreads:
+            rows.append((float(value), *(base if name == "alpha_r" else p).judged(p.recommend(), truth)))
+        else:
+            recs = settle(p.recommend(), "recs")
+            rows.append((float(value), ME.hit_ratio(recs, truth, 20).first()["hr"] or 0.0, ME.ndcg(recs, truth, 20).first()["ndcg"] or 0.0, None))
     return _table(spark, rows, "value double, hr double, ndcg double, sigma_inf double")
 
 
+_LEARNT = ("vectors", "item_vectors", "sides")
+SAME = {"alpha_v": _LEARNT, "alpha_r": (*_LEARNT, "asked", "graph", "influences"), "g1": (*_LEARNT, "asked"), "g2": (*_LEARNT, "asked")}
 LEARNING = ("rate", "rate2", "penalty", "penalty2")
 SWEEPS = {
     "layers": [0, 1, 2, 3, 4],
-    "alpha_v": [0.0, 0.2, 0.4, 0.6, 0.8, 0.9, 1.0],
-    "alpha_r": [1e-8, 1e-6, 1e-4, 1e-2, 0.5, 1.0],
+    "alpha_v": [0.0, 0.4, 0.8, 0.9, 1.0],
+    "alpha_r": [1e-8, 1e-6, 1e-2, 0.5, 1.0],
     "g1": [0.0, 0.1, 0.2, 0.3],
-    "g2": [0.0, 0.3, 0.6, 0.7, 0.9],
+    "g2": [0.0, 0.4, 0.7, 0.9],
     "rate": [1e-4, 1e-3, 1e-2, 1e-1, 1.0],
     "rate2": [1e-4, 1e-3, 1e-2, 1e-1, 1.0],
     "penalty": [1e-8, 1e-7, 1e-6, 1e-5, 1e-4],
@@ -410,7 +424,7 @@ def _(spark, d):
     for g1 in (0.0, 0.1, 0.5, 1.0):
         for g2 in (0.0, 0.4, 0.7, 0.9):
             if g1 + g2 <= 1:
-                rows.append((g1, g2, float(ME.sigma_inf(Pipeline(spark, d, g1=g1, g2=g2, base=base).spread(recs)).first()["sigma_inf"] or 0.0)))
+                rows.append((g1, g2, float(ME.sigma_inf(Pipeline(spark, d, g1=g1, g2=g2, base=base, same=(*_LEARNT, "asked")).spread(recs)).first()["sigma_inf"] or 0.0)))
     return _table(spark, rows, "g1 double, g2 double, sigma_inf double")
 
 

@@ -39,13 +39,14 @@ class Pipeline(Sampler, Spread):
 
     sampler: learn on sampled graphs, else on whole ones. cascade: 'dynamic', 'static' or 'none'. index: search through it,
     else exhaustively. forecast: take the forecaster's vectors, else those of the last slice. drop, g1, g2: the factors of a
-    propagation edge. learning: further options of interest.learn.
+    propagation edge. learning: further options of interest.learn. base: a run whose tables are shared; same: what of its
+    results this run has as well, since its options do not change them.
     """
 
-    def __init__(self, spark, sf_dir, sampler: bool = True, cascade: str = "dynamic", index: bool = True, forecast: bool = True, alpha_r: float = 1e-6, alpha_v: float = 0.8, layers: int = 2, g1: float = FA.GAMMA1, g2: float = FA.GAMMA2, drop: str | None = None, learning: dict | None = None, runs: int = 1, base: "Pipeline | None" = None):
+    def __init__(self, spark, sf_dir, sampler: bool = True, cascade: str = "dynamic", index: bool = True, forecast: bool = True, alpha_r: float = 1e-6, alpha_v: float = 0.8, layers: int = 2, g1: float = FA.GAMMA1, g2: float = FA.GAMMA2, drop: str | None = None, learning: dict | None = None, runs: int = 1, base: "Pipeline | None" = None, same: tuple[str, ...] = ()):
         super().__init__(spark, sf_dir)
         if base is not None:
-            self.__dict__.update({k: getattr(base, k) for k in SHARED})
+            self.__dict__.update({k: getattr(base, k) for k in (*SHARED, *same)})
         self.sampler, self.cascade, self.use_index, self.forecast, self.runs = sampler, cascade, index, forecast, runs
         self.alpha_r, self.alpha_v, self.n_layers, self.factors, self.learning = alpha_r, alpha_v, layers, {"g1": g1, "g2": g2, "drop": drop}, learning or {}
 

@@ -8,12 +8,14 @@ from pyspark.sql import functions as F
 
 from groupstream.encoder import layers, relevance, training
 from groupstream.evaluation import measures
+from groupstream.features import tags
 from groupstream.forecast import interest, recurrent
 from groupstream.functions.hashing import next_prime, universal_hash
 from groupstream.index import blocks, fastmap, lsh, search
 from groupstream.index.build import GroupIndex
 from groupstream.influence import cascade, factors, prop_graph
 from groupstream.model import relation_graph
+from groupstream.operators import joins
 from groupstream.operators.joins import asof, positions
 from groupstream.plans.catalog_sampling import SHARE
 from groupstream.plans.pipeline import Pipeline
@@ -117,6 +119,23 @@ def test_snapshot_sampler_invariants(spark):
         assert all((o == "overlap") == (e in by[t - 1]) for e, o in by[t].items())
     alone = overlap.snapshot_sequence(edges, counts, 2, 0.4, 0.0).where("slice = 1")
     assert {r.origin for r in alone.collect()} == {"fresh"}
+    full = {(r.a, r.b) for r in edges.collect()}
+    reuse = overlap.snapshot_sequence(edges, counts, 2, 0.4, 1.0).collect()
+    assert {(r.a, r.b) for r in reuse if r.slice == 1} == {(r.a, r.b) for r in reuse if r.slice == 0}
+    assert {(r.a, r.b) for r in overlap.snapshot_sequence(edges, counts, 1, 1.0, 0.5).collect()} == full
+    assert overlap.snapshot_sequence(edges.limit(0), counts, 2, 0.4, 0.5).collect() == []
+
+
+def test_clusters_and_tags_bring_like_things_together(spark):
+    groups, items = planted(spark)
+    found = {r.g: r.cluster for r in clusters.cluster_nodes(groups, 8, seed=4).collect()}
+    rows = {r.g: np.array(r.vec) for r in groups.collect()}
+    centre = {c: np.mean([rows[g] for g in rows if found[g] == c], axis=0) for c in set(found.values())}
+    assert all(min(centre, key=lambda c: ((rows[g] - centre[c]) ** 2).sum()) == found[g] for g in rows)
+    lists = [["red", "wool", "hat"], ["red", "wool", "scarf"], ["steel", "bolt", "nut"], ["steel", "bolt", "screw"]] * 30
+    learned = [np.array(r.vec) for r in sorted(tags.tag_vectors(frame(spark, list(enumerate(lists)), "v long, tags array<string>"), 8).collect(), key=lambda r: r.v)]
+    assert len(learned) == 120 and all(len(x) == 8 and np.isfinite(x).all() for x in learned)
+    assert (learned[0] == learned[4]).all() and (learned[0] != learned[2]).any()
 
 
 def test_pipeline_trains_on_the_last_slice(spark):
@@ -246,6 +265,25 @@ def test_recall_of_best_blocks(spark):
     assert recalls == sorted(recalls) and recalls[1] >= 0.9 and recalls[2] == 1.0
 
 
+def test_the_index_follows_changed_groups(spark):
+    groups, items = planted(spark)
+    index = GroupIndex.build(groups, 4, 3, 3, 6, 0.5, 8, 16)
+    before = {r.block: bytes(r.matrix) for r in index.packed().collect()}
+    rng = np.random.default_rng(1)
+    moved = [(g, (3 * rng.normal(size=4)).tolist()) for g in (0, 5, 40)] + [(1000 + i, (2 + 0.01 * rng.normal(size=4)).tolist()) for i in range(20)]
+    changed = frame(spark, moved, "g long, vec array<double>")
+    index.update(changed)
+    now = groups.join(changed.select("g"), "g", "left_anti").unionByName(changed)
+    exact = search.batch_match(now, items, 10, 4)
+    assert sorted(map(tuple, index.top_k(items, 10, 10_000, on_miss="scan").collect())) == sorted(map(tuple, exact.collect()))
+    after = {r.block: (bytes(r.matrix), r.n) for r in index.packed().collect()}
+    assert sum(n for _, n in after.values()) == now.count() == index.held.count() and max(n for _, n in after.values()) <= 24
+    assert sum(after.get(b, (None,))[0] == m for b, m in before.items()) >= len(before) // 2
+    index.update(changed.limit(0))
+    index.update(frame(spark, [(1000, [0.0] * 4)], "g long, vec array<double>"))
+    assert index.held.groupBy("g").count().where("count > 1").isEmpty() and index.held.count() == now.count()
+
+
 @pytest.mark.parametrize("cell", ["rnn", "gru"])
 def test_gradients_of_the_forecaster(cell):
     rng = np.random.default_rng(0)
@@ -320,11 +358,12 @@ def test_index_against_the_exhaustive_way(spark):
     assert sorted(map(tuple, index.tree_top_k(items, 10, 40).collect())) == sorted(map(tuple, index.top_k(items, 10, 40).collect()))
 
 
-def test_asof_and_positions(spark):
+def test_asof_and_positions(spark, monkeypatch):
     rng = np.random.default_rng(0)
     known, asked = sorted(set(rng.integers(100, 900, 40).tolist())), rng.integers(0, 1000, 60).tolist()
     left, right = frame(spark, [(i, k) for i, k in enumerate(asked)], "i long, z long"), frame(spark, [(k,) for k in known], "key long")
-    for nearest in (False, True):
+    for nearest, spans in ((False, 4096), (True, 4096), (False, 3), (True, 3)):
+        monkeypatch.setattr(joins, "SPANS", spans)
         for r in asof(left, right, "z", "key", 50, nearest).collect():
             before, after = [k for k in known if k <= r.z], [k for k in known if k > r.z]
             want = before[-1] if before else (after[0] if nearest else None)
