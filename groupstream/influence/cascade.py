@@ -67,14 +67,17 @@ def run_dynamic(graph: DataFrame, seeds: DataFrame, batches: list[tuple[DataFram
     """
     active = frontier = settle(_seeded(seeds, runs), "active")
     sets = active.select("run", "s", "v").distinct()
+    edges = lambda g: settle(live_edges(scale(g) if scale else g, runs, **kw), "live")
+    live = None if batches else edges(graph)
     for number in itertools.count(1) if max_rounds is None else range(1, max_rounds + 1):
         added = None
         if number <= len(batches):
             fresh, now = batches[number - 1]
             graph = settle(apply_updates(graph, fresh, now, **(weights or {})), "graph")
+            live = edges(graph)
             if inject_new:
                 added = sets.join(fresh.select("v", "g").distinct(), "v").select(*_KEY)
-        reached = _next(active, frontier, live_edges(scale(graph) if scale else graph, runs, **kw), number)
+        reached = _next(active, frontier, live, number)
         if added is not None:
             new = added.join(active.select(*_KEY), _KEY, "left_anti").withColumn("round", F.lit(number))
             reached = reached.unionByName(new).dropDuplicates(_KEY)
