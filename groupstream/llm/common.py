@@ -97,6 +97,12 @@ def long_id(df: DataFrame, id_column: str) -> Column:
     return F.col(id_column).cast("long")
 
 
+def share_of(rows: int, wanted: int, hashed: Column) -> Column:
+    """A condition that about `wanted` of so many rows meet, by a hash of them: so that few rows are put in order or sent
+    anywhere when a bounded sample is taken, whatever the number of partitions."""
+    return F.pmod(hashed, F.lit(1 << 30)) < F.lit(int(min(1.0, wanted / max(1, rows)) * (1 << 30)))
+
+
 def n_words(text: Column) -> Column:
     return F.regexp_count(F.coalesce(text, F.lit("")), F.lit(WORD)).cast("long")
 

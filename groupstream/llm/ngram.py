@@ -31,7 +31,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .blocks import dealt, joined
-from .common import long_id, new_folder, partitions
+from .common import long_id, new_folder, partitions, share_of
 
 PIECE, BUCKET_BYTES = 2 << 20, 16 << 20
 BASE, MIX, DEAL = 0x9E3779B97F4A7C15, 0xBF58476D1CE4E5B9, 0x94D049BB133111EB
@@ -206,9 +206,11 @@ def train(docs: DataFrame, text: str = "text") -> "Model":
         raise ValueError(f"{folder} can't be mapped into memory: name a mounted folder as spark.checkpoint.dir")
     os.makedirs(where, exist_ok=True)
     slim = docs.select(F.coalesce(F.col(text).cast("binary"), F.lit(b"")).alias("text"))
-    total = slim.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    total, rows = slim.agg(F.sum(F.octet_length("text")), F.count(F.lit(1))).first()
+    total = total or 0
     buckets = max(partitions(spark), math.ceil(total / BUCKET_BYTES))
-    sample = slim.select(F.substring("text", 1, SHARES_CHARS // SHARES_FROM).alias("text"), F.xxhash64("text").alias("h")).orderBy("h").limit(SHARES_FROM).collect()
+    few = slim.where(share_of(rows, 1.5 * SHARES_FROM, F.xxhash64(F.octet_length("text"), F.crc32("text"))))
+    sample = few.select(F.substring("text", 1, SHARES_CHARS // SHARES_FROM).alias("text")).limit(SHARES_FROM).collect()
     deal = Deal.of_sample([bytes(r["text"]) for r in sample], buckets)
 
     def send(batches):
