@@ -23,7 +23,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut, long_id, slices
+from .common import cut, long_id, share_of, slices
 
 FEATURES, FOLDS, BINS, SEED = 256, 4, 2048, 7
 #: The most labelled documents that a model learns from (those with the least hash of the id), and the parts they are summed in.
@@ -204,8 +204,7 @@ def bounded(labels: DataFrame, most: int = MOST_LABELS) -> DataFrame:
     n = known.count()
     if n <= most:
         return known
-    few = F.pmod(F.xxhash64("id"), F.lit(1 << 30)) < F.lit(int(min(1.0, 1.2 * most / n) * (1 << 30)))  # so that few rows are put in order
-    return known.where(few).orderBy(F.xxhash64("id", F.lit("label")), "id").limit(most)
+    return known.where(share_of(n, 1.2 * most, F.xxhash64("id"))).orderBy(F.xxhash64("id", F.lit("label")), "id").limit(most)
 
 
 def training_labels(labels: DataFrame) -> DataFrame:

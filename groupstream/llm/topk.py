@@ -25,7 +25,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import cut, long_id
+from .common import cut, long_id, share_of
 
 BLOCK, QUERY_BLOCK, ASKS, LEAF, QUERY_LEAF, FAN, TOGETHER = 2048, 512, 32, 64, 24, 8, 16
 #: Sampled vectors that the centres are picked from, and the most centres of one length.
@@ -177,11 +177,13 @@ def _matrix(rows: pd.DataFrame) -> np.ndarray:
 
 def _centres(vectors: DataFrame, size: int) -> dict[int, np.ndarray]:
     """Centres of each sampled length, about one for every `size` vectors of it."""
-    sample = vectors.select("vec", F.xxhash64("id", "vec").alias("h")).orderBy("h").limit(CENTRES_FROM).collect()
+    lengths = vectors.groupBy(F.size("vec").alias("dim")).count()
+    hashed = F.xxhash64("id", "vec")
+    few = vectors.where(share_of(vectors.count(), 1.5 * CENTRES_FROM, hashed))
     by_length: dict[int, list] = {}
-    for r in sample:
+    for r in few.select("vec", hashed.alias("h")).orderBy("h").limit(CENTRES_FROM).collect():
         by_length.setdefault(len(r["vec"]), []).append(r["vec"])
-    per = vectors.groupBy(F.size("vec").alias("dim")).count().where(F.col("dim").isin(list(by_length))).collect() if by_length else []
+    per = lengths.where(F.col("dim").isin(list(by_length))).collect() if by_length else []
     many = {r["dim"]: min(CENTRES, -(-r["count"] // size)) for r in per}
     return {n: np.array(v)[farthest_first(np.array(v), many[n])[0]] for n, v in by_length.items()}
 
