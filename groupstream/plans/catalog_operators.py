@@ -369,10 +369,10 @@ def _(spark, d):
     return out.select(F.datediff(F.col("start").cast("timestamp_ntz"), F.lit("1970-01-01").cast("date")).cast("long").alias("start"), "event_type", "n")
 
 
-@query("stream_sessions", SQL["events_session"])
+@query("stream_sessions", "SELECT user_id, min(us) // 1000000 AS start, max(us) // 1000000 + 1800 AS end, count(*) AS n FROM (SELECT user_id, us, sum(new) OVER (PARTITION BY user_id ORDER BY us ROWS UNBOUNDED PRECEDING) AS k FROM (SELECT user_id, epoch_us(ts) AS us, CASE WHEN epoch_us(ts) - lag(epoch_us(ts)) OVER (PARTITION BY user_id ORDER BY ts) <= 1800000000 THEN 0 ELSE 1 END AS new FROM events)) GROUP BY user_id, k")
 def _(spark, d):
-    out = jobs.run_to_memory(jobs.sessions(jobs.events_stream(spark, d), "1801 seconds"), "complete")
-    return out.select("user_id", _epoch("start").alias("start"), (_epoch("end") - 1).alias("end"), "n")
+    out = jobs.run_to_memory(jobs.sessions(jobs.events_stream(spark, d)), "complete")
+    return out.select("user_id", _epoch("start").alias("start"), _epoch("end").alias("end"), "n")
 
 
 @query("stream_late_events", f"SELECT count(*) AS arrived, count(*) FILTER (s < mark) AS too_late, count(*) FILTER (s >= mark) AS in_time FROM (SELECT {_SECOND.format('ts')} AS s FROM events WHERE event_type = 'purchase'), (SELECT max(epoch_us(ts)) / 1000000.0 - 3600 AS mark FROM events WHERE event_type <> 'purchase')".replace("floor(epoch(ts))::BIGINT AS s FROM events WHERE event_type = 'purchase'", "epoch_us(ts) / 1000000.0 AS s FROM events WHERE event_type = 'purchase'"))
