@@ -7,6 +7,9 @@ text. Each bucket then sorts its suffixes by most-significant-digit passes of ei
 in their group are done, and the groups left after the last pass are exactly the repeated strings. Every string's least
 document id goes back to the blocks, and each document drops the bytes that a string from an earlier document covers.
 
+Pieces of text travel under 96 bits of hashes (64 of the content, 32 of the minimizer), and pieces that agree in all of them
+count as equal before the sort; strings of different pieces are compared byte by byte.
+
 Cases: null texts count as empty, and texts shorter than `depth` stay whole; long texts are cut into overlapping parts,
 so memory has a bound; rows with one id take nothing from each other; null ids sort last and come back null; an empty
 table gives an empty result; other columns are ignored.
