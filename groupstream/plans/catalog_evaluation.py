@@ -247,10 +247,9 @@ VARIANTS = {
 
 @query("ablation_components")
 def _(spark, d):
-    base, rows = Pipeline(spark, d), []
-    truth = settle(base.truth(), "truth")
-    for name, kw in VARIANTS.items():
-        rows.append((name, *base.judged((Pipeline(spark, d, base=base, **kw) if kw else base).recommend(), truth)))
+    base = Pipeline(spark, d)
+    runs = [(Pipeline(spark, d, base=base, **kw) if kw else base).recommend() for kw in VARIANTS.values()]
+    rows = [(name, *found) for name, found in zip(VARIANTS, base.judged(runs, settle(base.truth(), "truth")))]
     full = rows[0]
     change = [tuple(ME.relative_change(x, y) if y else 0.0 for x, y in zip(r[1:], full[1:])) for r in rows]
     return _table(spark, [(*r, *c) for r, c in zip(rows, change)], "variant string, hr double, ndcg double, sigma_inf double, hr_change double, ndcg_change double, sigma_change double")
@@ -298,12 +297,10 @@ def _baseline_recs(h: M.Home) -> dict:
 @query("effectiveness")
 def _(spark, d):
     """HR, NDCG and the spread of the first groups, of all methods on the same items."""
-    base, rows = Pipeline(spark, d), []
-    truth = settle(base.truth(), "truth")
-    for name, run in (("enhanced", base), ("static predecessor", Pipeline(spark, d, sampler=False, cascade="static", index=False, base=base))):
-        rows.append((name, *base.judged(run.recommend(), truth)))
-    for name, way in _baseline_recs(M.Home(spark, d)).items():
-        rows.append((name, *base.judged(way(), truth)))
+    base = Pipeline(spark, d)
+    runs = {"enhanced": base.recommend(), "static predecessor": Pipeline(spark, d, sampler=False, cascade="static", index=False, base=base).recommend()}
+    runs |= {name: way() for name, way in _baseline_recs(M.Home(spark, d)).items()}
+    rows = [(name, *found) for name, found in zip(runs, base.judged(list(runs.values()), settle(base.truth(), "truth")))]
     return _table(spark, rows, "method string, hr double, ndcg double, sigma_inf double")
 
 
@@ -386,15 +383,18 @@ def sweep(spark, d, name: str, values: list) -> DataFrame:
     tables, and the results that the parameter does not change, are shared."""
     base, rows = Pipeline(spark, d, index=False), []
     truth = settle(base.truth(), "truth")
-    spreads = name in ("alpha_r", "g1", "g2")
+    spreads, held = name in ("alpha_r", "g1", "g2"), []
     for value in values:
         kw = {"learning": {"epochs": 4, "tune": 1, "epochs2": 4, name: value}} if name in LEARNING else {name: value}
         p = Pipeline(spark, d, index=False, cascade="dynamic" if spreads else "none", base=base, same=SAME.get(name, ()), **kw)
-        if spreads:
-            rows.append((float(value), *(base if name == "alpha_r" else p).judged(p.recommend(), truth)))
+        if name == "alpha_r":
+            held.append(p.recommend())
+        elif spreads:
+            rows.append((float(value), *p.judged([p.recommend()], truth)[0]))
         else:
             recs = settle(p.recommend(), "recs")
             rows.append((float(value), ME.hit_ratio(recs, truth, 20).first()["hr"] or 0.0, ME.ndcg(recs, truth, 20).first()["ndcg"] or 0.0, None))
+    rows += [(float(v), *found) for v, found in zip(values, base.judged(held, truth))] if held else []
     return _table(spark, rows, "value double, hr double, ndcg double, sigma_inf double")
 
 

@@ -155,10 +155,12 @@ class Pipeline(Sampler, Spread):
         test = self.sliced.where(f"split = 'test' and v % {M.ASK} = 0")
         return test.select("v", "g").distinct().join(old, ["g", "v"], "left_anti").select("v", "g")
 
-    def judged(self, recs: DataFrame, truth: DataFrame, k: int = K) -> tuple[float, float, float]:
-        """(HR@k, NDCG@k, sigma_inf) of recommendations (v, rank, g): the spread of each item's first groups as one seed set,
-        over the propagation graphs of this run and with live updates."""
-        recs = settle(recs, "recs")
-        lists = recs.where(F.col("rank") <= LIST).select(F.lit(0).cast("long").alias("s"), "v", "g")
-        reach = ME.sigma_inf(self.spread(lists, "dynamic")).first()["sigma_inf"]
-        return ME.hit_ratio(recs, truth, k).first()["hr"] or 0.0, ME.ndcg(recs, truth, k).first()["ndcg"] or 0.0, reach or 0.0
+    def judged(self, several: list[DataFrame], truth: DataFrame, k: int = K) -> list[tuple[float, float, float]]:
+        """(HR@k, NDCG@k, sigma_inf) of each of several recommendations (v, rank, g): the spread of an item's first groups as
+        one seed set, over the propagation graphs of this run and with live updates. All seed sets share one cascade."""
+        several, lists = [settle(r, "recs") for r in several], None
+        for i, recs in enumerate(several):
+            own = recs.where(F.col("rank") <= LIST).select(F.lit(i).cast("long").alias("s"), "v", "g")
+            lists = own if lists is None else lists.unionByName(own)
+        reach = {r["s"]: r["mean"] for r in self.spread(lists, "dynamic").groupBy("s").agg(F.avg("influence").alias("mean")).collect()}
+        return [(ME.hit_ratio(r, truth, k).first()["hr"] or 0.0, ME.ndcg(r, truth, k).first()["ndcg"] or 0.0, reach.get(i, 0.0)) for i, r in enumerate(several)]
