@@ -13,7 +13,7 @@ from groupstream.evaluation import measures
 from groupstream.features import tags
 from groupstream.forecast import interest, recurrent
 from groupstream.functions.hashing import next_prime, universal_hash
-from groupstream.index import blocks, fastmap, lsh, search
+from groupstream.index import blocks, exhaustive, fastmap, lsh, search
 from groupstream.index.build import GroupIndex
 from groupstream.influence import cascade, factors, prop_graph
 from groupstream.model import relation_graph
@@ -360,6 +360,21 @@ def test_index_against_the_exhaustive_way(spark):
     assert sorted(map(tuple, index.tree_top_k(items, 10, 40).collect())) == sorted(map(tuple, index.top_k(items, 10, 40).collect()))
 
 
+def test_exhaustive_blocks_rank_as_columns_do(spark, monkeypatch):
+    """Many ties, more groups than a block and fewer than k in a task: the lists are those of all pairs, and no task sends on more."""
+    monkeypatch.setattr(exhaustive, "GROUPS", 64)
+    monkeypatch.setattr(exhaustive, "ITEMS", 8)
+    rng = np.random.default_rng(5)
+    pool = rng.normal(size=(40, 8)).tolist()
+    groups = frame(spark, [(i * 7 % 601, pool[i % 40]) for i in range(600)], "g long, vec array<double>").repartition(5)
+    items = frame(spark, [(i, rng.normal(size=8).tolist()) for i in range(30)], "v long, vec array<double>")
+    want = relevance.top_k(relevance.relevance(groups, items, 8), 20)
+    found = search.batch_match(groups, items, 20, 8)
+    assert sorted(found.collect()) == sorted(want.collect()) and found.count() == 600
+    sent = exhaustive._window(groups, items.collect(), 20).count()
+    assert sent <= 5 * 30 * 20 < 600 * 30
+
+
 def test_asof_and_positions(spark, monkeypatch):
     rng = np.random.default_rng(0)
     known, asked = sorted(set(rng.integers(100, 900, 40).tolist())), rng.integers(0, 1000, 60).tolist()
