@@ -8,6 +8,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from groupstream import queries as own
+from groupstream.baselines import aggregate
 from groupstream.encoder import layers, relevance, training
 from groupstream.evaluation import measures
 from groupstream.features import tags
@@ -375,6 +376,29 @@ def test_exhaustive_blocks_rank_as_columns_do(spark, monkeypatch):
     assert sent <= 5 * 30 * 20 < 600 * 30
 
 
+def test_item_neighbours_in_passes(spark, monkeypatch):
+    """Several passes and parts give what one count of all pairs gives, and no pair is shuffled."""
+    rng = np.random.default_rng(2)
+    rows = {(int(u), int(v)) for u, v in zip(rng.integers(0, 60, 900), rng.integers(0, 40, 900))} | {(99, 500), (98, 500), (98, 501)}
+    n = {}
+    for u, v in rows:
+        for w, other in rows:
+            if u == w and v != other:
+                n[v, other] = n.get((v, other), 0) + 1
+    want = []
+    for v in {v for v, _ in n}:
+        ranked = sorted((-c, other) for (x, other), c in n.items() if x == v)[:10]
+        want += [(v, i, other, -c) for i, (c, other) in enumerate(ranked, 1)]
+    monkeypatch.setattr(aggregate, "PAIRS", 4000)
+    monkeypatch.setattr(aggregate, "TOGETHER", 1000)
+    found = aggregate.item_neighbours(frame(spark, sorted(rows), "u long, v long"))
+    assert sorted(map(tuple, found.collect())) == sorted(want)
+    monkeypatch.setattr(aggregate, "PAIRS", 1 << 28)
+    whole = aggregate.item_neighbours(frame(spark, sorted(rows), "u long, v long"))
+    assert sorted(map(tuple, whole.collect())) == sorted(want)
+    assert "hashpartitioning(part" in whole._jdf.queryExecution().toString() and "hashpartitioning(v" not in whole._jdf.queryExecution().toString()
+
+
 def test_asof_and_positions(spark, monkeypatch):
     rng = np.random.default_rng(0)
     known, asked = sorted(set(rng.integers(100, 900, 40).tolist())), rng.integers(0, 1000, 60).tolist()
