@@ -399,6 +399,17 @@ def test_item_neighbours_in_passes(spark, monkeypatch):
     assert "hashpartitioning(part" in whole._jdf.queryExecution().toString() and "hashpartitioning(v" not in whole._jdf.queryExecution().toString()
 
 
+@pytest.mark.parametrize("name", ["next_prime", "relative_change", "synthetic_arrivals"])
+def test_queries_read_their_table(spark, small, name):
+    assert any("parquet" in f.lower() for f in own.queries()[name](spark, small).inputFiles())
+
+
+def test_replayed_streams_keep_off_the_driver(spark, small):
+    for name in ("stream_sessions", "stream_tumbling", "stream_dedup", "stream_group_state"):
+        plan = own.queries()[name](spark, small)._jdf.queryExecution().toString()
+        assert "MemoryPlan" not in plan and "replay-" in plan
+
+
 def test_asof_and_positions(spark, monkeypatch):
     rng = np.random.default_rng(0)
     known, asked = sorted(set(rng.integers(100, 900, 40).tolist())), rng.integers(0, 1000, 60).tolist()
