@@ -410,6 +410,15 @@ def test_replayed_streams_keep_off_the_driver(spark, small):
         assert "MemoryPlan" not in plan and "replay-" in plan
 
 
+def test_runs_with_other_rates_share_the_training_rows(spark, small, monkeypatch):
+    made = []
+    monkeypatch.setattr(interest, "learn", lambda *a, packed=None, **kw: packed)
+    monkeypatch.setattr(interest, "packed_slices", lambda *a: made.append(a) or len(made))
+    base = Pipeline(spark, small)
+    assert [Pipeline(spark, small, base=base, learning={"rate": r}).interest for r in (0.01, 0.1)] == [1, 1]
+    assert Pipeline(spark, small, base=base, layers=1).interest == 2 and Pipeline(spark, small, base=base, sampler=False).interest == 3
+
+
 def test_asof_and_positions(spark, monkeypatch):
     rng = np.random.default_rng(0)
     known, asked = sorted(set(rng.integers(100, 900, 40).tolist())), rng.integers(0, 1000, 60).tolist()
