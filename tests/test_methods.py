@@ -16,7 +16,7 @@ from groupstream.forecast import interest, recurrent
 from groupstream.functions.hashing import next_prime, universal_hash
 from groupstream.index import blocks, exhaustive, fastmap, lsh, search
 from groupstream.index.build import GroupIndex
-from groupstream.influence import cascade, factors, prop_graph
+from groupstream.influence import cascade, dense, factors, prop_graph
 from groupstream.model import relation_graph
 from groupstream.operators import joins
 from groupstream.operators.joins import asof, positions
@@ -488,3 +488,33 @@ def test_models_round_trip(spark, tmp_path):
     save_model(spark, f"{tmp_path}/model", {"w": np.arange(6.0).reshape(2, 3), "b": np.zeros(2)}, {"layers": 2})
     weights, meta = load_model(spark, f"{tmp_path}/model")
     assert meta == {"layers": 2} and (weights["w"] == np.arange(6.0).reshape(2, 3)).all()
+
+
+@pytest.mark.parametrize("dynamic", [False, True])
+def test_cascades_of_few_groups_reach_what_joined_rounds_reach(spark, dynamic):
+    """Over items, runs, drops, injected groups without vectors, and seed sets of one and of several groups."""
+    rng = np.random.default_rng(5)
+    groups = frame(spark, [(g, rng.normal(0, 1, 3).tolist()) for g in range(0, 36, 3)], "g long, vec array<double>")
+    items = frame(spark, [(v, rng.normal(0, 1, 3).tolist()) for v in range(6)], "v long, vec array<double>")
+    ties = {(int(a) * 3, int(b) * 3) for a, b in rng.integers(0, 13, (60, 2)) if a != b}  # group 36 has no vector
+    sims = frame(spark, [(a, b, float(rng.uniform(0.5, 1))) for a, b in sorted(ties)], "src long, dst long, sim double")
+    act = [frame(spark, [(g, float(rng.uniform())) for g in range(0, 30, 3)], "g long, act double") for _ in range(3)]
+    fresh = [frame(spark, [(int(v), int(g) * 3) for v, g in rng.integers(0, (6, 14), (9, 2))], "v long, g long") for _ in range(2)]
+    batches = list(zip(fresh, act[1:])) if dynamic else []
+    several = frame(spark, [(s, v, int(g) * 3) for s in range(2) for v in range(0, 6, 2) for g in rng.integers(0, 12, 3)], "s long, v long, g long")
+    alone = groups.select(F.col("g").alias("s"), "g").join(items.select("v"))
+    for weights in ({"drop": "willingness"}, {"g1": 0.3, "g2": 0.6}):
+        graph = prop_graph.build(sims, act[0], factors.willingness(items, groups, 3), **weights)
+        ids = dense.few(groups, *fresh)
+        for seeds in (None, several):
+            start = alone if seeds is None else seeds
+            active = cascade.run_dynamic(graph, start, batches, 3, weights=weights, scale=prop_graph.by_in_degree) if dynamic else cascade.run(prop_graph.by_in_degree(graph), start, 3)
+            want = {(r.s, r.v): r.spread for r in cascade.spread(active, 12, 3).collect()}
+            found = dense.spreads(ids, sims, act[0], items, groups, 12, seeds, batches, 3, weights).collect()
+            assert {(r.s, r.v): r.spread for r in found} == pytest.approx(want) and len(found) == len(want)
+            assert all(r.influence == pytest.approx(r.spread / 12) for r in found)
+
+
+def test_too_many_groups_are_left_to_joins(spark):
+    many = spark.range(dense.FEW + 1).withColumnRenamed("id", "g")
+    assert dense.few(many) is None and dense.few(many.where("g > 0")) == list(range(1, dense.FEW + 1))
