@@ -14,7 +14,7 @@ from groupstream.evaluation import measures
 from groupstream.features import tags
 from groupstream.forecast import interest, recurrent
 from groupstream.functions.hashing import next_prime, universal_hash
-from groupstream.index import blocks, exhaustive, fastmap, lsh, search
+from groupstream.index import best, blocks, exhaustive, fastmap, lsh, search
 from groupstream.index.build import GroupIndex
 from groupstream.influence import cascade, dense, factors, prop_graph
 from groupstream.model import relation_graph
@@ -518,3 +518,20 @@ def test_cascades_of_few_groups_reach_what_joined_rounds_reach(spark, dynamic):
 def test_too_many_groups_are_left_to_joins(spark):
     many = spark.range(dense.FEW + 1).withColumnRenamed("id", "g")
     assert dense.few(many) is None and dense.few(many.where("g > 0")) == list(range(1, dense.FEW + 1))
+
+
+def test_blocks_are_chosen_without_bringing_promises_together(spark):
+    """Each item reads as many of the most promising blocks as its budget has, and all of them where there are fewer."""
+    rng = np.random.default_rng(8)
+    rows = [(int(i // 4), int(i), rng.normal(0, 1, 3).tolist()) for i in range(800)]
+    packs = best.pack(frame(spark, rows, "block long, g long, vec array<double>")).repartition(5).persist()
+    items = rng.normal(0, 1, (40, 3))
+    held = packs.collect()
+    promise = np.array([items @ np.array(r.centre) + best.LEAN * np.sqrt((items**2).sum(1)) * r.radius for r in held])
+    bar = best.bars(packs, items, 13)
+    assert ((promise >= bar).sum(0) == 13).all() and np.isinf(best.bars(packs, items, 201)).all()
+    found = best.top_k(packs, frame(spark, [(v, x.tolist()) for v, x in enumerate(items)], "v long, vec array<double>"), 5, 13 * 4, 4).collect()
+    for v, x in enumerate(items):
+        near = {int(r.block) for r, p in zip(held, promise[:, v]) if p >= bar[v]}
+        want = sorted((-float(np.dot(x, vec)), g) for block, g, vec in rows if block in near)[:5]
+        assert [r.g for r in sorted(found, key=lambda r: r["rank"]) if r.v == v] == [g for _, g in want]
