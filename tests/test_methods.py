@@ -535,3 +535,27 @@ def test_blocks_are_chosen_without_bringing_promises_together(spark):
         near = {int(r.block) for r, p in zip(held, promise[:, v]) if p >= bar[v]}
         want = sorted((-float(np.dot(x, vec)), g) for block, g, vec in rows if block in near)[:5]
         assert [r.g for r in sorted(found, key=lambda r: r["rank"]) if r.v == v] == [g for _, g in want]
+
+
+def test_gradients_do_not_depend_on_how_triples_are_cut(monkeypatch):
+    rng = np.random.default_rng(2)
+    w = training.new_weights(3, 4, 4, 2)
+    xg, xv, ends = rng.normal(0, 1, (5, 4)), rng.normal(0, 1, (7, 4)), rng.integers(0, 5, (2, 8))
+    owner, held, g, pos, neg = (rng.integers(0, n, 20) for n in (5, 7, 5, 7, 7))
+    run = lambda: training.loss_and_gradients(w, xg, xv, *ends, np.full(8, 0.5), owner, held, g, pos, neg, 2, 1e-3)
+    whole = run()
+    monkeypatch.setattr(training, "BLOCK", 3)
+    cut = run()
+    assert cut[0] == pytest.approx(whole[0])
+    for k in w:
+        assert cut[1][k] == pytest.approx(whole[1][k])
+
+
+def test_lines_are_joined_once_where_they_are_kept(spark, small):
+    from groupstream.sources.tables import Tables
+
+    t = Tables(spark, small)
+    plain = t.lines()
+    t.keep_lines()
+    assert t.lines() is t.lines() and sorted(t.lines().columns) == sorted(plain.columns)
+    assert t.lines().exceptAll(plain).isEmpty() and t.lines().count() == plain.count()
