@@ -74,29 +74,42 @@ def _bin(q: Column) -> Column:
     return F.least(F.floor(q / (1.0 + q) * BINS), F.lit(BINS - 1)).cast("int")
 
 
-def _prefix(rows: DataFrame, room: DataFrame) -> DataFrame:
-    """rows (key, size, q), room (key, room) -> (key, got, upto, upto_size, part): the longest prefix of each key's order
-    within its room. It takes all rows up to (upto, upto_size) and, where `part` is set, of the class (q, size) in it `many`.
+def _prefix(rows: DataFrame) -> DataFrame:
+    """rows (key, room, size, q) -> (key, got, upto, upto_size, part): the longest prefix of each key's order within its
+    room. It takes all rows up to (upto, upto_size) and, where `part` is set, of the class (q, size) in it `many`.
+
+    Only the range where the room ends is looked at row by row. What is known of the ranges before it goes along with its
+    rows, so tables of keys are not joined with each other.
     """
     rows = rows.withColumn("bin", _bin(F.col("q")))
-    bins = rows.groupBy("key", "bin").agg(F.sum("size").alias("words"), F.max(F.struct("q", "size")).alias("last"))
-    up = Window.partitionBy("key").orderBy("bin").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    bins = bins.join(room, "key").withColumn("sum", F.sum("words").over(up))
+    bins = rows.groupBy("key", "room", "bin").agg(F.sum("size").alias("words"), F.max(F.struct("q", "size")).alias("last"))
+    up = Window.partitionBy("key", "room").orderBy("bin")
+    bins = bins.withColumns(
+        {
+            "sum": F.sum("words").over(up.rowsBetween(Window.unboundedPreceding, Window.currentRow)),
+            "whole": F.lag("last").over(up),
+        }
+    )
+    here = F.struct("bin", (F.col("sum") - F.col("words")).alias("start"), "whole")
     fits = F.col("sum") <= F.col("room")
-    whole = bins.where(fits).groupBy("key").agg(F.max("last").alias("w_last"), F.max("sum").alias("w_got"))
-    split = bins.where(~fits).groupBy("key").agg(F.min("bin").alias("bin"))
-    start = split.join(whole, "key", "left").join(room, "key").select("key", "bin", "room", F.coalesce("w_got", F.lit(0)).alias("start"))
-    classes = rows.join(start, ["key", "bin"]).groupBy("key", "room", "start", "q", "size").agg(F.count(F.lit(1)).alias("n"))
-    inside = Window.partitionBy("key").orderBy("q", "size").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    ends = bins.groupBy("key", "room").agg(F.min(F.when(~fits, here)).alias("at"), F.max("last").alias("last"), F.max("sum").alias("got"))
+    all_of_it = ends.where("at is null").select("key", "last", F.lit(None).cast("struct<q:double,size:bigint,many:bigint>").alias("part"), "got")
+    classes = rows.join(ends.where("at is not null").select("key", "at.*"), ["key", "bin"]).groupBy("key", "room", "q", "size").agg(F.count(F.lit(1)).alias("n"), F.first("start").alias("start"), F.first("whole").alias("whole"))
+    inside = Window.partitionBy("key", "room").orderBy("q", "size").rowsBetween(Window.unboundedPreceding, Window.currentRow)
     classes = classes.withColumn("sum", F.col("start") + F.sum(F.col("n") * F.col("size")).over(inside))
     before = F.col("sum") - F.col("n") * F.col("size")
     many = F.floor((F.col("room") - before) / F.nullif("size", F.lit(0)))
-    part = classes.where(fits).groupBy("key").agg(F.max(F.struct("q", "size")).alias("p_last"), F.max("sum").alias("p_got"))
-    edge = classes.where(~fits & (before <= F.col("room"))).select("key", F.struct("q", "size", many.alias("many")).alias("part"), (before + many * F.col("size")).alias("e_got"))
-    joined = room.join(whole, "key", "left").join(part, "key", "left").join(edge.where("part.many > 0"), "key", "left")
-    last = F.coalesce(F.greatest("p_last", "w_last"), F.struct(F.lit(-1.0).alias("q"), F.lit(0).cast("long").alias("size")))
-    got = F.greatest(F.coalesce("e_got", F.lit(0)), F.coalesce("p_got", F.lit(0)), F.coalesce("w_got", F.lit(0)))
-    return joined.select("key", got.cast("long").alias("got"), last["q"].alias("upto"), last["size"].alias("upto_size"), "part")
+    edge = ~fits & (before <= F.col("room")) & (many > 0)  # one class of a key at most
+    found = classes.groupBy("key", "room").agg(
+        F.max(F.when(fits, F.struct("q", "size"))).alias("last"),
+        F.first("whole").alias("whole"),
+        F.max(F.when(edge, F.struct("q", "size", many.alias("many")))).alias("part"),
+        F.max(F.when(edge, before + many * F.col("size")).when(fits, F.col("sum")).otherwise(F.col("start"))).alias("got"),
+    )
+    last = F.coalesce("last", "whole", F.struct(F.lit(-1.0).alias("q"), F.lit(0).cast("long").alias("size")))
+    found = found.select("key", last.alias("last"), "part", "got").unionByName(all_of_it)
+    last = F.col("last")
+    return found.select("key", F.col("got").cast("long").alias("got"), last["q"].alias("upto"), last["size"].alias("upto_size"), "part")
 
 
 _BOUND = "room:bigint,upto:double,upto_size:bigint,part:struct<q:double,size:bigint,many:bigint>"
@@ -118,11 +131,11 @@ def plan(rows: DataFrame, weights: tuple[int, ...] = WEIGHTS, most: int = MOST)
     first = True
     while True:
         left = rows.join(goals.where("p > 0 AND room > 0"), "key").withColumn("q", _rank(F.col("u"), F.col("p")))
-        left = left.where((F.col("size") <= F.col("room")) & F.col("q").isNotNull() & ~_taken("bounds", "size", "q")).select("key", "size", "q")
+        left = left.where((F.col("size") <= F.col("room")) & F.col("q").isNotNull() & ~_taken("bounds", "size", "q")).select("key", "room", "size", "q")
         left = left if first else cut(left, "mix-left")  # less than the room of the round before in each row
         if left.where("size > 0").isEmpty():
             return goals.drop("room")
-        found = _prefix(left, goals.where("p > 0").select("key", "room"))
+        found = _prefix(left)
         bound = F.struct("room", "upto", "upto_size", "part").cast(f"struct<{_BOUND}>")
         goals = cut(
             goals.join(found, "key", "left")

@@ -432,6 +432,15 @@ def test_mixing(spark, docs, none):
     assert mixing.draw(many).count() == mixing.mix(many).agg(F.sum("copies")).first()[0]
 
 
+def test_mixing_rounds_join_rows_once(spark):
+    """A round's plan stays small: of its tables of keys none is joined with another, only rows with the range that is looked at."""
+    rows = [("all", 9, 3, 0.5), ("all", 9, 0, 7.0), ("split", 9, 4, 0.1), ("split", 9, 4, 0.2), ("split", 9, 4, 0.3), ("part", 9, 4, 0.4), ("part", 9, 4, 0.4), ("part", 9, 4, 0.4), ("none", 0, 4, 0.4), ("none", 0, 4, 0.5)]
+    found = mixing._prefix(spark.createDataFrame(rows, "key string, room long, size long, q double"))
+    got = {r.key: (r.got, r.upto, r.upto_size, r.part and tuple(r.part)) for r in found.collect()}
+    assert got == {"all": (3, 7.0, 0, None), "split": (8, 0.2, 4, None), "part": (8, -1.0, 0, (0.4, 4, 2)), "none": (0, -1.0, 0, None)}
+    assert found._jdf.queryExecution().optimizedPlan().toString().count("Join ") == 1
+
+
 def test_ngram_model_sums_to_one_and_scores_like_brute_force(spark, docs, none):
     train = spark.createDataFrame([(i, prose(200, i), "a") for i in range(30)], DOCS)
     model = ngram.train(train)
