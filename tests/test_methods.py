@@ -559,3 +559,18 @@ def test_lines_are_joined_once_where_they_are_kept(spark, small):
     t.keep_lines()
     assert t.lines() is t.lines() and sorted(t.lines().columns) == sorted(plain.columns)
     assert t.lines().exceptAll(plain).isEmpty() and t.lines().count() == plain.count()
+
+
+def test_runs_around_places_are_what_scans_read(spark):
+    rng, n = np.random.default_rng(5), 300
+    vecs, asked = np.round(rng.normal(size=(n, 3)), 1), np.round(rng.normal(size=(40, 3)), 1)
+    laid = frame(spark, [(i, i // 16, 1000 - i, vecs[i].tolist()) for i in range(n)], "pos long, block long, g long, vec array<double>").repartition(3)
+    items = frame(spark, [(v, v // 2, x.tolist()) for v, x in enumerate(asked)], "v long, z long, vec array<double>")
+    probes = frame(spark, [(z, (0, n - 1, 3, n - 4)[z] if z < 4 else int(rng.integers(n))) for z in range(20)], "z long, pos long")
+    for budget in (1, 12, 29, n - 5, 2 * n):
+        want = search.rank(search.scan(probes, laid, budget, 16), items, 7, 3)
+        assert sorted(map(tuple, search.best_around(probes, laid, items, budget, 7).collect())) == sorted(map(tuple, want.collect()))
+    index = GroupIndex.build(laid.select("g", "vec"), 3, axes=2, rows_per_block=16)
+    for found in (index.top_k(items.select("v", "vec"), 5, 60), index.tree_top_k(items.select("v", "vec"), 5, 60)):
+        plan = found._jdf.queryExecution().optimizedPlan().toString()
+        assert "Join" not in plan and "Generate" not in plan  # no row for each entry that is read
