@@ -574,3 +574,29 @@ def test_runs_around_places_are_what_scans_read(spark):
     for found in (index.top_k(items.select("v", "vec"), 5, 60), index.tree_top_k(items.select("v", "vec"), 5, 60)):
         plan = found._jdf.queryExecution().optimizedPlan().toString()
         assert "Join" not in plan and "Generate" not in plan  # no row for each entry that is read
+
+
+def test_shards_name_items_by_places_and_grow_in_number(spark, monkeypatch):
+    """A training step moves a shard's name, not its rows; items lie in files once; more interactions make more shards."""
+    rng = np.random.default_rng(8)
+    groups = frame(spark, [(i, rng.normal(size=3).tolist()) for i in range(12)], "g long, vec array<double>")
+    items = frame(spark, [(v * 7 - 20, rng.normal(size=4).tolist()) for v in range(50)], "v long, vec array<double>")
+    seen = frame(spark, [(g, v * 7 - 20, s) for g in range(12) for v, s in zip(rng.choice(50, 10, replace=False).tolist(), [0, 0, 1, 1, 1] * 2)], "g long, v long, slice int")
+    again = seen.unionByName(seen.where("slice = 0").withColumn("slice", F.lit(1)))  # bought once more, later
+    graphs = frame(spark, [(t, a, (a + 1) % 12, 0.5) for t in (0, 1) for a in range(12)], "slice int, src long, dst long, lap double")
+    triples = relevance.training_triples(again, items.select("v"), keep=("slice",))
+    w = training.new_weights(3, 3, 4, 2)
+    want = [training.gradients(training.shards(groups, items, graphs, again, triples, 1), w, 2, t, new, b, n) for t, new in ((0, False), (1, False), (1, True)) for b, n in ((0, 1), (1, 3))]
+    monkeypatch.setattr(training, "PAIRS", 30)
+    packed = training.shards(groups, items, graphs, again, triples, 1)
+    got = [training.gradients(packed, w, 2, t, new, b, n) for t, new in ((0, False), (1, False), (1, True)) for b, n in ((0, 1), (1, 3))]
+    for (loss, grads, n), (loss1, grads1, n1) in zip(got, want):
+        assert n == n1 > 0 and loss == pytest.approx(loss1) and all(grads[k] == pytest.approx(grads1[k]) for k in w)
+    rows = packed.collect()
+    assert len(rows) == 6 and max(len(r["data"]) for r in rows) < 4000
+    owned = [int(training._unpack(r["data"], 1)["own"].sum()) for r in rows]
+    assert sum(owned) == 12 and max(owned) == 2  # groups of one size are dealt evenly
+    ids = np.concatenate(training._unpack(rows[0]["data"], 1)["items"].ids)
+    assert ids.tolist() == [v * 7 - 20 for v in range(50)]
+    with pytest.raises(Exception, match="no vector"):
+        training.shards(groups, items.where("v > 0"), graphs, again, triples, 1)
